@@ -24,8 +24,14 @@ def op1_bpe_codec(spark: SparkSession, sf_dir: str) -> DataFrame:
     return encode_texts(table(spark, sf_dir, "documents"), tokenizer_path())
 
 
+def op8_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from treelogic.llm.substring_dedup import drop_repeats
+
+    return drop_repeats(table(spark, sf_dir, "documents"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op1_bpe_codec": op1_bpe_codec}
+    return {f.__name__: f for f in (op1_bpe_codec, op8_substring_dedup)}
 
 
 def oracle_sql() -> dict[str, str]:
