@@ -24,6 +24,12 @@ def op1_bpe_codec(spark: SparkSession, sf_dir: str) -> DataFrame:
     return encode_texts(table(spark, sf_dir, "documents"), tokenizer_path())
 
 
+def op3_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from treelogic.llm.jaccard_join import similar_documents
+
+    return similar_documents(table(spark, sf_dir, "documents"), k=3, num=9, den=10).drop("text_key", "keeper")
+
+
 def op8_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     from treelogic.llm.substring_dedup import drop_repeats
 
@@ -31,7 +37,7 @@ def op8_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_bpe_codec, op8_substring_dedup)}
+    return {f.__name__: f for f in (op1_bpe_codec, op3_ngram_jaccard, op8_substring_dedup)}
 
 
 def oracle_sql() -> dict[str, str]:
