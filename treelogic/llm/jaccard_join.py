@@ -44,7 +44,7 @@ COUNTERS = 1 << 20
 _SLICES = 64
 SIGNATURE_WORDS = 8
 BLOOM_WORDS = 4
-CHUNK_BYTES = 24 << 20
+CHUNK_BYTES = 10 << 20
 _LAST = 2**63 - 1
 
 
