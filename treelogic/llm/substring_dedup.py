@@ -33,7 +33,9 @@ from treelogic.llm.shared import parts
 #: Low bits of a seed's rank that hold its place, so that ties go to the right.
 _PLACE = U64((1 << 28) - 1)
 _LOW48 = U64((1 << 48) - 1)
-CHUNK_BYTES = 24 << 20
+CHUNK_BYTES = 10 << 20
+#: Buckets of seeds for each shuffle partition: a task holds one bucket at a time.
+BUCKETS_A_TASK = 8
 
 
 def sliding_least(values: np.ndarray, width: int) -> np.ndarray:
@@ -148,17 +150,26 @@ def _chunks(buckets: int, min_words: int, seed_words: int):
 
 
 def _meet(min_words: int):
-    """Within the buckets of one task: which windows occur twice, as spans of words."""
+    """Within one bucket after another: which windows occur twice, as spans of words."""
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        bucket, blobs = -1, []
+        for batch in batches:
+            for b, blob in zip(batch.column("bucket").to_pylist(), batch.column("packed")):
+                if b != bucket:
+                    yield from close(blobs)
+                    bucket, blobs = b, []
+                blobs.append(blob.as_py())
+        yield from close(blobs)
+
+    def close(blobs: list[bytes]) -> Iterator[pa.RecordBatch]:
         held = [[] for _ in _KINDS]
         docs = 0
-        for batch in batches:
-            for blob in batch.column("packed"):
-                got = _unpack(blob.as_buffer())
-                got[2], got[8] = got[2] + np.uint32(docs), got[8] + np.uint32(docs)
-                docs += len(got[0])
-                for kept, x in zip(held, got):
-                    kept.append(x)
+        for blob in blobs:
+            got = _unpack(blob)
+            got[2], got[8] = got[2] + np.uint32(docs), got[8] + np.uint32(docs)
+            docs += len(got[0])
+            for kept, x in zip(held, got):
+                kept.append(x)
         if not docs:
             return
         ids, keys, doc, start, length, seed, low, high, k_doc, k_start, k_length = map(np.concatenate, held)
@@ -185,8 +196,8 @@ def repeated_spans(docs: DataFrame, min_words: int = 35, seed_words: int = 8) ->
     """
     n = parts(docs.sparkSession)
     source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("text_key"), "text")
-    packed = source.mapInArrow(_chunks(n, min_words, seed_words), "bucket int, packed binary")
-    return packed.repartition(n, "bucket").mapInArrow(_meet(min_words), "doc_id long, text_key long, lo int, hi int")
+    packed = source.mapInArrow(_chunks(n * BUCKETS_A_TASK, min_words, seed_words), "bucket int, packed binary")
+    return packed.repartition(n, "bucket").sortWithinPartitions("bucket").mapInArrow(_meet(min_words), "doc_id long, text_key long, lo int, hi int")
 
 
 def drop_repeats(docs: DataFrame, min_words: int = 35, seed_words: int = 8, full: bool = False) -> DataFrame:
