@@ -43,6 +43,11 @@ ORDERS = 3
 COUNTERS = 1 << 20
 _SLICES = 64
 SIGNATURE_WORDS = 8
+#: Words of the longer parity signature that sets over WIDE_FROM shingles also have.
+WIDE_WORDS = 128
+WIDE_FROM = 512
+#: Bits of the table of wanted representatives; when it fills up more sets travel, none is lost.
+WANTED_BITS = 1 << 25
 BLOOM_WORDS = 4
 CHUNK_BYTES = 10 << 20
 _LAST = 2**63 - 1
@@ -76,8 +81,8 @@ def _set_keys(sets: list[np.ndarray]) -> np.ndarray:
     return mix(sums + sizes.astype(U64) * U64(0xD6E8FEB86659FD93), 43)
 
 
-def _parity(tokens: np.ndarray) -> bytes:
-    bits = SIGNATURE_WORDS * 64
+def _parity(tokens: np.ndarray, words: int = SIGNATURE_WORDS) -> bytes:
+    bits = words * 64
     return np.packbits((np.bincount((mix(tokens, 31) & U64(bits - 1)).astype(np.int64), minlength=bits) & 1).astype(bool)).tobytes()
 
 
@@ -85,7 +90,7 @@ def _describe(k: int):
     """Document rows (doc_id, text_key, n, key, signature) and rows of counters (slice, packed)."""
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         counts = np.zeros(COUNTERS, np.uint32)
-        names = ["doc_id", "text_key", "n", "key", "signature", "slice", "packed"]
+        names = ["doc_id", "text_key", "n", "key", "signature", "wide", "slice", "packed"]
         some = False
         for part in arrowkit.slices(batches, "text"):
             sets = arrowkit.Words(part.column("text"), fold=True).shingle_sets(k)
@@ -99,12 +104,12 @@ def _describe(k: int):
                 some = True
                 counts += np.bincount((np.concatenate(full) & U64(COUNTERS - 1)).astype(np.int64), minlength=COUNTERS).astype(np.uint32)
             none = pa.nulls(len(sets))
-            yield pa.RecordBatch.from_arrays([part.column("doc_id"), part.column("text_key"), pa.array(size), pa.array(key), pa.array([_parity(s) for s in sets], pa.binary()), none.cast(pa.int32()), none.cast(pa.binary())], names=names)
+            yield pa.RecordBatch.from_arrays([part.column("doc_id"), part.column("text_key"), pa.array(size), pa.array(key), pa.array([_parity(s) for s in sets], pa.binary()), pa.array([_parity(s, WIDE_WORDS) if len(s) > WIDE_FROM else b"" for s in sets], pa.binary()), none.cast(pa.int32()), none.cast(pa.binary())], names=names)
         if some:
             press = zstandard.ZstdCompressor(level=1)
             blobs = [press.compress(c.tobytes()) for c in np.split(counts, _SLICES)]
             none = pa.nulls(_SLICES)
-            yield pa.RecordBatch.from_arrays([*[none.cast(pa.int64())] * 4, none.cast(pa.binary()), pa.array(range(_SLICES), pa.int32()), pa.array(blobs, pa.binary())], names=names)
+            yield pa.RecordBatch.from_arrays([*[none.cast(pa.int64())] * 4, *[none.cast(pa.binary())] * 2, pa.array(range(_SLICES), pa.int32()), pa.array(blobs, pa.binary())], names=names)
 
     return run
 
@@ -332,11 +337,65 @@ def _met(nodes: DataFrame, limit: Threshold, n: int, across: bool) -> DataFrame:
     return rows.mapInArrow(_pairs(limit, across), "a long, b long").distinct()
 
 
-def _sets(k: int):
+def _apart(limit: Threshold):
+    """Drops the pairs whose longer signatures differ in too many places."""
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            keep = []
+            for x, y, total in zip(batch.column("x").to_pylist(), batch.column("y").to_pylist(), batch.column("total").to_pylist()):
+                keep.append(not x or not y or int(np.bitwise_count(np.frombuffer(x, U64) ^ np.frombuffer(y, U64)).sum()) <= limit.most_apart(total))
+            yield batch.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
+
+    return run
+
+
+def _place(doc_id: np.ndarray, key: np.ndarray) -> np.ndarray:
+    return (mix(doc_id.view(U64) ^ mix(key.view(U64), 90), 91) % U64(WANTED_BITS)).astype(np.int64)
+
+
+def _wanted_bits(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    bits, some = np.zeros(WANTED_BITS, bool), False
+    for batch in batches:
+        some = some or batch.num_rows > 0
+        bits[_place(batch.column("rep").to_numpy(), batch.column("key").to_numpy())] = True
+    if some:
+        press = zstandard.ZstdCompressor(level=1)
+        blobs = [press.compress(b.tobytes()) for b in np.split(np.packbits(bits), _SLICES)]
+        yield pa.RecordBatch.from_arrays([pa.array(range(_SLICES), pa.int32()), pa.array(blobs, pa.binary())], names=["slice", "packed"])
+
+
+def _join_bits(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    joined: dict[int, np.ndarray] = {}
+    loose, press = zstandard.ZstdDecompressor(), zstandard.ZstdCompressor(level=1)
+    for batch in batches:
+        for s, blob in zip(batch.column("slice").to_pylist(), batch.column("packed")):
+            bits = np.frombuffer(loose.decompress(blob.as_py()), np.uint8)
+            joined[s] = joined[s] | bits if s in joined else bits
+    yield pa.RecordBatch.from_arrays([pa.array(joined, pa.int32()), pa.array([press.compress(v.tobytes()) for v in joined.values()], pa.binary())], names=["slice", "packed"])
+
+
+def _wanted(rows: DataFrame) -> np.ndarray:
+    """Bit table of the (rep, key) rows; its size is fixed."""
+    schema = "slice int, packed binary"
+    found = rows.mapInArrow(_wanted_bits, schema).repartition(min(_SLICES, parts(rows.sparkSession)), "slice").mapInArrow(_join_bits, schema).collect()
+    out = np.zeros(WANTED_BITS // 8, np.uint8)
+    width = len(out) // _SLICES
+    for r in found:
+        out[r["slice"] * width:(r["slice"] + 1) * width] = np.frombuffer(zstandard.ZstdDecompressor().decompress(r["packed"]), np.uint8)
+    return out
+
+
+def _sets(k: int, wanted):
+    """(key, tokens) of the texts whose doc_id and key are in the bit table."""
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        table = wanted.value
         for part in arrowkit.slices(batches, "text"):
             sets = arrowkit.Words(part.column("text"), fold=True).shingle_sets(k)
-            yield pa.RecordBatch.from_arrays([pa.array(_set_keys(sets).view(np.int64)), arrowkit.list_of(sets, pa.int64())], names=["key", "tokens"])
+            key = _set_keys(sets).view(np.int64)
+            place = _place(part.column("doc_id").to_numpy(), key)
+            hit = np.flatnonzero((table[place >> 3] >> (7 - (place & 7)).astype(np.uint8)) & 1)
+            if len(hit):
+                yield pa.RecordBatch.from_arrays([pa.array(key[hit]), arrowkit.list_of([sets[i] for i in hit], pa.int64())], names=["key", "tokens"])
 
     return run
 
@@ -354,39 +413,40 @@ def similar_documents(docs: DataFrame, k: int = 5, num: int = 4, den: int = 5) -
     limit, spark = Threshold(num, den), docs.sparkSession
     n = parts(spark)
     source = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(_LAST)).alias("doc_id"), F.xxhash64("text").alias("text_key"), "text")
-    described = checkpointed(source.mapInArrow(_describe(k), "doc_id long, text_key long, n long, key long, signature binary, slice int, packed binary"))
+    described = checkpointed(source.mapInArrow(_describe(k), "doc_id long, text_key long, n long, key long, signature binary, wide binary, slice int, packed binary"))
     documents = described.filter("slice is null")
     classes = spark.sparkContext.broadcast(_classes(described))  # COUNTERS bytes, whatever the input
 
-    class Table:  # the broadcast is read on the executors only
-        def __call__(self):
-            return classes.value
-
-    table = Table()
-
     def prefixes(batches):
-        return _prefixes(k, limit, n, table())(batches)
+        return _prefixes(k, limit, n, classes.value)(batches)
 
     packed = source.select("text").mapInArrow(prefixes, "bucket int, orders binary, tokens binary, keys binary")
     entries = packed.repartition(n, "bucket").mapInArrow(_shared_tokens, "key long, ord tinyint, token long")
     linked = entries.repartition(n, "key").sortWithinPartitions("key").mapInArrow(_by_key, "key long, tokens array<long>, bloom binary")
-    distinct_sets = documents.filter("n > 0").groupBy("key").agg(F.min(F.struct("doc_id", "text_key")).alias("first"), F.min("n").alias("n"), F.min("signature").alias("signature"))
-    nodes = checkpointed(linked.join(distinct_sets, "key").select("key", F.col("first.doc_id").alias("rep"), "n", "tokens", "bloom", "signature"))
-
-    chosen = nodes.select(F.col("rep").alias("doc_id")).distinct()
-    sets = checkpointed(source.select("doc_id", "text").join(chosen, "doc_id", "left_semi").select("text").mapInArrow(_sets(k), "key long, tokens array<long>").dropDuplicates(["key"]))
-
-    def verified(pairs: DataFrame) -> DataFrame:
-        one = pairs.join(sets.select(F.col("key").alias("b"), F.col("tokens").alias("y")), "b")
+    distinct_sets = documents.filter("n > 0").groupBy("key").agg(F.min(F.struct("doc_id", "text_key")).alias("first"), F.min("n").alias("n"), F.min("signature").alias("signature"), F.min("wide").alias("wide"))
+    nodes = checkpointed(linked.join(distinct_sets, "key").select("key", F.col("first.doc_id").alias("rep"), "n", "tokens", "bloom", "signature", "wide"))
+
+    side = nodes.select("key", "rep", "n", "wide")
+
+    def verified(pairs: DataFrame) -> tuple[DataFrame, DataFrame]:
+        """The pairs that came close enough to be read, and those of them that are links."""
+        a, b = (side.select(F.col("key").alias(c), F.col("n").alias(f"n{c}"), F.col("wide").alias(w)) for c, w in (("a", "x"), ("b", "y")))
+        close = pairs.join(a, "a").join(b, "b").select("a", "b", "x", "y", (F.col("na") + F.col("nb")).alias("total")).mapInArrow(_apart(limit), "a long, b long")
+        close = checkpointed(close)
+        ends = close.select(F.col("a").alias("key")).union(close.select(F.col("b").alias("key"))).distinct().join(side, "key").select("rep", "key")
+        wanted = spark.sparkContext.broadcast(_wanted(ends))  # WANTED_BITS bits, whatever the input
+        sets = source.select("doc_id", "text").mapInArrow(_sets(k, wanted), "key long, tokens array<long>").dropDuplicates(["key"])
+        one = close.join(sets.select(F.col("key").alias("b"), F.col("tokens").alias("y")), "b")
         two = one.join(sets.select(F.col("key").alias("a"), F.col("tokens").alias("x")), "a")
         common = F.size(F.array_intersect("x", "y"))
-        return two.filter(common * (num + den) >= F.lit(num) * (F.size("x") + F.size("y"))).select("a", "b")
+        links = two.filter(common * (num + den) >= F.lit(num) * (F.size("x") + F.size("y"))).select("a", "b")
+        return close, checkpointed(links)
 
-    first = checkpointed(verified(_met(nodes, limit, n, False)))
+    tried, first = verified(_met(nodes, limit, n, False))
     roots = components(first)
     marked = nodes.join(roots.withColumnRenamed("a", "key"), "key", "left").withColumn("root", F.coalesce("root", "key"))
-    links = first.union(verified(_met(marked, limit, n, True)))
-    roots = components(links)
+    _, second = verified(_met(marked, limit, n, True).join(tried, ["a", "b"], "left_anti"))
+    roots = components(first.union(second))
 
     whole = distinct_sets.select("key", "first").join(roots.withColumnRenamed("a", "key"), "key", "left").withColumn("root", F.coalesce("root", "key"))
     heads = roots.join(distinct_sets.select(F.col("key").alias("a"), "first"), "a").groupBy("root").agg(F.min("first").alias("head"))

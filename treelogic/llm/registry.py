@@ -58,6 +58,12 @@ def op10_document_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
     return compare_with_edits(table(spark, sf_dir, "documents"))
 
 
+def op6_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from treelogic.llm.lang_ppm import predict_held_out
+
+    return predict_held_out(table(spark, sf_dir, "documents"))
+
+
 def op8_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     from treelogic.llm.substring_dedup import drop_repeats
 
@@ -65,7 +71,7 @@ def op8_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_bpe_codec, op3_ngram_jaccard, op4_topk_search, op8_substring_dedup, op10_document_fingerprints)}
+    return {f.__name__: f for f in (op1_bpe_codec, op3_ngram_jaccard, op4_topk_search, op6_language_id, op8_substring_dedup, op10_document_fingerprints)}
 
 
 def oracle_sql() -> dict[str, str]:

@@ -33,7 +33,7 @@ from treelogic.llm.shared import parts
 #: Low bits of a seed's rank that hold its place, so that ties go to the right.
 _PLACE = U64((1 << 28) - 1)
 _LOW48 = U64((1 << 48) - 1)
-CHUNK_BYTES = 10 << 20
+CHUNK_BYTES = 6 << 20
 #: Buckets of seeds for each shuffle partition: a task holds one bucket at a time.
 BUCKETS_A_TASK = 8
 
