@@ -24,6 +24,12 @@ def op1_bpe_codec(spark: SparkSession, sf_dir: str) -> DataFrame:
     return encode_texts(table(spark, sf_dir, "documents"), tokenizer_path())
 
 
+def op2_html_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from treelogic.llm.html_tree import extract
+
+    return extract(table(spark, sf_dir, "pages"))
+
+
 def op3_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
     from treelogic.llm.jaccard_join import similar_documents
 
@@ -71,7 +77,7 @@ def op8_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_bpe_codec, op3_ngram_jaccard, op4_topk_search, op6_language_id, op8_substring_dedup, op10_document_fingerprints)}
+    return {f.__name__: f for f in (op1_bpe_codec, op2_html_text, op3_ngram_jaccard, op4_topk_search, op6_language_id, op8_substring_dedup, op10_document_fingerprints)}
 
 
 def oracle_sql() -> dict[str, str]:
