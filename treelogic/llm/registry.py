@@ -70,6 +70,12 @@ def op6_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return predict_held_out(table(spark, sf_dir, "documents"))
 
 
+def op7_token_store(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from treelogic.llm.token_store import round_trip
+
+    return round_trip(table(spark, sf_dir, "documents"), tokenizer_path())
+
+
 def op8_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     from treelogic.llm.substring_dedup import drop_repeats
 
@@ -77,7 +83,7 @@ def op8_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_bpe_codec, op2_html_text, op3_ngram_jaccard, op4_topk_search, op6_language_id, op8_substring_dedup, op10_document_fingerprints)}
+    return {f.__name__: f for f in (op1_bpe_codec, op2_html_text, op3_ngram_jaccard, op4_topk_search, op6_language_id, op7_token_store, op8_substring_dedup, op10_document_fingerprints)}
 
 
 def oracle_sql() -> dict[str, str]:

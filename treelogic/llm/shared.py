@@ -8,14 +8,18 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 
-def checkpointed(df: DataFrame, eager: bool = True) -> DataFrame:
-    """Writes the rows to the folder in ``spark.checkpoint.dir`` and cuts the lineage there.
+def shared_folder(spark: SparkSession) -> str:
+    """The folder in ``spark.checkpoint.dir``; only a session without that setting (a test) gets its own."""
+    folder = spark.conf.get("spark.checkpoint.dir", "") or spark.sparkContext.getCheckpointDir()
+    if not folder:
+        folder = tempfile.mkdtemp(prefix="checkpoint-")
+        spark.sparkContext.setCheckpointDir(folder)
+    return folder.rstrip("/")
+
 
-    Only a session without that setting (a test) gets a folder of its own.
-    """
-    spark = df.sparkSession
-    if not spark.conf.get("spark.checkpoint.dir", "") and spark.sparkContext.getCheckpointDir() is None:
-        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="checkpoint-"))
+def checkpointed(df: DataFrame, eager: bool = True) -> DataFrame:
+    """Writes the rows to the shared folder and cuts the lineage there."""
+    shared_folder(df.sparkSession)
     return df.checkpoint(eager)
 
 
