@@ -58,12 +58,76 @@ WITH v AS (
 """
 
 
+def op9_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from treelogic.llm.token_counts import section_counts
+
+    return section_counts(table(spark, sf_dir, "documents"), tokenizer_path("byte_bpe_50k.tiktoken"), rule="most")
+
+
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
 def op10_document_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
     from treelogic.llm.fingerprints import compare_with_edits
 
     return compare_with_edits(table(spark, sf_dir, "documents"))
 
 
+def op5_source_mixture(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from treelogic.llm import mixture
+
+    docs = mixture.with_domain(table(spark, sf_dir, "documents"))
+    return mixture.mix_documents(docs, mixture.LEVELS, mixture.WEIGHTS, (1, 1), max_epochs=2, seed=17)
+
+
+def _level_sql(name: str, source: str, path: tuple[str, ...], weight: str) -> str:
+    """One level of the budget tree: capacities of a level's nodes, and their shares of what their parent has."""
+    level, parents = path[-1], ", ".join(path[:-1]) or "1"
+    keys = ", ".join(path)
+    order = f"PARTITION BY {parents} ORDER BY CAST(capacity AS DOUBLE) / weight, {level}"
+    return f"""
+{name}_n AS (
+    SELECT {keys}, up, CAST(sum(leaf_tokens) * 2 AS BIGINT) AS capacity, {weight} AS weight FROM {source} GROUP BY {keys}, up
+), {name}_f AS (
+    SELECT *, capacity * sum(weight) OVER ({order} ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING)
+        <= weight * (up - coalesce(sum(capacity) OVER ({order} ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)) AS is_full FROM {name}_n
+), {name}_l AS (
+    SELECT *, up - coalesce(sum(CASE WHEN is_full THEN capacity END) OVER (PARTITION BY {parents}), 0) AS rest_up,
+        sum(CASE WHEN NOT is_full THEN weight END) OVER (PARTITION BY {parents}) AS rest_weight FROM {name}_f
+), {name} AS (
+    SELECT s.* EXCLUDE (up), CAST(CASE WHEN is_full THEN capacity ELSE weight * rest_up // rest_weight END AS BIGINT) AS up FROM {source} s JOIN {name}_l USING ({keys})
+)"""
+
+
+def _case(column: str, weights: dict[str, int]) -> str:
+    return f"CASE {column} " + " ".join(f"WHEN '{k}' THEN {v}" for k, v in weights.items()) + " ELSE 1 END"
+
+
+def op5_sql() -> str:
+    from treelogic.llm import mixture
+
+    return f"""
+WITH rows_ AS (
+    SELECT doc_id, 'd' || CAST(coalesce(TRY_CAST(regexp_extract(source, '([0-9]+)$', 1) AS BIGINT), 0) % 4 AS VARCHAR) AS domain, coalesce(lang, '') AS lang, coalesce(source, '') AS source,
+        CAST(len(regexp_extract_all(coalesce(text, ''), '[^ \\t\\n\\x0B\\f\\r]+')) AS BIGINT) AS n_tokens FROM documents
+), leaves AS (
+    SELECT domain, lang, source, CAST(sum(n_tokens) AS BIGINT) AS leaf_tokens FROM rows_ GROUP BY ALL
+), base AS (
+    SELECT *, (SELECT CAST(sum(leaf_tokens) AS BIGINT) FROM leaves) AS up FROM leaves
+),{_level_sql("one", "base", ("domain",), _case("domain", mixture.WEIGHTS["domain"]))},{_level_sql("two", "one", ("domain", "lang"), _case("lang", mixture.WEIGHTS["lang"]))},{_level_sql("three", "two", ("domain", "lang", "source"), "1")},
+given AS (
+    SELECT *, CASE WHEN leaf_tokens > 0 THEN up // leaf_tokens ELSE 0 END AS whole_, CASE WHEN leaf_tokens > 0 THEN up % leaf_tokens ELSE up END AS rest FROM three
+), placed AS (
+    SELECT r.*, whole_, rest, coalesce(sum(n_tokens) OVER (PARTITION BY domain, lang, source ORDER BY md5('17:' || CAST(whole_ + 1 AS VARCHAR) || ':' || coalesce(CAST(doc_id AS VARCHAR), 'null')), doc_id, n_tokens ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS before_
+    FROM rows_ r JOIN given USING (domain, lang, source)
+), cut AS (SELECT *, greatest(least(n_tokens, rest - before_), 0) AS part FROM placed)
+SELECT doc_id, domain, lang, source, n_tokens, CAST(CASE WHEN n_tokens > 0 THEN whole_ + CASE WHEN part > 0 THEN 1 ELSE 0 END ELSE 0 END AS BIGINT) AS epochs, CAST(whole_ * n_tokens + part AS BIGINT) AS taken_tokens FROM cut
+"""
+
+
 def op6_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     from treelogic.llm.lang_ppm import predict_held_out
 
@@ -83,8 +147,8 @@ def op8_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_bpe_codec, op2_html_text, op3_ngram_jaccard, op4_topk_search, op6_language_id, op7_token_store, op8_substring_dedup, op10_document_fingerprints)}
+    return {f.__name__: f for f in (op1_bpe_codec, op2_html_text, op3_ngram_jaccard, op4_topk_search, op5_source_mixture, op6_language_id, op7_token_store, op8_substring_dedup, op9_token_counts, op10_document_fingerprints, pipeline)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op4_topk_search": OP4_SQL}
+    return {"op4_topk_search": OP4_SQL, "op5_source_mixture": op5_sql()}

@@ -53,3 +53,10 @@ def range_of(key: str, cuts: list[int]):
         return place(F.col(key).cast("long"))
     table = F.array(*[F.lit(c).cast("long") for c in cuts])
     return F.coalesce(F.size(F.filter(table, lambda c: c <= F.col(key).cast("long"))), F.lit(0)).cast("int")
+
+
+def shielded(df: DataFrame, *needed: str) -> tuple[DataFrame, list]:
+    """The rows with all but the needed columns under names that clash with nothing, and the
+    columns that give back the original names."""
+    names = {c: c if c in needed else f"__kept{i}" for i, c in enumerate(df.columns)}
+    return df.select(*[F.col(f"`{c}`").alias(n) for c, n in names.items()]), [F.col(n).alias(c) for c, n in names.items()]
