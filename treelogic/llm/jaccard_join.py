@@ -3,9 +3,9 @@
 Order a set's shingles by any global order: two sets whose Jaccard similarity
 reaches the threshold share a shingle within the first n - ceil(t n) + 1 of
 each.  That holds for every order, so the filters of several orders may be
-intersected.  Here all orders put shingles that are common in the whole corpus
-last (by a counter table of fixed size filled from every document) and differ
-in how they arrange the rest.
+intersected.  Here all orders put rare shingles first (by a table of counters of
+fixed size filled from every document); they differ in how coarsely they tell
+rare from common and in how they arrange the rest.
 
 1. Sets that are equal are one node, named by a hash of the set.
 2. Each node sends its prefix shingles under every order.  Where only one node
@@ -16,9 +16,10 @@ in how they arrange the rest.
    other orders intersect, and if the parity bits of the two sets differ in no
    more places than the sets may.  The group sends a spanning forest of its
    candidate pairs, not all pairs.
-4. Forest pairs are verified on the whole sets and give components.  Groups in
-   which several components are left then send every candidate pair between
-   different components; after these are verified no link can be missing.
+4. Forest pairs are verified on the whole sets and give components.  Trees of
+   three or more nodes in which several components are left then send every
+   candidate pair between different components; after these are verified no
+   link can be missing.
 
 Pairs inside a component need no test: the result is the components.
 """
@@ -39,8 +40,10 @@ from treelogic.llm.arrowkit import U64, mix
 from treelogic.llm.components import components
 from treelogic.llm.shared import checkpointed, parts
 
-ORDERS = 3
-COUNTERS = 1 << 20
+#: The token orders: each groups the rarity scale by one of these steps and has its own hash order within.
+STEPS = (1, 5, 8)
+ORDERS = len(STEPS)
+COUNTERS = 1 << 22
 _SLICES = 64
 SIGNATURE_WORDS = 8
 #: Words of the longer parity signature that sets over WIDE_FROM shingles also have.
@@ -51,6 +54,7 @@ WANTED_BITS = 1 << 25
 BLOOM_WORDS = 4
 CHUNK_BYTES = 10 << 20
 _LAST = 2**63 - 1
+_LOW48 = U64((1 << 48) - 1)
 
 
 @dataclass(frozen=True)
@@ -121,19 +125,18 @@ def _add_counters(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
     for batch in batches:
         for s, blob in zip(batch.column("slice").to_pylist(), batch.column("packed")):
             sums[s] = sums.get(s, np.zeros(width, np.int64)) + np.frombuffer(loose.decompress(blob.as_py()), np.uint32)
-    yield pa.RecordBatch.from_arrays([pa.array(sums, pa.int32()), pa.array([v.tobytes() for v in sums.values()], pa.binary())], names=["slice", "packed"])
+    scale = [np.minimum(np.round(12 * np.log2(v + 1.0)), 255).astype(np.uint8).tobytes() for v in sums.values()]
+    yield pa.RecordBatch.from_arrays([pa.array(sums, pa.int32()), pa.array(scale, pa.binary())], names=["slice", "packed"])
 
 
-def _classes(described: DataFrame) -> np.ndarray:
-    """How common the shingles of each counter are: 0 for the usual load, else the logarithm of the excess."""
+def _rarity(described: DataFrame) -> np.ndarray:
+    """How common the shingles of each counter are, on a logarithmic scale of 0 to 255."""
     rows = described.filter("slice is not null").select("slice", "packed").repartition(min(_SLICES, parts(described.sparkSession)), "slice").mapInArrow(_add_counters, "slice int, packed binary").collect()
     width = COUNTERS // _SLICES
-    counts = np.zeros(COUNTERS, np.int64)  # the one table that reaches the driver: its size is fixed
+    out = np.zeros(COUNTERS, np.uint8)  # the one table that reaches the driver: its size is fixed
     for r in rows:
-        counts[r["slice"] * width:(r["slice"] + 1) * width] = np.frombuffer(r["packed"], np.int64)
-    usual = np.median(counts)
-    excess = counts - usual - 5 * np.sqrt(usual + 1)
-    return np.where(excess > 0, np.minimum(np.log2(np.maximum(excess, 1)) + 1, 50), 0).astype(np.uint8)
+        out[r["slice"] * width:(r["slice"] + 1) * width] = np.frombuffer(r["packed"], np.uint8)
+    return out
 
 
 def _prefixes(k: int, limit: Threshold, buckets: int, table: np.ndarray):
@@ -151,35 +154,54 @@ def _prefixes(k: int, limit: Threshold, buckets: int, table: np.ndarray):
                         continue
                     seen.add(key)
                     p = limit.prefix(len(s))
-                    group = table[(s & U64(COUNTERS - 1)).astype(np.int64)].astype(U64) << U64(58)
-                    for order in range(ORDERS):
-                        rank = group | (mix(s, 100 + order) >> U64(6))
+                    common = table[(s & U64(COUNTERS - 1)).astype(np.int64)]
+                    for order, step in enumerate(STEPS):
+                        rank = (common // np.uint8(step)).astype(U64) << U64(56) | (mix(s, 100 + order) >> U64(8))
                         held[order].append(s[np.argpartition(rank, p - 1)[:p]] if p < len(s) else s)
                     keys.append(key)
                     size.append(p)
             if not keys:
                 continue
-            token = np.concatenate([t for one in held for t in one])
+            token = mix(np.concatenate([t for one in held for t in one]), 51)
             order = np.repeat(np.arange(ORDERS, dtype=np.uint8), sum(size))
-            key = np.tile(np.repeat(np.array(keys, U64), size), ORDERS)
-            bucket = (mix(token, 51) % U64(buckets)).astype(np.int32)
-            at = np.argsort(bucket, kind="stable")
+            number = np.tile(np.repeat(np.arange(len(keys), dtype=np.uint32), size), ORDERS)
+            bucket = (token % U64(buckets)).astype(np.int32)
+            at = np.lexsort((order, bucket))
             edges = np.searchsorted(bucket[at], np.arange(buckets + 1))
             full = [b for b in range(buckets) if edges[b] < edges[b + 1]]
-            rows = [at[edges[b]:edges[b + 1]] for b in full]
-            yield pa.RecordBatch.from_arrays([pa.array(full, pa.int32()), pa.array([order[r].tobytes() for r in rows], pa.binary()), pa.array([token[r].tobytes() for r in rows], pa.binary()), pa.array([key[r].tobytes() for r in rows], pa.binary())], names=["bucket", "orders", "tokens", "keys"])
+            names = np.array(keys, U64)
+            blobs = []
+            for b in full:
+                rows = at[edges[b]:edges[b + 1]]
+                nodes, place = np.unique(number[rows], return_inverse=True)
+                t = token[rows] & _LOW48  # shortened names of shingles can add candidates, never lose one
+                blobs.append(_pack(np.bincount(order[rows], minlength=ORDERS).astype(np.int64), names[nodes], (t & U64(0xFFFFFFFF)).astype(np.uint32), (t >> U64(32)).astype(np.uint16), place.astype(np.uint16 if len(nodes) <= 1 << 16 else np.uint32)))
+            yield pa.RecordBatch.from_arrays([pa.array(full, pa.int32()), pa.array(blobs, pa.binary())], names=["bucket", "packed"])
 
     return run
 
 
+def _pack(*arrays: np.ndarray) -> bytes:
+    return np.array([a.nbytes for a in arrays], np.int64).tobytes() + b"".join(a.tobytes() for a in arrays)
+
+
+def _unpack(blob: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(order, token, key) of the entries of a packed row."""
+    sizes = np.frombuffer(blob, np.int64, 5)
+    at = 40 + np.concatenate(([0], np.cumsum(sizes)))
+    part = lambda i, kind: np.frombuffer(blob, kind, int(sizes[i]) // np.dtype(kind).itemsize, int(at[i]))
+    number, names, low, high = part(0, np.int64), part(1, U64), part(2, np.uint32), part(3, np.uint16)
+    place = part(4, np.uint16 if len(names) <= 1 << 16 else np.uint32)
+    return np.repeat(np.arange(ORDERS, dtype=np.uint8), number), low.astype(U64) | high.astype(U64) << U64(32), names[place]
+
+
 def _shared_tokens(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """The (key, order, token) entries whose token another key has too under that order."""
     orders, tokens, keys = [], [], []
     for batch in batches:
-        for o, t, k in zip(batch.column("orders"), batch.column("tokens"), batch.column("keys")):
-            orders.append(np.frombuffer(o.as_buffer(), np.uint8))
-            tokens.append(np.frombuffer(t.as_buffer(), U64))
-            keys.append(np.frombuffer(k.as_buffer(), U64))
+        for blob in batch.column("packed"):
+            for kept, x in zip((orders, tokens, keys), _unpack(blob.as_py())):
+                kept.append(x)
     if not keys:
         return
     order, token, key = np.concatenate(orders), np.concatenate(tokens), np.concatenate(keys)
@@ -255,12 +277,19 @@ class _Group:
         apart = np.bitwise_count(self.signature[others] ^ self.signature[i]).sum(axis=1, dtype=np.int64)
         return others[apart <= self.limit.most_apart(n + m)]
 
-    def forest(self) -> list[tuple[int, int]]:
-        """Spanning forest of the candidate pairs, breadth first; nodes come in the order of their documents."""
+    def forest(self) -> tuple[list[tuple[int, int]], list[int]]:
+        """Spanning forest of the candidate pairs, and the nodes of its trees of three or more.
+
+        Breadth first, nodes in the order of their documents.  Nodes of different
+        trees are no candidates; of a tree of two all pairs are in the forest.
+        """
         left = np.arange(len(self.key))
-        out = []
+        out: list[tuple[int, int]] = []
+        large: list[int] = []
         while len(left):
             queue, left = [int(left[0])], left[1:]
+            before = len(out)
+            root = queue[0]
             while queue and len(left):
                 i = queue.pop()
                 found = self.candidates(i, left)
@@ -268,7 +297,9 @@ class _Group:
                     out += [(i, int(j)) for j in found]
                     left = np.setdiff1d(left, found, assume_unique=True)
                     queue += found.tolist()
-        return out
+            if len(out) > before + 1:
+                large += [root, *(j for _, j in out[before:])]
+        return out, large
 
     def between(self, root: np.ndarray) -> list[tuple[int, int]]:
         """Every candidate pair of different roots."""
@@ -277,6 +308,7 @@ class _Group:
 
 
 def _pairs(limit: Threshold, across: bool):
+    """Rows (a, b) of candidate pairs and, for the first round, rows (a, token) of the nodes to look at again."""
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen: set[bytes] = set()
         sent: set[tuple[int, int]] = set()
@@ -288,7 +320,7 @@ def _pairs(limit: Threshold, across: bool):
             bloom = np.frombuffer(b"".join(rows.column("bloom").to_pylist()), U64).reshape(len(key), ORDERS - 1, BLOOM_WORDS)
             signature = np.frombuffer(b"".join(rows.column("signature").to_pylist()), U64).reshape(len(key), SIGNATURE_WORDS)
             head = np.flatnonzero(np.concatenate(([True], token[1:] != token[:-1])))
-            found = []
+            found: list[tuple[int, int | None, int | None]] = []
             for i, j in zip(head.tolist(), [*head[1:].tolist(), len(token)]):
                 if j - i < 2 or across and (root[i:j] == root[i]).all():
                     continue
@@ -299,15 +331,17 @@ def _pairs(limit: Threshold, across: bool):
                     seen.clear()
                 seen.add(name)
                 group = _Group(limit, key[i:j], n[i:j], bloom[i:j], signature[i:j])
-                for a, b in group.between(root[i:j]) if across else group.forest():
+                pairs, again = (group.between(root[i:j]), []) if across else group.forest()
+                for a, b in pairs:
                     pair = int(key[i + a]), int(key[i + b])
                     pair = pair if pair[0] < pair[1] else pair[::-1]
                     if pair not in sent:
                         if len(sent) > 1_000_000:
                             sent.clear()
                         sent.add(pair)
-                        found.append(pair)
-            return pa.RecordBatch.from_arrays([pa.array([p[0] for p in found], pa.int64()), pa.array([p[1] for p in found], pa.int64())], names=["a", "b"])
+                        found.append((*pair, None))
+                found += [(int(key[i + a]), None, int(token[i])) for a in again]
+            return pa.RecordBatch.from_arrays([pa.array([f[c] for f in found], pa.int64()) for c in range(3)], names=["a", "b", "token"])
 
         rest = None
         for batch in batches:
@@ -315,11 +349,8 @@ def _pairs(limit: Threshold, across: bool):
             now = pa.concat_tables([rest, now]) if rest is not None else now
             if not now.num_rows:
                 continue
-            last_token = now.column("token")[now.num_rows - 1].as_py()
-            same = now.column("token").to_numpy() == last_token
-            last = int(np.argmax(same))
-            if not same[last:].all():
-                raise AssertionError("rows of a shingle are not together")
+            token = now.column("token").to_numpy()
+            last = int(np.argmax(token == token[-1]))  # the last group may go on
             rest = now.slice(last)
             if last:
                 yield close(now.slice(0, last))
@@ -329,12 +360,12 @@ def _pairs(limit: Threshold, across: bool):
     return run
 
 
-def _met(nodes: DataFrame, limit: Threshold, n: int, across: bool) -> DataFrame:
-    """Candidate pairs of the nodes that meet on a shingle of the first order."""
+def _met(rows: DataFrame, limit: Threshold, n: int, across: bool) -> DataFrame:
+    """What comes of the nodes (with ``token``) that meet on a shingle of the first order."""
     more = ["root"] if across else []
-    rows = nodes.select(F.explode("tokens").alias("token"), "key", "rep", "n", "bloom", "signature", *more)
+    rows = rows.select("token", "key", "rep", "n", "bloom", "signature", *more)
     rows = rows.repartition(n, "token").sortWithinPartitions("token", "rep", "key").drop("rep")
-    return rows.mapInArrow(_pairs(limit, across), "a long, b long").distinct()
+    return rows.mapInArrow(_pairs(limit, across), "a long, b long, token long")
 
 
 def _apart(limit: Threshold):
@@ -415,12 +446,12 @@ def similar_documents(docs: DataFrame, k: int = 5, num: int = 4, den: int = 5) -
     source = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(_LAST)).alias("doc_id"), F.xxhash64("text").alias("text_key"), "text")
     described = checkpointed(source.mapInArrow(_describe(k), "doc_id long, text_key long, n long, key long, signature binary, wide binary, slice int, packed binary"))
     documents = described.filter("slice is null")
-    classes = spark.sparkContext.broadcast(_classes(described))  # COUNTERS bytes, whatever the input
+    classes = spark.sparkContext.broadcast(_rarity(described))  # COUNTERS bytes, whatever the input
 
     def prefixes(batches):
         return _prefixes(k, limit, n, classes.value)(batches)
 
-    packed = source.select("text").mapInArrow(prefixes, "bucket int, orders binary, tokens binary, keys binary")
+    packed = source.select("text").mapInArrow(prefixes, "bucket int, packed binary")
     entries = packed.repartition(n, "bucket").mapInArrow(_shared_tokens, "key long, ord tinyint, token long")
     linked = entries.repartition(n, "key").sortWithinPartitions("key").mapInArrow(_by_key, "key long, tokens array<long>, bloom binary")
     distinct_sets = documents.filter("n > 0").groupBy("key").agg(F.min(F.struct("doc_id", "text_key")).alias("first"), F.min("n").alias("n"), F.min("signature").alias("signature"), F.min("wide").alias("wide"))
@@ -442,10 +473,12 @@ def similar_documents(docs: DataFrame, k: int = 5, num: int = 4, den: int = 5) -
         links = two.filter(common * (num + den) >= F.lit(num) * (F.size("x") + F.size("y"))).select("a", "b")
         return close, checkpointed(links)
 
-    tried, first = verified(_met(nodes, limit, n, False))
+    met = checkpointed(_met(nodes.withColumn("token", F.explode("tokens")), limit, n, False))
+    tried, first = verified(met.filter("b is not null").select("a", "b").distinct())
     roots = components(first)
-    marked = nodes.join(roots.withColumnRenamed("a", "key"), "key", "left").withColumn("root", F.coalesce("root", "key"))
-    _, second = verified(_met(marked, limit, n, True).join(tried, ["a", "b"], "left_anti"))
+    again = met.filter("b is null").select(F.col("a").alias("key"), "token").join(nodes, "key").join(roots.withColumnRenamed("a", "key"), "key", "left")
+    more = _met(again.withColumn("root", F.coalesce("root", "key")), limit, n, True).select("a", "b").distinct()
+    _, second = verified(more.join(tried, ["a", "b"], "left_anti"))
     roots = components(first.union(second))
 
     whole = distinct_sets.select("key", "first").join(roots.withColumnRenamed("a", "key"), "key", "left").withColumn("root", F.coalesce("root", "key"))
