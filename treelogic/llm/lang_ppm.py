@@ -149,7 +149,10 @@ def fit(texts: dict[str, list[bytes]], order_contexts: int = CONTEXTS) -> PpmMod
 def training_rows(docs: DataFrame, docs_a_language: int = DOCS_A_LANGUAGE) -> DataFrame:
     """At most ``docs_a_language`` labelled texts of each language, by the order of a hash of the id."""
     ids = docs.filter("lang is not null and text is not null").select("lang", "doc_id").withColumn("h", F.xxhash64("doc_id"))
-    chosen = ids.withColumn("r", F.row_number().over(Window.partitionBy("lang").orderBy("h", "doc_id"))).filter(F.col("r") <= docs_a_language)
+    # in two steps: what the second one gathers for a language is bounded
+    first = F.row_number().over(Window.partitionBy("lang", F.pmod("h", F.lit(256))).orderBy("h", "doc_id"))
+    few = ids.withColumn("r", first).filter(F.col("r") <= docs_a_language).drop("r")
+    chosen = few.withColumn("r", F.row_number().over(Window.partitionBy("lang").orderBy("h", "doc_id"))).filter(F.col("r") <= docs_a_language)
     kept = [r[0] for r in chosen.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(LANGUAGES).collect()]
     few = chosen.filter(F.col("lang").isin(kept)).select("lang", "doc_id")  # at most LANGUAGES * docs_a_language ids
     return docs.filter("text is not null").select("lang", "doc_id", "text").join(F.broadcast(few), ["lang", "doc_id"], "left_semi").select("lang", "text")
