@@ -1,11 +1,554 @@
-"""Queries by name, with their DuckDB counterparts."""
+"""Queries by name, with their DuckDB counterparts.
+
+Every query returns natural keys and counts, never node ids, so that results can
+be compared row by row.
+"""
 
 from __future__ import annotations
 
+from collections.abc import Callable
+from functools import reduce
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from treelogic.analysis.contain import contained, equivalent
+from treelogic.analysis.minimize import minimize, operator_twig_size
+from treelogic.analysis.satisfy import satisfiable
+from treelogic.baselines import joins as J
+from treelogic.baselines import twigs as T
+from treelogic.evaluate.engine import Options, Pipeline, candidates_all, evaluate, group_matches, projected
+from treelogic.graph import catalog
+from treelogic.graph.model import PropertyGraph
+from treelogic.index.chains import ChainIndex, natural_chains, three_leg_cover
+from treelogic.index.reach import Closure, Frontier, Interval
+from treelogic.index.scc import condense
+from treelogic.metrics import measures
+from treelogic.query.dsl import parse
+from treelogic.query.pattern import Atom, PatternNode, TreePattern, node
+from treelogic.streaming import events as streams
+from treelogic.workloads.patterns import AUCTION_KEYS, auction, natural, random_patterns, trio
+
+SLICE = 600
+_QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
+_SQL: dict[str, str] = {}
+
 
-def queries() -> dict:
-    return {}
+def query(sql: str | None = None, name: str | None = None):
+    def add(f):
+        _QUERIES[name or f.__name__] = f
+        if sql is not None:
+            _SQL[name or f.__name__] = sql
+        return f
+
+    return add
+
+
+def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
+    return dict(_QUERIES)
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return dict(_SQL)
+
+
+def table(spark: SparkSession, rows: list[tuple], schema: str) -> DataFrame:
+    return spark.createDataFrame(rows, schema)
+
+
+# candidates
+
+@query("SELECT c_custkey FROM customer WHERE c_acctbal >= 1000 AND c_acctbal < 5000 AND c_mktsegment = 'BUILDING' AND c_nationkey <> 3 AND c_custkey > 10 AND c_custkey <= 1400")
+def cand_attr_ops(spark, sf_dir):
+    g = catalog.commerce(spark, sf_dir)
+    atoms = (Atom("c_acctbal", ">=", 1000), Atom("c_acctbal", "<", 5000), Atom("c_mktsegment", "=", "BUILDING"), Atom("c_nationkey", "!=", 3), Atom("c_custkey", ">", 10), Atom("c_custkey", "<=", 1400))
+    p = TreePattern(PatternNode("c", atoms, "customer", output=True))
+    return evaluate(g, p, project={"c": ["c_custkey"]}).df
+
+
+@query("SELECT 'customer' AS kind, count(*) AS n FROM customer WHERE c_acctbal <> 0 UNION ALL SELECT 'supplier', count(*) FROM supplier WHERE s_acctbal <> 0")
+def cand_missing_attr_false(spark, sf_dir):
+    """A test on an attribute that most kinds lack, != included, holds for none of their nodes."""
+    g = catalog.commerce(spark, sf_dir)
+    either = [PatternNode(a, (Atom(a, "!=", 0),), output=True) for a in ("c_acctbal", "s_acctbal")]
+    found = [candidates_all(g, TreePattern(p)) for p in either]
+    kinds = {v: k for k, v in catalog.CODES.items()}
+    code = F.shiftright("node_id", 56).cast("int")
+    names = F.create_map(*[x for k, v in kinds.items() for x in (F.lit(k), F.lit(v))])
+    return reduce(DataFrame.union, found).groupBy(names[code].alias("kind")).agg(F.count("*").alias("n"))
+
+
+@query("SELECT DISTINCT c_custkey FROM customer JOIN orders ON o_custkey = c_custkey WHERE o_orderstatus = 'F' AND c_mktsegment = 'MACHINERY'")
+def pc_semijoin(spark, sf_dir):
+    p = parse("c:customer*[c_mktsegment = 'MACHINERY']{/o:orders![o_orderstatus = 'F']}")
+    return evaluate(catalog.commerce(spark, sf_dir), p, project={"c": ["c_custkey"]}).df
+
+
+@query("""SELECT r_regionkey, count(DISTINCT s_suppkey) AS suppliers FROM (
+    SELECT n_regionkey AS r_regionkey, s_suppkey FROM nation JOIN supplier ON s_nationkey = n_nationkey
+    UNION SELECT n_regionkey, l_suppkey FROM nation JOIN customer ON c_nationkey = n_nationkey JOIN orders ON o_custkey = c_custkey JOIN lineitem ON l_orderkey = o_orderkey
+) GROUP BY r_regionkey""")
+def ad_commerce_expand(spark, sf_dir):
+    """An ancestor-descendant edge that two paths of kinds can serve."""
+    g = catalog.commerce(spark, sf_dir)
+    rows = evaluate(g, parse("r:region*{//s:supplier*}"), project={"r": ["r_regionkey"], "s": ["s_suppkey"]}).df
+    return rows.groupBy("r_regionkey").agg(F.countDistinct("s_suppkey").alias("suppliers"))
+
+
+# auctions
+
+def _auction_sql(shape: int, a: int = 3, b: int = 7) -> str:
+    keys = "c_custkey, o_orderkey, p.p_partkey AS p_partkey" + (", s_suppkey" if shape >= 2 else "") + (", p2.p_partkey AS p2_partkey" if shape >= 3 else "")
+    out = f"SELECT DISTINCT {keys} FROM customer JOIN orders ON o_custkey = c_custkey JOIN lineitem l ON l.l_orderkey = o_orderkey JOIN part p ON p.p_partkey = l.l_partkey AND p.p_partkey % 10 = {b}"
+    if shape >= 2:
+        out += f" JOIN supplier ON s_suppkey = l.l_suppkey AND s_suppkey % 10 = {a}"
+    if shape >= 3:
+        out += f" JOIN lineitem l2 ON l2.l_orderkey = o_orderkey JOIN part p2 ON p2.p_partkey = l2.l_partkey AND p2.p_partkey % 10 = {(b + 1) % 10}"
+    return out + f" WHERE c_custkey % 10 = {a}"
+
+
+def auction_rows(graph: PropertyGraph, rows: DataFrame, shape: int) -> DataFrame:
+    names = {1: "cop", 2: "cops", 3: "cops"}[shape]
+    project = {n: [AUCTION_KEYS[n]] for n in names} | ({"p2": [("p_partkey", "p2_partkey")]} if shape == 3 else {})
+    return projected(graph, auction(shape), rows, project)
+
+
+def _auction(shape: int):
+    def run(spark, sf_dir):
+        g = catalog.commerce(spark, sf_dir)
+        return auction_rows(g, evaluate(g, auction(shape)).df, shape)
+
+    return run
+
+
+for _shape in (1, 2, 3):
+    query(_auction_sql(_shape), f"w{_shape}_auction")(_auction(_shape))
+
+# the order trio
+
+_YEARS = "o_orderdate >= TIMESTAMP '1996-01-01' AND o_orderdate < TIMESTAMP '1999-01-01'"
+_LINE = "EXISTS (SELECT 1 FROM lineitem WHERE l_orderkey = o_orderkey AND l_suppkey % 10 = {})"
+
+
+def _trio(pattern: TreePattern, **options):
+    def run(spark, sf_dir):
+        return evaluate(catalog.papers(spark, sf_dir), pattern, project={"o": ["o_orderkey"]}, **options).df
+
+    return run
+
+
+for _kind, _test in {"and": "{0} AND {1}", "or": "({0} OR {1})", "andnot": "{0} AND NOT {1}"}.items():
+    query(f"SELECT o_orderkey FROM orders WHERE {_YEARS} AND " + _test.format(_LINE.format(1), _LINE.format(2)), f"trio_{_kind}")(_trio(trio(_kind)))
+
+query(f"SELECT o_orderkey FROM orders WHERE {_YEARS} AND NOT ({_LINE.format(1)} OR NOT {_LINE.format(2)})", "nested_not_or")(_trio(trio(formula="not (l1 or not l2)")))
+query("SELECT o_orderkey FROM orders WHERE NOT EXISTS (SELECT 1 FROM lineitem WHERE l_orderkey = o_orderkey)", "all_order_no_line")(_trio(parse("o:orders*{//l:lineitem!} where not l")))
+query(f"SELECT o_orderkey FROM orders WHERE {_YEARS} AND {_LINE.format(1)} AND NOT {_LINE.format(2)}", "pc_exact")(_trio(trio("andnot", "pc")))
+
+# rounds and match graph
+
+_W1_DOWN = """
+p AS (SELECT p_partkey FROM part WHERE p_partkey % 10 = 7),
+l AS (SELECT DISTINCT l_orderkey, l_partkey, l_suppkey, l_linenumber, l_quantity, l_extendedprice, l_discount, l_tax, l_returnflag, l_linestatus, l_shipdate FROM lineitem WHERE l_partkey IN (SELECT p_partkey FROM p)),
+o AS (SELECT o_orderkey, o_custkey FROM orders WHERE o_orderkey IN (SELECT l_orderkey FROM l)),
+c AS (SELECT c_custkey FROM customer WHERE c_custkey % 10 = 3 AND c_custkey IN (SELECT o_custkey FROM o))"""
+_W1_UP = _W1_DOWN + """,
+uo AS (SELECT * FROM o WHERE o_custkey IN (SELECT c_custkey FROM c)),
+ul AS (SELECT * FROM l WHERE l_orderkey IN (SELECT o_orderkey FROM uo)),
+up AS (SELECT * FROM p WHERE p_partkey IN (SELECT l_partkey FROM ul))"""
+
+
+def _counts(spark, sf_dir, stage: str) -> DataFrame:
+    g = catalog.commerce(spark, sf_dir)
+    result = Pipeline(g, auction(1), Options()).run()
+    return reduce(DataFrame.union, [df.agg(F.count("*").alias("n")).select(F.lit(n).alias("qnode"), "n") for n, df in result.candidates[stage].items()])
+
+
+@query(f"WITH {_W1_DOWN} SELECT 'c' AS qnode, count(*) AS n FROM c UNION ALL SELECT 'o', count(*) FROM o UNION ALL SELECT 'l', count(*) FROM l UNION ALL SELECT 'p', count(*) FROM p")
+def prune_down_counts(spark, sf_dir):
+    return _counts(spark, sf_dir, "down")
+
+
+@query(f"WITH {_W1_UP} SELECT 'c' AS qnode, count(*) AS n FROM c UNION ALL SELECT 'o', count(*) FROM uo UNION ALL SELECT 'l', count(*) FROM ul UNION ALL SELECT 'p', count(*) FROM up")
+def prune_up_counts(spark, sf_dir):
+    return _counts(spark, sf_dir, "up")
+
+
+@query("""SELECT n_nationkey, c_custkey FROM region JOIN nation ON n_regionkey = r_regionkey JOIN customer ON c_nationkey = n_nationkey
+WHERE r_name = 'ASIA' AND c_mktsegment = 'BUILDING' AND EXISTS (SELECT 1 FROM supplier WHERE s_nationkey = n_nationkey)""")
+def core_singleton_parent(spark, sf_dir):
+    """The root has a single candidate and is no output; children that it does not reach must go all the same."""
+    p = parse("r:region[r_name = 'ASIA']{//n:nation*{/s:supplier!, /c:customer*[c_mktsegment = 'BUILDING']}}")
+    return evaluate(catalog.commerce(spark, sf_dir), p, project={"n": ["n_nationkey"], "c": ["c_custkey"]}).df
+
+
+@query(f"""WITH {_W1_UP} SELECT 'c-o' AS edge, count(*) AS n FROM uo UNION ALL SELECT 'o-l', count(*) FROM ul UNION ALL SELECT 'l-p', count(*) FROM ul""")
+def match_graph_edges(spark, sf_dir):
+    result = Pipeline(catalog.commerce(spark, sf_dir), auction(1), Options()).run()
+    return reduce(DataFrame.union, [e.agg(F.count("*").alias("n")).select(F.lit(f"{a}-{b}").alias("edge"), "n") for (a, b), e in result.match_graph.items()])
+
+
+@query(f"""WITH {_W1_UP}, t AS (SELECT DISTINCT c_custkey, o_orderkey, l_partkey FROM c JOIN uo ON o_custkey = c_custkey JOIN ul ON l_orderkey = o_orderkey)
+SELECT 3 * (SELECT count(*) FROM t) AS tuple_cells, (SELECT count(*) FROM c) + (SELECT count(*) FROM uo) + (SELECT count(*) FROM ul) + (SELECT count(*) FROM up) + (SELECT count(*) FROM uo) + 2 * (SELECT count(*) FROM ul) AS graph_cells""")
+def match_graph_vs_tuple_cells(spark, sf_dir):
+    cells = measures.intermediate_cells(Pipeline(catalog.commerce(spark, sf_dir), auction(1), Options()).run())
+    return table(spark, [(cells["tuple_cells"], cells["graph_cells"])], "tuple_cells long, graph_cells long")
+
+
+# results
+
+@query(_auction_sql(1))
+def group_operator(spark, sf_dir):
+    """Orders and parts as one nested set for each customer, shown as rows."""
+    g = catalog.commerce(spark, sf_dir)
+    grouped = group_matches(g, auction(1), "c")
+    rows = grouped.select("c", F.explode("matches").alias("m")).select("c", "m.o", "m.p")
+    return auction_rows(g, rows, 1)
+
+
+@query("""SELECT 'customers' AS outputs, c_custkey AS a, CAST(-1 AS BIGINT) AS b FROM (SELECT DISTINCT c_custkey FROM customer JOIN orders ON o_custkey = c_custkey JOIN lineitem ON l_orderkey = o_orderkey WHERE c_custkey % 10 = 3 AND l_suppkey % 10 = 2)
+UNION ALL SELECT 'pairs', c_custkey, o_orderkey FROM (SELECT DISTINCT c_custkey, o_orderkey FROM customer JOIN orders ON o_custkey = c_custkey JOIN lineitem ON l_orderkey = o_orderkey WHERE c_custkey % 10 = 3 AND l_suppkey % 10 = 2)""")
+def multi_output(spark, sf_dir):
+    from treelogic.evaluate.engine import evaluate_multi
+
+    g = catalog.commerce(spark, sf_dir)
+    p = parse("c:customer*[grp = 3]{/o:orders*{/l:lineitem[grp = 2]}}")
+    found = evaluate_multi(g, p, {"customers": ["c"], "pairs": ["c", "o"]})
+    one = projected(g, p, found["customers"], {"c": ["c_custkey"]}).select(F.lit("customers").alias("outputs"), F.col("c_custkey").alias("a"), F.lit(-1).cast("long").alias("b"))
+    two = projected(g, p, found["pairs"], {"c": ["c_custkey"], "o": ["o_orderkey"]}).select(F.lit("pairs").alias("outputs"), F.col("c_custkey").alias("a"), F.col("o_orderkey").alias("b"))
+    return one.union(two)
+
+
+@query("""WITH t AS (SELECT DISTINCT c_custkey, l.* FROM customer JOIN orders ON o_custkey = c_custkey JOIN lineitem l ON l_orderkey = o_orderkey WHERE c_custkey % 10 = 3 AND l_suppkey % 10 = 2)
+SELECT count(*) AS all_rows, count(DISTINCT c_custkey) AS answers FROM t""")
+def distinct_nonoutput(spark, sf_dir):
+    """Tuples before and after the nodes that are no outputs are dropped."""
+    rows, answers = measures.duplicate_ratio(catalog.commerce(spark, sf_dir), parse("c:customer*[grp = 3]{//l:lineitem[grp = 2]}"))
+    return table(spark, [(rows, answers)], "all_rows long, answers long")
+
+
+_PC = "c:customer*[c_mktsegment = 'BUILDING']{/o:orders*[o_orderstatus = 'F']{/l:lineitem[grp = 4]}}"
+_PC_SQL = "SELECT DISTINCT c_custkey, o_orderkey FROM customer JOIN orders ON o_custkey = c_custkey JOIN lineitem ON l_orderkey = o_orderkey WHERE c_mktsegment = 'BUILDING' AND o_orderstatus = 'F' AND l_suppkey % 10 = 4"
+
+
+@query(_PC_SQL)
+def pc_relax(spark, sf_dir):
+    """Parent-child edges taken as paths while pruning and checked in the match graph."""
+    return evaluate(catalog.commerce(spark, sf_dir), parse(_PC), project={"c": ["c_custkey"], "o": ["o_orderkey"]}, pc_mode="relax").df
+
+
+@query("""SELECT DISTINCT n_nationkey, o_orderkey FROM nation JOIN customer ON c_nationkey = n_nationkey JOIN orders ON o_custkey = c_custkey
+WHERE o_orderstatus = 'F' AND EXISTS (SELECT 1 FROM supplier WHERE s_nationkey = n_nationkey AND s_suppkey % 10 < 3) AND EXISTS (SELECT 1 FROM lineitem WHERE l_orderkey = o_orderkey AND l_suppkey % 10 = 1)""")
+def mixed_pc_ad(spark, sf_dir):
+    p = parse("n:nation*{/s:supplier![grp < 3], //o:orders*[o_orderstatus = 'F']{/l:lineitem![grp = 1]}}")
+    return evaluate(catalog.commerce(spark, sf_dir), p, project={"n": ["n_nationkey"], "o": ["o_orderkey"]}).df
+
+
+@query("""SELECT c_custkey, coalesce(o_orderkey, -1) AS o_orderkey FROM customer LEFT JOIN (SELECT o_custkey, o_orderkey FROM orders WHERE o_orderstatus = 'F' AND o_totalprice > 300000) ON o_custkey = c_custkey WHERE c_custkey % 10 = 3""")
+def optional_edge(spark, sf_dir):
+    p = parse("c:customer*[grp = 3]{/o:orders*?[o_orderstatus = 'F' and o_totalprice > 300000]}")
+    return evaluate(catalog.commerce(spark, sf_dir), p, project={"c": ["c_custkey"], "o": ["o_orderkey"]}).df.fillna(-1, ["o_orderkey"])
+
+
+# activity
+
+@query("""WITH ev AS (SELECT *, CAST(json_extract(props, '$.k') AS INTEGER) AS k FROM events)
+SELECT kind, count(*) AS n FROM (
+    SELECT 'author' AS kind FROM ev
+    UNION ALL SELECT 'next_of_user' FROM (SELECT lead(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS b FROM ev) WHERE b IS NOT NULL
+    UNION ALL SELECT 'next_of_topic' FROM (SELECT lead(event_id) OVER (PARTITION BY k ORDER BY ts, event_id) AS b FROM ev) WHERE b IS NOT NULL) GROUP BY kind""")
+def activity_edges(spark, sf_dir):
+    g = catalog.activity(spark, sf_dir)
+    return reduce(DataFrame.union, [e.df.agg(F.count("*").alias("n")).select(F.lit(e.name).alias("kind"), "n") for e in g.edges])
+
+
+@query("SELECT event_id, user_id AS cid, CAST(row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id) AS INTEGER) AS sid FROM events")
+def activity_chain(spark, sf_dir):
+    g = catalog.activity(spark, sf_dir)
+    return natural_chains(g.nodes["event"], "user_id", "ts", "event_id").select(natural("node_id").alias("event_id"), "cid", "sid")
+
+
+_EV = f"""ev AS (SELECT *, CAST(json_extract(props, '$.k') AS INTEGER) AS k FROM events WHERE event_id < {SLICE}),
+e AS (SELECT DISTINCT a, b FROM (
+    SELECT event_id AS a, lead(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS b FROM ev
+    UNION ALL SELECT event_id, lead(event_id) OVER (PARTITION BY k ORDER BY ts, event_id) FROM ev) WHERE b IS NOT NULL),
+r AS (SELECT a, b FROM e UNION SELECT r.a, e.b FROM r JOIN e ON r.b = e.a),
+pl AS (SELECT event_id, event_type, k, user_id AS cid, row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id) AS sid FROM ev)"""
+
+
+def event_slice(spark: SparkSession, sf_dir: str) -> PropertyGraph:
+    """Events of the slice and the edges between them."""
+    g = catalog.activity(spark, sf_dir, SLICE)
+    return PropertyGraph({"event": g.nodes["event"]}, [e for e in g.edges if e.source == "event"])
+
+
+def event_index(g: PropertyGraph) -> ChainIndex:
+    """Natural chains: the users' timelines; event order is topological."""
+    return ChainIndex.build(g.nodes["event"], g.all_edges(), natural_chains(g.nodes["event"], "user_id", "ts", "event_id"), acyclic=True)
+
+
+@query(f"WITH RECURSIVE {_EV} SELECT a AS src, b AS dst FROM r")
+def closure_slice(spark, sf_dir):
+    return Closure(event_slice(spark, sf_dir).all_edges()).table.select(natural("src").alias("src"), natural("dst").alias("dst"))
+
+
+@query(f"""WITH RECURSIVE {_EV}, s AS (SELECT event_id FROM ev WHERE event_type = 'purchase' AND k < 10),
+v AS (SELECT cid, sid, event_id IN (SELECT event_id FROM s) AS own, EXISTS (SELECT 1 FROM r WHERE a = event_id AND b IN (SELECT event_id FROM s)) AS far FROM pl)
+SELECT cid, CAST(max(sid) AS INTEGER) AS pos_refl, CAST(coalesce(max(sid) FILTER (far), 0) AS INTEGER) AS pos_strict FROM v WHERE own OR far GROUP BY cid""")
+def pred_contour_slice(spark, sf_dir):
+    g = event_slice(spark, sf_dir)
+    return event_index(g).pred_contour(g.nodes["event"].filter("event_type = 'purchase' and k < 10")).select("cid", F.col("pos_refl").cast("int").alias("pos_refl"), F.col("pos_strict").cast("int").alias("pos_strict"))
+
+
+@query(f"""WITH RECURSIVE {_EV}, s AS (SELECT event_id FROM ev WHERE event_type = 'signup' AND k < 5),
+v AS (SELECT cid, sid, event_id IN (SELECT event_id FROM s) AS own, EXISTS (SELECT 1 FROM r WHERE b = event_id AND a IN (SELECT event_id FROM s)) AS far FROM pl),
+m AS (SELECT cid, max(sid) AS top FROM pl GROUP BY cid)
+SELECT v.cid, CAST(min(sid) AS INTEGER) AS pos_refl, CAST(coalesce(min(sid) FILTER (far), max(top) + 1) AS INTEGER) AS pos_strict FROM v JOIN m USING (cid) WHERE own OR far GROUP BY v.cid""")
+def succ_contour_slice(spark, sf_dir):
+    g = event_slice(spark, sf_dir)
+    found = event_index(g).succ_contour(g.nodes["event"].filter("event_type = 'signup' and k < 5"))
+    return found.select("cid", F.col("pos_refl").cast("int").alias("pos_refl"), F.col("pos_strict").cast("int").alias("pos_strict"))
+
+
+@query(f"""WITH RECURSIVE {_EV} SELECT event_id FROM pl WHERE event_type = 'view' AND EXISTS (SELECT 1 FROM r JOIN pl t ON t.event_id = r.b WHERE r.a = pl.event_id AND t.event_type = 'purchase' AND t.k < 10)""")
+def reach_set_slice(spark, sf_dir):
+    g = event_slice(spark, sf_dir)
+    ev = g.nodes["event"]
+    found = event_index(g).reaching(ev.filter("event_type = 'view'"), ev.filter("event_type = 'purchase' and k < 10"))
+    return found.select(natural("node_id").alias("event_id"))
+
+
+@query(f"""WITH RECURSIVE {_EV}, v AS (SELECT event_id FROM ev WHERE event_type = 'error' AND k < 20)
+SELECT 'strict' AS mode, count(*) AS n FROM r WHERE a IN (SELECT * FROM v) AND b IN (SELECT * FROM v)
+UNION ALL SELECT 'reflexive', count(*) FROM (SELECT a, b FROM r WHERE a IN (SELECT * FROM v) AND b IN (SELECT * FROM v) UNION SELECT event_id, event_id FROM v)""")
+def strict_vs_reflexive(spark, sf_dir):
+    """A node in both candidate sets reaches itself in the reflexive mode only."""
+    g = event_slice(spark, sf_dir)
+    index = event_index(g)
+    p = parse("a:event*[event_type = 'error' and k < 20]{//b:event*[event_type = 'error' and k < 20]}")
+    parts = [evaluate(g, p, index=index, ad_mode=mode).df.agg(F.count("*").alias("n")).select(F.lit(mode).alias("mode"), "n") for mode in ("strict", "reflexive")]
+    return parts[0].union(parts[1])
+
+
+def _slice_pattern_sql(p: TreePattern) -> str:
+    """A conjunctive pattern with all nodes as outputs, over the slice's closure."""
+    tests, tables = [], []
+    for n in p.root.walk():
+        tables.append(f"pl {n.name}")
+        tests += [f"{n.name}.{a.attribute} {'<>' if a.operation == '!=' else a.operation} {a.constant!r}" for a in n.atoms]
+        if up := p.parent[n.name]:
+            tests.append(f"({up}.event_id, {n.name}.event_id) IN (SELECT (a, b) FROM {'e' if n.edge == 'pc' else 'r'})".replace("SELECT (a, b)", "SELECT a, b"))
+    columns = ", ".join(f"{n.name}.event_id AS {n.name}" for n in p.root.walk())
+    return f"WITH RECURSIVE {_EV} SELECT {columns} FROM {', '.join(tables)} WHERE {' AND '.join(tests)}"
+
+
+def _slice_run(p: TreePattern, how: str):
+    def run(spark, sf_dir):
+        g = event_slice(spark, sf_dir)
+        index = {"chain": lambda: event_index(g), "closure": lambda: Closure(g.all_edges()), "frontier": lambda: None}[how]()
+        return evaluate(g, p, index=index).df.select(*[natural(n).alias(n) for n in p.outputs()])
+
+    return run
+
+
+# shapes of the random workload with fixed labels, so that SQL can name them
+_SHAPES = {
+    "random_pattern_small_1": ("n0:event*[event_type = 'view' and k < 6]{//n1:event*[event_type = 'purchase' and k < 12], /n2:event*{//n3:event*[event_type = 'error' and k < 10]}}", "chain"),
+    "random_pattern_small_2": ("n0:event*[event_type = 'signup' and k < 4]{/n1:event*, //n2:event*[event_type = 'click' and k < 5]{//n3:event*[event_type = 'view' and k < 4]}}", "closure"),
+    "random_pattern_large_1": ("n0:event*[event_type = 'click' and k < 12]{//n1:event*[event_type = 'view' and k < 12]{/n2:event*}, /n3:event*}", "chain"),
+    "random_pattern_large_2": ("n0:event*[event_type = 'error' and k < 15]{/n1:event*{/n2:event*}, //n3:event*[event_type = 'signup' and k < 15]}", "closure"),
+}
+for _name, (_text, _how) in _SHAPES.items():
+    query(_slice_pattern_sql(parse(_text)), _name)(_slice_run(parse(_text), _how))
+
+
+@query(f"""WITH RECURSIVE {_EV} SELECT event_id AS n0 FROM pl WHERE event_type = 'view' AND k < 40
+AND (EXISTS (SELECT 1 FROM r JOIN pl t ON t.event_id = r.b WHERE r.a = pl.event_id AND t.event_type = 'purchase' AND t.k < 30)
+     OR NOT EXISTS (SELECT 1 FROM e JOIN pl t ON t.event_id = e.b WHERE e.a = pl.event_id AND t.event_type = 'click'
+         AND EXISTS (SELECT 1 FROM r r2 JOIN pl u ON u.event_id = r2.b WHERE r2.a = t.event_id AND u.event_type = 'error')))""")
+def random_formula(spark, sf_dir):
+    """Disjunction and a negated sub-pattern with a child of its own."""
+    p = parse("n0:event*[event_type = 'view' and k < 40]{//a:event![event_type = 'purchase' and k < 30], /b:event![event_type = 'click']{//c:event![event_type = 'error']}} where a or not b")
+    return _slice_run(p, "chain")(spark, sf_dir)
+
+
+# trade
+
+_TRADE = """pairs AS (SELECT c_nationkey AS a, s_nationkey AS b, count(*) AS n FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN supplier ON l_suppkey = s_suppkey WHERE c_nationkey <> s_nationkey GROUP BY 1, 2),
+e AS (SELECT a, b FROM (SELECT *, row_number() OVER (PARTITION BY a ORDER BY n DESC, b) AS place FROM pairs) WHERE place <= 2),
+r AS (SELECT a, b FROM e UNION SELECT r.a, e.b FROM r JOIN e ON r.b = e.a)"""
+
+
+@query(f"""WITH RECURSIVE {_TRADE} SELECT n_nationkey, CAST(least(n_nationkey, coalesce((SELECT min(x.b) FROM r x JOIN r y ON x.b = y.a AND x.a = y.b WHERE x.a = n_nationkey), n_nationkey)) AS BIGINT) AS comp, EXISTS (SELECT 1 FROM r WHERE a = n_nationkey AND b = n_nationkey) AS cyclic FROM nation""")
+def trade_scc(spark, sf_dir):
+    g = catalog.trade(spark, sf_dir)
+    scc, _ = condense(g.nodes["nation"], g.all_edges())
+    return scc.select(F.col("node_id").cast("int").alias("n_nationkey"), "comp", "cyclic")
+
+
+@query(f"WITH RECURSIVE {_TRADE} SELECT CAST(a AS BIGINT) AS src, CAST(b AS BIGINT) AS dst FROM r")
+def trade_self_reach(spark, sf_dir):
+    """All pairs of the cyclic graph by the chain index; nations on a cycle reach themselves."""
+    g = catalog.trade(spark, sf_dir)
+    nodes = g.nodes["nation"].select("node_id")
+    return ChainIndex.build(nodes, g.all_edges()).pairs(nodes, nodes)
+
+
+@query(f"WITH RECURSIVE {_TRADE} SELECT CAST(a AS BIGINT) AS src, CAST(b AS BIGINT) AS dst FROM r")
+def trade_frontier(spark, sf_dir):
+    g = catalog.trade(spark, sf_dir)
+    nodes = g.nodes["nation"].select("node_id")
+    return Frontier(g.all_edges()).pairs(nodes, nodes)
+
+
+# baselines
+
+def _by(engine, shape: int):
+    def run(spark, sf_dir):
+        g = catalog.commerce(spark, sf_dir)
+        return auction_rows(g, engine(g, auction(shape)), shape)
+
+    return run
+
+
+query(_auction_sql(2), "baseline_hash_join")(_by(lambda g, p: J.hash_structural(g, p)[0], 2))
+query(_auction_sql(1), "baseline_hash_join_graph")(_by(lambda g, p: J.hash_structural(g, p, represent="graph")[0], 1))
+query(_auction_sql(2), "baseline_decompose")(_by(lambda g, p: J.decompose_evaluate(g, p)[0], 2))
+query(_auction_sql(2), "baseline_semijoin_local")(_by(lambda g, p: J.local_semijoin(g, p)[0], 2))
+query(_auction_sql(2), "baseline_naive")(_by(J.naive_evaluate, 2))
+
+
+@query(f"SELECT o_orderkey FROM orders WHERE {_YEARS} AND ({_LINE.format(1)} OR {_LINE.format(2)})")
+def baseline_dnf_union(spark, sf_dir):
+    g = catalog.papers(spark, sf_dir)
+    return projected(g, trio("or"), J.dnf_evaluate(g, trio("or")), {"o": ["o_orderkey"]})
+
+
+@query(f"SELECT o_orderkey FROM orders WHERE {_YEARS} AND {_LINE.format(1)} AND NOT {_LINE.format(2)}")
+def baseline_dnf_difference(spark, sf_dir):
+    g = catalog.papers(spark, sf_dir)
+    return projected(g, trio("andnot"), J.dnf_evaluate(g, trio("andnot")), {"o": ["o_orderkey"]})
+
+
+@query(f"SELECT o_orderkey FROM orders WHERE {_YEARS} AND {_LINE.format(1)} AND NOT {_LINE.format(2)}")
+def baseline_operator_twig(spark, sf_dir):
+    g = catalog.papers(spark, sf_dir)
+    return projected(g, trio("andnot"), J.operator_twig(g, trio("andnot")), {"o": ["o_orderkey"]})
+
+
+@query(_auction_sql(1))
+def pool_twig(spark, sf_dir):
+    g = catalog.commerce(spark, sf_dir)
+    return auction_rows(g, T.pool_twig(g, auction(1))[0], 1)
+
+
+# statistics
+
+@query("""SELECT 'node' AS what, 'region' AS name, count(*) AS n FROM region UNION ALL SELECT 'node', 'nation', count(*) FROM nation UNION ALL SELECT 'node', 'customer', count(*) FROM customer
+UNION ALL SELECT 'node', 'supplier', count(*) FROM supplier UNION ALL SELECT 'node', 'part', count(*) FROM part UNION ALL SELECT 'node', 'orders', count(*) FROM orders UNION ALL SELECT 'node', 'lineitem', count(*) FROM lineitem
+UNION ALL SELECT 'edge', 'region_nation', count(*) FROM nation UNION ALL SELECT 'edge', 'nation_customer', count(*) FROM customer UNION ALL SELECT 'edge', 'nation_supplier', count(*) FROM supplier
+UNION ALL SELECT 'edge', 'customer_orders', count(*) FROM orders UNION ALL SELECT 'edge', 'orders_lineitem', count(*) FROM lineitem UNION ALL SELECT 'edge', 'lineitem_part', count(*) FROM lineitem UNION ALL SELECT 'edge', 'lineitem_supplier', count(*) FROM lineitem""")
+def dataset_stats(spark, sf_dir):
+    return measures.graph_stats(catalog.commerce(spark, sf_dir))
+
+
+@query("SELECT concat(event_type, '|', CAST(CAST(json_extract(props, '$.k') AS INTEGER) AS VARCHAR), '|', CAST(user_id % 3 AS VARCHAR)) AS label, count(*) AS n FROM events GROUP BY 1")
+def label_stats(spark, sf_dir):
+    return catalog.events(spark, sf_dir).groupBy("label").agg(F.count("*").alias("n"))
+
+
+_ROLL = " UNION ALL ".join(f"SELECT {shape} AS shape, {a} AS a, count(*) AS results FROM ({_auction_sql(shape, a, (a + 4) % 10)})" for shape in (1, 2) for a in (1, 3))
+
+
+@query(f"SELECT CAST(coalesce(shape, -1) AS INTEGER) AS shape, CAST(coalesce(a, -1) AS INTEGER) AS a, CAST(sum(results) AS BIGINT) AS results FROM ({_ROLL}) GROUP BY ROLLUP (shape, a)")
+def result_size_rollup(spark, sf_dir):
+    """Result sizes by shape and label draw, with totals."""
+    g = catalog.commerce(spark, sf_dir)
+    parts = [evaluate(g, auction(shape, a, (a + 4) % 10)).df.agg(F.count("*").alias("results")).select(F.lit(shape).alias("shape"), F.lit(a).alias("a"), "results") for shape in (1, 2) for a in (1, 3)]
+    return reduce(DataFrame.union, parts).rollup("shape", "a").agg(F.sum("results").alias("results")).fillna(-1, ["shape", "a"])
+
+
+@query("SELECT date_trunc('hour', ts) AS start, event_type, count(*) AS n FROM events GROUP BY 1, 2")
+def stream_chain_counts(spark, sf_dir):
+    """Windowed counts of the event stream, run over what is there."""
+    import uuid
+
+    stream = streams.label_counts(streams.read_events(spark, sf_dir, "events*.parquet"), late="3650 days")
+    return streams.run_once(stream, f"counts_{uuid.uuid4().hex}").select("start", "event_type", "n")
+
+
+# without an SQL counterpart
+
+@query()
+def dom_pattern(spark, sf_dir):
+    """Paragraphs that hold a bold element, below an article, by intervals."""
+    g = catalog.dom(spark, sf_dir)
+    p = parse("a:element[tag = 'article']{//p:element*[tag = 'p']{/b:element![tag = 'b']}}")
+    rows = evaluate(g, p, index=Interval(g.nodes["element"])).df
+    return rows.join(g.nodes["element"].select(F.col("node_id").alias("p"), "page_id", "pre"), "p").select("page_id", "pre")
+
+
+@query()
+def hierarchical_twig(spark, sf_dir):
+    """Nested-result and path-stack joins on pages: rows of each."""
+    nodes = catalog.dom(spark, sf_dir).nodes["element"]
+    p = parse("a:element*[tag = 'article']{//p:element*[tag = 'p']{//b:element*[tag = 'b']}, /h:element*[tag = 'h1']}")
+    nested, paths = T.twig_nested(nodes, p)[0], T.twig_paths(nodes, p)[0]
+    return nested.agg(F.count("*").alias("n")).select(F.lit("nested").alias("method"), "n").union(paths.agg(F.count("*").alias("n")).select(F.lit("paths").alias("method"), "n"))
+
+
+def worked_patterns() -> dict[str, TreePattern]:
+    """The structures whose analysis the study works out: with an ancestor-descendant or a parent-child edge."""
+    def build(edge: str, formula: str) -> TreePattern:
+        u2 = node("u2", node("u4", pred=True, tag="d"), pred=True, edge=edge, where="u4", tag="c")
+        u5 = node("u5", node("u8", pred=True, tag="e"), pred=True, where="u8", tag="f")
+        u6 = node("u6", node("u7", pred=True, tag="d"), pred=True, where="u7", tag="c")
+        return TreePattern(node("u1", u2, node("u3", u5, u6, where="(u5 and u6) or (not u5 and u6)", out=True, tag="b"), where=formula, tag="a"))
+
+    chain = TreePattern(node("u1", node("u2", node("u3", node("u4", pred=True, tag="d"), pred=True, where="u4", tag="c"), where="u3", tag="b", out=True), tag="a"))
+    return {"ad_not": build("ad", "not u2"), "pc_not": build("pc", "not u2"), "ad": build("ad", "u2"), "pc": build("pc", "u2"), "chain": chain}
+
+
+@query()
+def satisfiability_report(spark, sf_dir):
+    return table(spark, [(n, p.fragment(), p.size(), satisfiable(p)) for n, p in worked_patterns().items()], "pattern string, fragment string, size int, satisfiable boolean")
+
+
+@query()
+def containment_matrix(spark, sf_dir):
+    ps = worked_patterns()
+    return table(spark, [(a, b, contained(p, q), equivalent(p, q)) for a, p in ps.items() for b, q in ps.items()], "p string, q string, contained boolean, equivalent boolean")
+
+
+@query()
+def minimize_trace(spark, sf_dir):
+    rows = [(n, i, step, ",".join(gone), p.size(), minimize(p)[0].size()) for n, p in worked_patterns().items() for i, (step, gone) in enumerate(minimize(p)[1])]
+    return table(spark, rows, "pattern string, step int, rewrite string, removed string, size_before int, size_after int")
+
+
+@query()
+def representation_sizes(spark, sf_dir):
+    return table(spark, [(n, *operator_twig_size(p).values()) for n, p in (worked_patterns() | {f"trio_{k}": trio(k) for k in ("and", "or", "andnot")}).items()], "pattern string, nodes int, operator_twig int")
+
+
+@query()
+def index_sizes(spark, sf_dir):
+    """Sizes of the chain index of the slice, plain and with entries left out that middle chains give."""
+    g = event_slice(spark, sf_dir)
+    index = event_index(g)
+    kept, gone = three_leg_cover(index.entries)
+    s = index.stats()
+    contour = measures.contour_stats(index, g.nodes["event"].filter("event_type = 'purchase'"))
+    return table(spark, [(s["nodes"], s["chains"], s["entries"], kept.count(), gone.count(), contour["contour_rows"], contour["list_rows"])], "nodes long, chains long, entries long, kept long, covered long, contour_rows long, list_rows long")
+
+
+@query()
+def random_workload(spark, sf_dir):
+    """Random patterns of several sizes: answers of each."""
+    g = event_slice(spark, sf_dir)
+    g = PropertyGraph({"event": g.nodes["event"].withColumn("label", F.concat_ws("|", "event_type", F.pmod("k", F.lit(20)).cast("string")))}, g.edges)
+    index = event_index(g)
+    rows = []
+    for size in (5, 7):
+        for i, p in enumerate(random_patterns(g, size, 2, seed=42 + size)):
+            rows.append((size, i, evaluate(g, p, index=index).df.count()))
+    return table(spark, rows, "size int, number int, results long")
