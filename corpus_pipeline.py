@@ -37,9 +37,10 @@ def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keeps one document of each class of similar ones (five words, 0.8): the least doc_id."""
     told = jaccard_join.similar_documents(docs, k=5, num=4, den=5).filter("keeper").select(F.coalesce("doc_id", F.lit(-1)).alias("__id"), F.col("text_key").alias("__key")).distinct()
-    rows = docs.withColumn("__id", F.coalesce(F.col("doc_id").cast("long"), F.lit(-1))).withColumn("__key", F.xxhash64("text"))
+    rows, names = shielded(docs, "doc_id", "text")
+    rows = rows.withColumn("__id", F.coalesce(F.col("doc_id").cast("long"), F.lit(-1))).withColumn("__key", F.xxhash64("text"))
     first = F.row_number().over(Window.partitionBy("__id", "__key").orderBy(F.lit(0)))
-    return rows.join(told, ["__id", "__key"], "left_semi").withColumn("__n", first).filter("__n = 1").select(*docs.columns)
+    return rows.join(told, ["__id", "__key"], "left_semi").withColumn("__n", first).filter("__n = 1").select(*names)
 
 
 def repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -54,10 +55,12 @@ def repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keeps the documents taken for the target weights, whole (the last of a source too)."""
-    told = mixture.mix_documents(mixture.with_domain(docs.withColumn("__key", F.xxhash64("text"))), mixture.LEVELS, mixture.WEIGHTS, MIX_SHARE, max_epochs=1, seed=SEED, keep=("__key",))
+    rows, names = shielded(docs, "doc_id", "text", "lang", "source")
+    rows = rows.withColumn("__key", F.xxhash64("text"))
+    told = mixture.mix_documents(mixture.with_domain(rows), mixture.LEVELS, mixture.WEIGHTS, MIX_SHARE, max_epochs=1, seed=SEED, keep=("__key",))
     chosen = told.filter("epochs > 0").select(F.coalesce(F.col("doc_id").cast("long"), F.lit(-1)).alias("__id"), "__key").distinct()
-    rows = docs.withColumn("__id", F.coalesce(F.col("doc_id").cast("long"), F.lit(-1))).withColumn("__key", F.xxhash64("text"))
-    return rows.join(chosen, ["__id", "__key"], "left_semi").select(*docs.columns)
+    rows = rows.withColumn("__id", F.coalesce(F.col("doc_id").cast("long"), F.lit(-1)))
+    return rows.join(chosen, ["__id", "__key"], "left_semi").select(*names)
 
 
 def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
