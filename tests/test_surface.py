@@ -29,7 +29,7 @@ def test_sources(spark, tmp_path):
 
 def test_measures(spark, sf_dir):
     g = catalog.commerce(spark, sf_dir)
-    result = Pipeline(g, auction(1), Options()).run()
+    result = Pipeline(g, auction(1), Options(prune_up=True, checkpoints=True)).run()
     counts = measures.candidate_counts(result)
     for name in auction(1).nodes:
         assert counts["up"][name] <= counts["down"][name] <= counts["cand"][name]

@@ -34,7 +34,8 @@ class Options:
     index: Reach | None = None
     ad_mode: str = "strict"
     pc_mode: str = "exact"
-    prune_up: bool = True
+    #: the upward round; None: where joining an edge can multiply rows (other than along keys)
+    prune_up: bool | None = None
     shrink: bool = True
     minimize: bool = False
     #: cut the lineage after each step; None: for deep patterns and iterative operators only
@@ -95,6 +96,8 @@ class Pipeline:
                 self._bind(pattern.nodes[pattern.parent[u.name]], u)
         plain = all(isinstance(o, KindPaths | Children) for o in self.operators.values()) and pattern.size() <= 8
         self.cuts = self.options.checkpoints if self.options.checkpoints is not None else not plain
+        keyed = plain and all(e.keyed for o in self.operators.values() for e in (getattr(o, "sets", None) or [x for path in getattr(o, "paths", []) for x in path]))
+        self.upward = self.options.prune_up if self.options.prune_up is not None else not keyed
 
     def _bind(self, up: PatternNode, u: PatternNode) -> None:
         """Chooses the operator of the edge above u."""
@@ -231,7 +234,7 @@ class Pipeline:
     def _top(self, core: list[str]) -> str:
         """The lowest core node above all outputs (the root without ``shrink``)."""
         outputs = self.pattern.outputs()
-        if not self.options.shrink or not self.options.prune_up or not outputs or self.exact:
+        if not self.options.shrink or not self.upward or not outputs or self.exact:
             return self.pattern.root.name
         common = None
         for name in outputs:
@@ -244,7 +247,7 @@ class Pipeline:
         cand = self.candidates()
         down = self.prune_down(cand)
         core = self.core(counts)
-        up = self.prune_up(down, core) if self.options.prune_up else down
+        up = self.prune_up(down, core) if self.upward else down
         edges = self.edges(up, core)
         if self.exact:
             for (a, b), e in edges.items():

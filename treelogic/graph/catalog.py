@@ -40,7 +40,7 @@ def commerce(spark: SparkSession, sf_dir: str) -> PropertyGraph:
     nodes["lineitem"] = lines.withColumn("node_id", global_id(CODES["lineitem"], line_key(lines))).withColumn("grp", F.pmod("l_suppkey", F.lit(10)).cast("int"))
 
     def edge(name: str, source: str, target: str, role: str, holder: str, src, dst) -> EdgeSet:
-        return EdgeSet(name, source, target, role, nodes[holder].select(src.alias("src"), dst.alias("dst")))
+        return EdgeSet(name, source, target, role, nodes[holder].select(src.alias("src"), dst.alias("dst")), keyed=True)
 
     def to(kind: str, column: str) -> F.Column:
         return global_id(CODES[kind], F.col(column))
@@ -62,7 +62,7 @@ def papers(spark: SparkSession, sf_dir: str) -> PropertyGraph:
     g = commerce(spark, sf_dir)
     orders = g.nodes["orders"]
     kept = [e for e in g.edges if e.name in ("orders_lineitem", "lineitem_supplier")]
-    venue = EdgeSet("orders_customer", "orders", "customer", "ref", orders.select(F.col("node_id").alias("src"), global_id(CODES["customer"], F.col("o_custkey")).alias("dst")))
+    venue = EdgeSet("orders_customer", "orders", "customer", "ref", orders.select(F.col("node_id").alias("src"), global_id(CODES["customer"], F.col("o_custkey")).alias("dst")), keyed=True)
     return PropertyGraph({k: g.nodes[k] for k in ("orders", "lineitem", "supplier", "customer")}, [*kept, venue])
 
 

@@ -17,13 +17,18 @@ KEY_BITS = 56
 
 @dataclass(frozen=True)
 class EdgeSet:
-    """Edges ``df(src, dst)`` from one kind to another; ``role`` is tree or ref."""
+    """Edges ``df(src, dst)`` from one kind to another; ``role`` is tree or ref.
+
+    ``keyed``: one of the ends determines the other (a foreign key), so that a
+    join along the edges cannot multiply both sides.
+    """
 
     name: str
     source: str
     target: str
     role: str
     df: DataFrame
+    keyed: bool = False
 
 
 @dataclass

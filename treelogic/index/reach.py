@@ -97,8 +97,8 @@ class KindPaths(Reach):
 class Children(Reach):
     """Single edges."""
 
-    def __init__(self, edges: DataFrame):
-        self.edges = edges
+    def __init__(self, edges: DataFrame, sets: list[EdgeSet] | None = None):
+        self.edges, self.sets = edges, sets
 
     def reaching(self, sources, targets):
         parents = self.edges.join(_ids(targets, "dst"), "dst", "left_semi").select(F.col("src").alias("node_id"))
@@ -222,7 +222,7 @@ def children_of(graph: PropertyGraph, source: str | None, target: str | None) ->
     sets = graph.between(source, target)
     if not sets:
         return Children(_none(next(iter(graph.nodes.values())), "src", "dst"))
-    return Children(_union([e.df.select("src", "dst") for e in sets]))
+    return Children(_union([e.df.select("src", "dst") for e in sets]), sets)
 
 
 def choose(graph: PropertyGraph, source: str | None, target: str | None, index: Reach | None = None) -> Reach:

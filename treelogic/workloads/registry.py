@@ -159,7 +159,7 @@ up AS (SELECT * FROM p WHERE p_partkey IN (SELECT l_partkey FROM ul))"""
 
 def _counts(spark, sf_dir, stage: str) -> DataFrame:
     g = catalog.commerce(spark, sf_dir)
-    result = Pipeline(g, auction(1), Options()).run()
+    result = Pipeline(g, auction(1), Options(prune_up=True, checkpoints=True)).run()
     return reduce(DataFrame.union, [df.agg(F.count("*").alias("n")).select(F.lit(n).alias("qnode"), "n") for n, df in result.candidates[stage].items()])
 
 
@@ -183,14 +183,14 @@ def core_singleton_parent(spark, sf_dir):
 
 @query(f"""WITH {_W1_UP} SELECT 'c-o' AS edge, count(*) AS n FROM uo UNION ALL SELECT 'o-l', count(*) FROM ul UNION ALL SELECT 'l-p', count(*) FROM ul""")
 def match_graph_edges(spark, sf_dir):
-    result = Pipeline(catalog.commerce(spark, sf_dir), auction(1), Options()).run()
+    result = Pipeline(catalog.commerce(spark, sf_dir), auction(1), Options(prune_up=True, checkpoints=True)).run()
     return reduce(DataFrame.union, [e.agg(F.count("*").alias("n")).select(F.lit(f"{a}-{b}").alias("edge"), "n") for (a, b), e in result.match_graph.items()])
 
 
 @query(f"""WITH {_W1_UP}, t AS (SELECT DISTINCT c_custkey, o_orderkey, l_partkey FROM c JOIN uo ON o_custkey = c_custkey JOIN ul ON l_orderkey = o_orderkey)
 SELECT 3 * (SELECT count(*) FROM t) AS tuple_cells, (SELECT count(*) FROM c) + (SELECT count(*) FROM uo) + (SELECT count(*) FROM ul) + (SELECT count(*) FROM up) + (SELECT count(*) FROM uo) + 2 * (SELECT count(*) FROM ul) AS graph_cells""")
 def match_graph_vs_tuple_cells(spark, sf_dir):
-    cells = measures.intermediate_cells(Pipeline(catalog.commerce(spark, sf_dir), auction(1), Options()).run())
+    cells = measures.intermediate_cells(Pipeline(catalog.commerce(spark, sf_dir), auction(1), Options(prune_up=True, checkpoints=True)).run())
     return table(spark, [(cells["tuple_cells"], cells["graph_cells"])], "tuple_cells long, graph_cells long")
 
 
