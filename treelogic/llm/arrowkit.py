@@ -67,7 +67,42 @@ def _fold_table() -> np.ndarray:
     return out
 
 
-def slices(batches: Iterable[pa.RecordBatch], column: str, most: int = 8 << 20) -> Iterator[pa.RecordBatch]:
+def tidy(run):
+    """The same function over batches; afterwards memory that it no longer uses goes back to the system.
+
+    Workers live on between tasks, and the C library keeps what was freed.  The
+    session's Arrow batches are bounded too: by default they hold 64 MB.
+    """
+    _bound_batches()
+
+    def wrapped(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        try:
+            yield from run(batches)
+        finally:
+            pa.default_memory_pool().release_unused()
+            _trim()
+
+    return wrapped
+
+
+def _bound_batches(most: int = 4 << 20) -> None:
+    from pyspark.sql import SparkSession
+
+    spark, name = SparkSession.getActiveSession(), "spark.sql.execution.arrow.maxBytesPerBatch"
+    if spark is not None and spark.conf.get(name).rstrip("b") == str(64 << 20):  # as it comes
+        spark.conf.set(name, str(most))
+
+
+def _trim() -> None:
+    import ctypes
+
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library
+        pass
+
+
+def slices(batches: Iterable[pa.RecordBatch], column: str, most: int = 4 << 20) -> Iterator[pa.RecordBatch]:
     """The same rows in batches of at most ``most`` bytes of ``column`` (one row at least)."""
     for batch in batches:
         sizes = pc.fill_null(pc.binary_length(batch.column(column)), 0).to_numpy(zero_copy_only=False)
@@ -108,6 +143,24 @@ def as_bytes(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return whole[offsets[0]:offsets[-1]], offsets - offsets[0]
 
 
+def hash_spans(data: np.ndarray, start: np.ndarray, stop: np.ndarray) -> np.ndarray:
+    """A 64-bit hash of each span of bytes; spans are ascending and do not overlap."""
+    out = np.empty(len(start), U64)
+    table = _byte_table()
+    at, n = 0, len(start)
+    while at < n:
+        base = int(start[at])
+        to = max(at + 1, int(np.searchsorted(stop, base + BLOCK, side="right")))
+        end = int(stop[to - 1])
+        power, inverse = _powers(_STEP_BYTE, max(BLOCK, 1 << (end - base).bit_length()))
+        total = np.zeros(end - base + 1, U64)
+        np.cumsum(table[data[base:end]] * power[:end - base], out=total[1:])
+        s, e = start[at:to] - base, stop[at:to] - base
+        out[at:to] = (total[e] - total[s]) * inverse[s] + (e - s).astype(U64)
+        at = to
+    return mix(out, 1)
+
+
 class Words:
     """The words (runs of bytes other than ASCII white space) of a batch of texts.
 
@@ -133,29 +186,11 @@ class Words:
             stop_mark[1:-1] = tail_next
         stop_mark[offsets[1:]] = True
         stops = np.flatnonzero(stop_mark)
-        self.start = start
-        self.stop = stops[np.searchsorted(stops, start, side="right")] if len(start) else start
-        self.data = data
+        del word, head, stop_mark
         self.first = np.searchsorted(start, offsets)
-        self.hash = self._hashes(data)
+        self.hash = hash_spans(data, start, stops[np.searchsorted(stops, start, side="right")] if len(start) else start)
         self._sums: np.ndarray | None = None
 
-    def _hashes(self, data: np.ndarray) -> np.ndarray:
-        out = np.empty(len(self.start), U64)
-        table = _byte_table()
-        at, n = 0, len(self.start)
-        while at < n:
-            base = int(self.start[at])
-            to = max(at + 1, int(np.searchsorted(self.stop, base + BLOCK, side="right")))
-            end = int(self.stop[to - 1])
-            power, inverse = _powers(_STEP_BYTE, max(BLOCK, 1 << (end - base).bit_length()))
-            total = np.zeros(end - base + 1, U64)
-            np.cumsum(table[data[base:end]] * power[:end - base], out=total[1:])
-            s, e = self.start[at:to] - base, self.stop[at:to] - base
-            out[at:to] = (total[e] - total[s]) * inverse[s] + (e - s).astype(U64)
-            at = to
-        return mix(out, 1)
-
     def __len__(self) -> int:
         return len(self.hash)
 

@@ -48,12 +48,6 @@ class Segmenter:
         self._special = re.compile("(" + "|".join(map(re.escape, self.special)) + ")")
         self._mark = "<|"
 
-    def plain_words(self, text: str) -> list[str] | None:
-        """Pre-tokens of a text of the ``re`` path without special tokens; None for other texts."""
-        if self._mark in text and self._special.search(text) or not self._plain.fullmatch(text):
-            return None
-        return self._cut.findall(text.lower())
-
     def words(self, text: str) -> list[str]:
         """Raw pre-tokens; those of the ``re`` path are not yet byte characters (see ``mapped``)."""
         if self._mark in text and self._special.search(text):

@@ -30,13 +30,14 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from treelogic.llm import arrowkit
-from treelogic.llm.segment import Segmenter
+from treelogic.llm.segment import library
 from treelogic.llm.shared import bounds, parts, range_of, shared_folder
 
 _MAGIC = b"TOKWAVE1"
 _BLOCK = 512
 SHARD_TOKENS = 4_000_000
-KEPT_WORDS = 400_000
+#: Pre-tokens whose ids a worker keeps at most; beyond that the table starts anew.
+KEPT_WORDS = 1_500_000
 
 
 class WaveletMatrix:
@@ -183,60 +184,158 @@ class Shard:
             yield doc, tokens[a:b]
 
 
-class _Ids(dict):
-    """pre-token -> its ids as packed bytes, from the tokenizers library, for many pre-tokens at once."""
+# Bytes of the texts that are cut in bulk (ASCII without the apostrophe, and the letters of Latin-1).
+_SPACE, _LETTER, _DIGIT, _OTHER, _FOREIGN = range(5)
+
+
+@lru_cache(maxsize=1)
+def _byte_class() -> np.ndarray:
+    out = np.full(256, _FOREIGN, np.uint8)
+    out[32:127] = _OTHER
+    out[[9, 10, 11, 12, 13, 32]] = _SPACE
+    out[48:58] = _DIGIT
+    out[65:91] = out[97:123] = _LETTER
+    out[39] = _FOREIGN
+    return out
+
+
+class BulkEncoder:
+    """Ids of whole texts with the tokenizers library, for many texts at once.
+
+    BPE works inside pre-tokens, so the library encodes each distinct pre-token
+    once; a batch's pre-tokens are found, hashed and looked up as arrays.  Texts
+    with other characters than ``_byte_class`` knows, or with a special token's
+    mark, go to the library whole.
+    """
 
     def __init__(self, path: str):
-        super().__init__()
-        self.cutter = Segmenter(path)
-        self.library = self.cutter.library
+        self.library = library(path)
         vocab = self.library.get_vocab(with_added_tokens=True)
         self.kind = np.dtype("<u2") if max(vocab.values()) < 1 << 16 else np.dtype("<u4")
         self.last = np.zeros(max(vocab.values()) + 1, bool)
         for token, i in vocab.items():
             self.last[i] = token.endswith("</w>")
+        self._reset()
 
-    def _library(self, text: str) -> np.ndarray:
-        return np.array(self.library.encode(text, add_special_tokens=False).ids, self.kind)
+    def _reset(self) -> None:
+        self.known = np.zeros(0, arrowkit.U64)  # hashes of the pre-tokens, ascending, and their entries' numbers
+        self.number = np.zeros(0, np.int32)
+        self.start = np.zeros(1 << 16, np.int32)
+        self.length = np.zeros(1 << 16, np.int32)
+        self.flat = np.zeros(1 << 18, self.kind)
+        self.n = self.used = 0
 
-    def learn(self, words: list[str]) -> None:
+    def _library(self, text: str) -> np.ndarray:
+        fast = getattr(self.library, "encode_batch_fast", self.library.encode_batch)  # without offsets, where there is one
+        return np.array(fast([text], add_special_tokens=False)[0].ids, self.kind)
+
+    def _append(self, ids: np.ndarray, lengths: np.ndarray) -> int:
+        """New entries; returns the number of the first."""
+        first = self.n
+        while len(self.start) < self.n + len(lengths):
+            self.start, self.length = np.resize(self.start, 2 * len(self.start)), np.resize(self.length, 2 * len(self.length))
+        while len(self.flat) < self.used + len(ids):
+            self.flat = np.resize(self.flat, 2 * len(self.flat))
+        self.flat[self.used:self.used + len(ids)] = ids
+        self.start[first:first + len(lengths)] = self.used + np.cumsum(lengths) - lengths
+        self.length[first:first + len(lengths)] = lengths
+        self.n += len(lengths)
+        self.used += len(ids)
+        return first
+
+    def _learn(self, words: list[str]) -> int:
         ids = self._library(" ".join(words))
         ends = np.flatnonzero(self.last[ids]) + 1
         if len(ends) == len(words):
-            data, size = ids.tobytes(), self.kind.itemsize
-            at = 0
-            for w, end in zip(words, (ends * size).tolist()):
-                self[w] = data[at:end]
-                at = end
-        else:  # a pre-token that is cut otherwise when it stands alone
-            for w in words:
-                self[w] = self._library(w).tobytes()
-
-    def texts(self, texts: list[str]) -> list[bytes]:
-        """The packed ids of whole texts."""
-        cut = [self.cutter.plain_words(t) for t in texts]
-        fresh = list({w for words in cut if words for w in words if w not in self})
-        if fresh:
-            if len(self) + len(fresh) > KEPT_WORDS:
-                self.clear()
-                fresh = list({w for words in cut if words for w in words})
-            self.learn(fresh)
-        get = self.__getitem__
-        return [b"".join(map(get, words)) if words is not None else self._library(t).tobytes() for words, t in zip(cut, texts)]
+            return self._append(ids, np.diff(ends, prepend=0))
+        each = [self._library(w) for w in words]  # a pre-token that is cut otherwise among others
+        return self._append(np.concatenate(each), np.array([len(e) for e in each], np.int64))
+
+    def encode(self, column: pa.Array, end_id: int | None) -> tuple[np.ndarray, np.ndarray]:
+        """(ids of all texts one after the other, offsets of the texts); ``end_id`` ends each text."""
+        data, offsets = arrowkit.as_bytes(column)
+        texts = len(offsets) - 1
+        kind = _byte_class()[data]
+        after = np.flatnonzero(data == 0xC3) + 1
+        after = after[after < len(data)]
+        tail = data[after]
+        good = (tail >= 0x80) & (tail <= 0xBF) & (tail != 0x97) & (tail != 0xB7)
+        letters = after[good]
+        kind[letters] = kind[letters - 1] = _LETTER
+        foreign = np.concatenate((np.flatnonzero(kind == _FOREIGN), np.flatnonzero((data[:-1] == 60) & (data[1:] == 124)) if len(data) > 1 else np.zeros(0, np.int64)))
+        odd = np.unique(np.searchsorted(offsets, foreign, side="right") - 1)
+        data = arrowkit._fold_table()[data]
+        upper = letters[data[letters] <= 0x9E]
+        data[upper] += 0x20
+        head = kind != _SPACE
+        edge = np.ones(len(data), bool)
+        if len(data):
+            edge[1:] = (kind[1:] != kind[:-1]) | (kind[1:] == _DIGIT)
+        begins = offsets[:-1][offsets[:-1] < offsets[1:]]
+        edge[begins] = True
+        start = np.flatnonzero(head & edge)
+        # a pre-token ends at the next edge
+        edges = np.append(np.flatnonzero(edge), len(data))
+        stop = edges[np.searchsorted(edges, start, side="right")] if len(start) else start
+        of_text = np.searchsorted(offsets, start, side="right") - 1
+        if len(odd):
+            keep = ~np.isin(of_text, odd)
+            start, stop, of_text = start[keep], stop[keep], of_text[keep]
+        value, first, where = np.unique(arrowkit.hash_spans(data, start, stop), return_index=True, return_inverse=True)
+        if self.n + len(value) > KEPT_WORDS:
+            self._reset()
+        place = np.searchsorted(self.known, value)
+        inside = np.minimum(place, max(len(self.known) - 1, 0))
+        hit = self.known[inside] == value if len(self.known) else np.zeros(len(value), bool)
+        number = np.full(len(value), -1, np.int64)
+        number[hit] = self.number[inside[hit]]
+        fresh = np.flatnonzero(~hit)
+        if len(fresh):
+            raw = data.tobytes()
+            base = self._learn([raw[a:b].decode() for a, b in zip(start[first[fresh]].tolist(), stop[first[fresh]].tolist())])
+            number[fresh] = np.arange(base, base + len(fresh))
+            self.known = np.insert(self.known, place[fresh], value[fresh])
+            self.number = np.insert(self.number, place[fresh], number[fresh])
+        pieces = number[where]
+        n, used = self.n, self.used  # what follows is kept for this batch only
+        places, values = [], []
+        bound = np.searchsorted(of_text, np.arange(texts), side="right")
+        if len(odd):
+            whole = [self._library(column[int(i)].as_py() or "") for i in odd]
+            base = self._append(np.concatenate(whole), np.array([len(w) for w in whole], np.int64))
+            places.append(bound[odd])
+            values.append(np.arange(base, base + len(odd)))
+        if end_id is not None:
+            base = self._append(np.array([end_id], self.kind), np.array([1]))
+            places.append(bound)
+            values.append(np.full(texts, base))
+        text_of = [np.asarray(odd)] * bool(len(odd)) + [np.arange(texts)] * (end_id is not None)
+        if places:
+            owner = np.concatenate(text_of)
+            order = np.argsort(owner, kind="stable")
+            pieces = np.insert(pieces, np.concatenate(places)[order], np.concatenate(values)[order])
+            counts = np.bincount(of_text, minlength=texts) + np.bincount(owner, minlength=texts)
+        else:
+            counts = np.bincount(of_text, minlength=texts)
+        size = self.length[pieces]
+        ids = self.flat[np.repeat(self.start[pieces].astype(np.int64), size) + arrowkit.ranges(size)]
+        ends = np.concatenate(([0], np.cumsum(size, dtype=np.int64)))
+        self.n, self.used = n, used
+        return ids, ends[np.concatenate(([0], np.cumsum(counts)))]
 
 
 @lru_cache(maxsize=2)
-def _ids(path: str) -> _Ids:
-    return _Ids(path)
+def _encoder(path: str) -> BulkEncoder:
+    return BulkEncoder(path)
 
 
 def _encode(path: str, end_id: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        table = _ids(path)
-        end = np.array([end_id], table.kind).tobytes()
-        for part in arrowkit.slices(batches, "text", 4 << 20):
-            packed = [ids + end for ids in table.texts([t or "" for t in part.column("text").to_pylist()])]
-            yield pa.RecordBatch.from_arrays([part.column("part"), part.column("doc_id"), pa.array(packed, pa.binary())], names=["part", "doc_id", "ids"])
+        coder = _encoder(path)
+        for part in arrowkit.slices(batches, "text", 2 << 20):
+            ids, offsets = coder.encode(part.column("text"), end_id)
+            packed = pa.Array.from_buffers(pa.binary(), part.num_rows, [None, pa.py_buffer((offsets * coder.kind.itemsize).astype(np.int32)), pa.py_buffer(np.ascontiguousarray(ids))])
+            yield pa.RecordBatch.from_arrays([part.column("part"), part.column("doc_id"), packed], names=["part", "doc_id", "ids"])
 
     return run
 
@@ -244,7 +343,7 @@ def _encode(path: str, end_id: int):
 def _shards(path: str, most: int):
     """Rows sorted by range and document become shard files."""
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        kind = _ids(path).kind
+        kind = _encoder(path).kind
         part, seq, docs, packed, size = None, 0, [], [], 0
 
         def close() -> pa.RecordBatch:
@@ -279,9 +378,9 @@ def write_store(docs: DataFrame, path: str, folder: str, end_id: int = 1, shard_
     n = parts(docs.sparkSession)
     source = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(-2**63)).alias("doc_id"), "text")
     cuts = bounds(source, "doc_id", 2 * n)
-    ids = source.select(range_of("doc_id", cuts).alias("part"), "doc_id", "text").mapInArrow(_encode(path, end_id), "part int, doc_id long, ids binary")
+    ids = source.select(range_of("doc_id", cuts).alias("part"), "doc_id", "text").mapInArrow(arrowkit.tidy(_encode(path, end_id)), "part int, doc_id long, ids binary")
     rows = ids.repartition(n, "part").sortWithinPartitions("part", "doc_id", "ids")
-    rows.mapInArrow(_shards(path, shard_tokens), "part int, seq int, first_doc long, last_doc long, n_docs long, n_tokens long, file binary").write.option("compression", "none").parquet(folder)
+    rows.mapInArrow(arrowkit.tidy(_shards(path, shard_tokens)), "part int, seq int, first_doc long, last_doc long, n_docs long, n_tokens long, file binary").write.option("compression", "none").parquet(folder)
 
 
 def read_store(spark: SparkSession, folder: str) -> DataFrame:
@@ -312,7 +411,7 @@ def documents_of(store: DataFrame) -> DataFrame:
                 n = shard.n_docs
                 yield pa.RecordBatch.from_arrays([pa.array([part.as_py()] * n, pa.int32()), pa.array([seq.as_py()] * n, pa.int32()), pa.array(shard.doc_ids), pa.array(np.cumsum(shard.lengths) - shard.lengths), pa.array(shard.lengths), pa.array(crc, pa.int64())], names=["part", "seq", "doc_id", "inside", "n_tokens", "ids_crc32"])
 
-    rows = store.select("part", "seq", "file").mapInArrow(run, "part int, seq int, doc_id long, inside long, n_tokens long, ids_crc32 long")
+    rows = store.select("part", "seq", "file").mapInArrow(arrowkit.tidy(run), "part int, seq int, doc_id long, inside long, n_tokens long, ids_crc32 long")
     # one row for each shard: the running sum is over as many rows as there are files
     before = F.sum("n_tokens").over(Window.orderBy("part", "seq").rowsBetween(Window.unboundedPreceding, -1))
     bases = store.select("part", "seq", F.coalesce(before, F.lit(0)).alias("base"))
@@ -332,7 +431,7 @@ def find_token(store: DataFrame, token: int) -> DataFrame:
                     rows.append((part, seq, len(at), np.unique(shard.doc_ids[np.searchsorted(np.cumsum(shard.lengths), at, side="right")]).tolist()))
             yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.int32()), pa.array([r[1] for r in rows], pa.int32()), pa.array([r[2] for r in rows], pa.int64()), pa.array([r[3] for r in rows], pa.list_(pa.int64()))], names=["part", "seq", "occurrences", "doc_ids"])
 
-    return store.select("part", "seq", "file").mapInArrow(run, "part int, seq int, occurrences long, doc_ids array<long>")
+    return store.select("part", "seq", "file").mapInArrow(arrowkit.tidy(run), "part int, seq int, occurrences long, doc_ids array<long>")
 
 
 def round_trip(docs: DataFrame, path: str) -> DataFrame:
