@@ -47,3 +47,18 @@ def test_streaming_pairs(spark, sf_dir):
     mask = (1 << 56) - 1
     want = {(a & mask, b & mask) for a, b in edges.collect()}
     assert {tuple(r) for r in rows.collect()} == want
+
+
+def test_experiments_and_explain(spark, sf_dir):
+    from treelogic.evaluate.engine import explain
+    from treelogic.workloads import experiments as X
+
+    root = sf_dir.rsplit("/", 1)[0]
+    rows = X.query_size_sweep(spark, root, "sf0.001", ("pattern", "hash_join"))
+    by = {}
+    for r in rows:
+        by.setdefault(r["pattern"], set()).add(r["results"])
+    assert len(by) == 3 and all(len(v) == 1 for v in by.values())
+    assert len({r["results"] for r in X.ablation(spark, root, "sf0.001")}) == 1
+    text = explain(catalog.commerce(spark, sf_dir), parse("o:orders*{//l:lineitem!} where not l"))
+    assert "asked for false" in text and "KindPaths of 1 paths" in text

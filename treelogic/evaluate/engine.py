@@ -291,6 +291,21 @@ def projected(graph: PropertyGraph, pattern: TreePattern, rows: DataFrame, proje
     return rows.select(*columns).distinct()
 
 
+def explain(graph: PropertyGraph, pattern: TreePattern, **options) -> str:
+    """What would be done, in words: fragment, polarities, rewrites, operators, core."""
+    from treelogic.analysis.minimize import minimize
+    from treelogic.analysis.satisfy import satisfiable
+
+    if not satisfiable(pattern):
+        return f"{pattern}\nno graph has an answer: empty result, no job"
+    small, trace = minimize(pattern)
+    p = Pipeline(graph, pattern, Options(**options))
+    lines = [str(pattern), f"fragment: {pattern.fragment()}; {pattern.size()} nodes, {small.size()} after {trace or 'no rewrite'}"]
+    lines += [f"{n}: asked for {'/'.join(sorted('true' if s else 'false' for s in pattern.polarity(n)))}, by {type(o).__name__}" + (f" of {len(o.paths)} paths" if isinstance(o, KindPaths) else "") for n, o in p.operators.items()]
+    core = p.core({})
+    return "\n".join([*lines, f"core: {', '.join(core)}; enumeration from {p._top(core)}; upward round: {p.upward}; lineage cut: {p.cuts}"])
+
+
 def count_matches(graph: PropertyGraph, pattern: TreePattern, **options) -> int:
     """Number of answers without enumerating them, where every core node is an output: sums of
     products of counts up the match graph.  Other patterns are enumerated."""
