@@ -53,8 +53,8 @@ def _byte_table() -> np.ndarray:
     return mix(np.arange(256, dtype=U64), 77)
 
 
-@lru_cache(maxsize=2)
-def _space_table(fold: bool = False) -> np.ndarray:
+@lru_cache(maxsize=1)
+def _space_table() -> np.ndarray:
     out = np.zeros(256, bool)
     out[[9, 10, 11, 12, 13, 32]] = True
     return out
@@ -161,6 +161,23 @@ def hash_spans(data: np.ndarray, start: np.ndarray, stop: np.ndarray) -> np.ndar
     return mix(out, 1)
 
 
+def word_heads(data: np.ndarray, offsets: np.ndarray) -> np.ndarray:
+    """Which bytes begin a word of a text."""
+    word = ~_space_table()[data]
+    head = word.copy()
+    if len(data) > 1:
+        head[1:] &= ~word[:-1]
+    begins = offsets[:-1][offsets[:-1] < offsets[1:]]
+    head[begins] = word[begins]
+    return head
+
+
+def word_counts(column: pa.Array) -> np.ndarray:
+    """Number of words of each text."""
+    data, offsets = as_bytes(column)
+    return np.diff(np.searchsorted(np.flatnonzero(word_heads(data, offsets)), offsets))
+
+
 class Words:
     """The words (runs of bytes other than ASCII white space) of a batch of texts.
 
@@ -172,21 +189,17 @@ class Words:
         data, offsets = as_bytes(column)
         if fold:
             data = _fold_table()[data]
-        word = ~_space_table()[data]
-        head = word.copy()
-        if len(data) > 1:
-            head[1:] &= ~word[:-1]
-            tail_next = word[:-1] & ~word[1:]
-        starts_of_text = offsets[:-1][offsets[:-1] < offsets[1:]]
-        head[starts_of_text] = word[starts_of_text]
+        head = word_heads(data, offsets)
         start = np.flatnonzero(head)
+        del head
         # a word ends before white space, at the next text, or at the end
+        space = _space_table()[data]
         stop_mark = np.zeros(len(data) + 1, bool)
         if len(data) > 1:
-            stop_mark[1:-1] = tail_next
+            stop_mark[1:-1] = space[1:] & ~space[:-1]
         stop_mark[offsets[1:]] = True
         stops = np.flatnonzero(stop_mark)
-        del word, head, stop_mark
+        del space, stop_mark
         self.first = np.searchsorted(start, offsets)
         self.hash = hash_spans(data, start, stops[np.searchsorted(stops, start, side="right")] if len(start) else start)
         self._sums: np.ndarray | None = None

@@ -27,7 +27,7 @@ from treelogic.llm import arrowkit
 from treelogic.llm.segment import Segmenter, byte_chars, mapped
 
 #: Words whose ids a worker keeps at most; beyond that the table starts anew.
-KEPT_WORDS = 250_000
+KEPT_WORDS = 150_000
 _END = 0xE000
 
 
@@ -48,7 +48,8 @@ class PrefixBpe:
             left, right, whole = self.vocab[a], self.vocab[b], self.vocab[a + b]
             self.rank[left, right] = r
             self.parts.setdefault(whole, (left, right, r))
-        self._fits: dict[tuple[int, int], bool] = {}
+        #: known answers of ``fits``, by both ids in one number
+        self._fits: dict[int, bool] = {}
         self.automaton = self._automaton()
 
     def _symbols(self, token: str) -> str:
@@ -77,11 +78,11 @@ class PrefixBpe:
         pieces that touch could have merged before one of them was made, the
         border would have been crossed.
         """
-        known = self._fits.get((a, b))
+        known = self._fits.get(a << 32 | b)
         if known is None:
-            known = self._fits[a, b] = self._stay_apart(a, b)
-            if len(self._fits) > 1_000_000:
+            if len(self._fits) > 400_000:
                 self._fits.clear()
+            known = self._fits[a << 32 | b] = self._stay_apart(a, b)
         return known
 
     def _stay_apart(self, a: int, b: int) -> bool:
@@ -128,7 +129,7 @@ class PrefixBpe:
                 last[end + 1] = found
             else:
                 before = last[start]
-                if before is not None and (fits.get((before[0], token)) or known(before[0], token)):
+                if before is not None and (fits.get(before[0] << 32 | token) or known(before[0], token)):
                     last[end + 1] = found
         ids = []
         while n:
@@ -215,7 +216,7 @@ def encode_texts(docs: DataFrame, path: str, text: str = "text", keep: tuple[str
             columns += [pa.array(all_ids, pa.list_(pa.int32())), pa.array(all_text, pa.string())] if full else []
             yield pa.RecordBatch.from_arrays(columns, names=[*names, "n_tokens", "ids_sha256", "decoded_sha256"] + (["token_ids", "decoded"] if full else []))
 
-    return source.mapInArrow(run, schema)
+    return source.mapInArrow(arrowkit.tidy(run), schema)
 
 
 def decode_ids(rows: DataFrame, path: str, ids: str = "token_ids", into: str = "decoded") -> DataFrame:

@@ -102,7 +102,7 @@ def fingerprint_documents(docs: DataFrame, k: int = SHINGLE_WORDS, scale: int =
             prints = [s.text() for s in sketches(part.column("__text"), k, scale)]
             yield pa.RecordBatch.from_arrays([*[part.column(c) for c in names], pa.array(prints, pa.string())], names=[*names, "fingerprint"])
 
-    return source.mapInArrow(run, schema)
+    return source.mapInArrow(arrowkit.tidy(run), schema)
 
 
 def _compare(k: int, scale: int):
@@ -164,4 +164,4 @@ def compare_with_edits(docs: DataFrame, k: int = SHINGLE_WORDS, scale: int = SCA
     places = F.array(F.struct(part.alias("part"), F.lit(False).alias("ahead")), F.struct(before.alias("part"), F.lit(True).alias("ahead")))
     dealt = source.withColumn("place", F.explode(F.filter(places, lambda x: x["part"].isNotNull()))).select("place.part", "place.ahead", "doc_id", "text")
     ordered = dealt.repartition(n, "part").sortWithinPartitions("part", "ahead", "doc_id", "text")
-    return ordered.mapInArrow(_compare(k, scale), "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double")
+    return ordered.mapInArrow(arrowkit.tidy(_compare(k, scale)), "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double")

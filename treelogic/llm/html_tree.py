@@ -396,4 +396,4 @@ def extract(pages: DataFrame, html: str = "html", keep: tuple[str, ...] = ("page
             texts = model.texts(part.column("__html").to_pylist())
             yield pa.RecordBatch.from_arrays([*[part.column(c) for c in names], pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], names=[*names, "text", "n_chars"])
 
-    return source.mapInArrow(run, schema)
+    return source.mapInArrow(arrowkit.tidy(run), schema)

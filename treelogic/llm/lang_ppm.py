@@ -52,8 +52,8 @@ class PpmModel:
         data, offsets = arrowkit.as_bytes(column)
         n, texts = len(data), len(offsets) - 1
         out = np.zeros((texts, len(self.languages)))
-        for lo in range(0, n, 1 << 20):  # blocks bound the memory for texts of any length
-            hi = min(n, lo + (1 << 20))
+        for lo in range(0, n, 1 << 19):  # blocks bound the memory for texts of any length
+            hi = min(n, lo + (1 << 19))
             s = self.symbol[data[max(0, lo - 3):hi]].astype(np.int64)
             s = np.concatenate((np.zeros(3 - min(3, lo), np.int64), s))
             first = np.searchsorted(offsets, lo, side="right") - 1
@@ -177,19 +177,20 @@ def identify(docs: DataFrame, model: PpmModel, text: str = "text", keep: tuple[s
     shuffle; the model (of bounded size) is broadcast.
     """
     names = [*keep]
-    source = docs.select(*names, F.col(text).alias("__text"))
+    own = text if text in names else "__text"
+    source = docs.select(*names) if text in names else docs.select(*names, F.col(text).alias("__text"))
     shared = docs.sparkSession.sparkContext.broadcast(model)
     schema = ", ".join([f"`{f.name}` {f.dataType.simpleString()}" for f in source.schema if f.name in names] + ["lang_pred string", "score double", "bits_per_byte double", "excess double"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = shared.value
         at = {name: i for i, name in enumerate(m.languages)}
-        for part in arrowkit.slices(batches, "__text", 2 << 20):
-            lang, score, rate = m.predict(part.column("__text"))
+        for part in arrowkit.slices(batches, own, 1 << 20):
+            lang, score, rate = m.predict(part.column(own))
             excess = [(r - m.usual[at[x]]) / m.spread[at[x]] if x in at else 0.0 for x, r in zip(lang, rate)]
             yield pa.RecordBatch.from_arrays([*[part.column(c) for c in names], pa.array(lang, pa.string()), pa.array(score, pa.float64()), pa.array(rate, pa.float64()), pa.array(excess, pa.float64())], names=[*names, "lang_pred", "score", "bits_per_byte", "excess"])
 
-    return source.mapInArrow(run, schema)
+    return source.mapInArrow(arrowkit.tidy(run), schema)
 
 
 def held_out(doc_id: str = "doc_id"):

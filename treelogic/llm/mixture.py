@@ -19,18 +19,32 @@ holds a leaf.
 
 from __future__ import annotations
 
-from collections.abc import Mapping, Sequence
+from collections.abc import Iterator, Mapping, Sequence
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from treelogic.llm import arrowkit
 from treelogic.llm.shared import checkpointed
 
+#: Groups up to which their table, which is counted, may be broadcast.
+BROADCAST_GROUPS = 50_000
 
-def count_words(text: str | Column) -> Column:
-    """Words (runs of other than ASCII white space) of a text; null has none."""
-    text = F.col(text) if isinstance(text, str) else text
-    return F.coalesce(F.size(F.filter(F.split(F.translate(text, "\t\n\x0b\f\r", "     "), " ", -1), lambda w: w != "")).cast("long"), F.lit(0).cast("long"))
+
+def with_word_counts(docs: DataFrame, into: str = "n_tokens") -> DataFrame:
+    """The other columns and the number of words (runs of other than ASCII white space) of ``text``; null has none.
+
+    The text itself is left behind: only counts travel on.
+    """
+    names = [c for c in docs.columns if c != "text"]
+    fields = {f.name: f.dataType.simpleString() for f in docs.schema.fields}
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for part in arrowkit.slices(batches, "text"):
+            yield pa.RecordBatch.from_arrays([*[part.column(c) for c in names], pa.array(arrowkit.word_counts(part.column("text")), pa.int64())], names=[*names, into])
+
+    return docs.mapInArrow(arrowkit.tidy(run), ", ".join([f"`{c}` {fields[c]}" for c in names] + [f"`{into}` long"]))
 
 
 def weight_of(level: str, weights: Mapping[str, int], default: int = 1) -> Column:
@@ -81,13 +95,19 @@ def mix_documents(docs: DataFrame, levels: Sequence[str], weights: Mapping[str,
     ``keep``, one row for each input row.  Documents without tokens are in no
     epoch.  Rows with equal ids stand in the order of their tokens.
     """
-    n_tokens = F.coalesce(F.col(tokens).cast("long"), F.lit(0).cast("long")) if tokens else count_words("text")
-    rows = checkpointed(docs.select("doc_id", *[F.coalesce(F.col(c).cast("string"), F.lit("")).alias(c) for c in levels], n_tokens.alias("n_tokens"), *keep))
+    columns = ["doc_id", *[F.coalesce(F.col(c).cast("string"), F.lit("")).alias(c) for c in levels], *keep]
+    if tokens:
+        rows = docs.select(*columns, F.coalesce(F.col(tokens).cast("long"), F.lit(0).cast("long")).alias("n_tokens"))
+    else:
+        rows = with_word_counts(docs.select(*columns, "text"))
+    rows = checkpointed(rows)
     leaves = checkpointed(rows.groupBy(*levels).agg(F.sum("n_tokens").alias("leaf_tokens")))
-    total = (leaves.agg(F.sum("leaf_tokens")).first()[0] or 0) * share_of_tokens[0] // share_of_tokens[1]
+    held, groups = leaves.agg(F.sum("leaf_tokens"), F.count("*")).first()
+    total = (held or 0) * share_of_tokens[0] // share_of_tokens[1]
     given = budgets(leaves, levels, weights, total, max_epochs)
     given = given.withColumn("whole", F.expr("CASE WHEN leaf_tokens > 0 THEN leaf_budget div leaf_tokens ELSE 0L END")).withColumn("rest", F.expr("leaf_budget - whole * leaf_tokens"))
-    placed = rows.join(given.select(*levels, "whole", "rest"), list(levels))
+    given = given.select(*levels, "whole", "rest")
+    placed = rows.join(F.broadcast(given) if groups <= BROADCAST_GROUPS else given, list(levels))
     placed = placed.withColumn("__h", F.md5(F.concat_ws(":", F.lit(str(seed)), (F.col("whole") + 1).cast("string"), F.coalesce(F.col("doc_id").cast("string"), F.lit("null"))).cast("binary")))
     placed = placed.withColumn("__b", F.substring("__h", 1, 3))
     sums = placed.groupBy(*levels, "__b").agg(F.sum("n_tokens").alias("__s"))

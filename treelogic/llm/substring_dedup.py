@@ -33,7 +33,7 @@ from treelogic.llm.shared import parts
 #: Low bits of a seed's rank that hold its place, so that ties go to the right.
 _PLACE = U64((1 << 28) - 1)
 _LOW48 = U64((1 << 48) - 1)
-CHUNK_BYTES = 6 << 20
+CHUNK_BYTES = 4 << 20
 #: Buckets of seeds for each shuffle partition: a task holds one bucket at a time.
 BUCKETS_A_TASK = 8
 
@@ -196,8 +196,8 @@ def repeated_spans(docs: DataFrame, min_words: int = 35, seed_words: int = 8) ->
     """
     n = parts(docs.sparkSession)
     source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("text_key"), "text")
-    packed = source.mapInArrow(_chunks(n * BUCKETS_A_TASK, min_words, seed_words), "bucket int, packed binary")
-    return packed.repartition(n, "bucket").sortWithinPartitions("bucket").mapInArrow(_meet(min_words), "doc_id long, text_key long, lo int, hi int")
+    packed = source.mapInArrow(arrowkit.tidy(_chunks(n * BUCKETS_A_TASK, min_words, seed_words)), "bucket int, packed binary")
+    return packed.repartition(n, "bucket").sortWithinPartitions("bucket").mapInArrow(arrowkit.tidy(_meet(min_words)), "doc_id long, text_key long, lo int, hi int")
 
 
 def drop_repeats(docs: DataFrame, min_words: int = 35, seed_words: int = 8, full: bool = False) -> DataFrame:
@@ -237,4 +237,4 @@ def drop_repeats(docs: DataFrame, min_words: int = 35, seed_words: int = 8, full
             columns = [part.column(c) for c in kept_names] + [pa.array(n_words, pa.int64()), pa.array(n_removed, pa.int64()), pa.array(sha, pa.string())] + ([pa.array(texts, pa.string())] if full else [])
             yield pa.RecordBatch.from_arrays(columns, names=[*kept_names, "n_words", "n_removed", "kept_sha256"] + (["kept_text"] if full else []))
 
-    return joined.mapInArrow(run, schema)
+    return joined.mapInArrow(arrowkit.tidy(run), schema)

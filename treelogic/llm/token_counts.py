@@ -123,4 +123,4 @@ def section_counts(docs: DataFrame, path: str, rule: str = "most", text: str = "
                 join = np.concatenate
                 yield pa.RecordBatch.from_arrays([part.column("doc_id").take(pa.array(join(row))), pa.array(join(number)), pa.array(join(start), pa.int64()), pa.array(join(end), pa.int64()), pa.array(join(count), kind), pa.array(join(total), pa.int64())], names=["doc_id", "section", "start_char", "end_char", "n_tokens", "doc_tokens"])
 
-    return source.mapInArrow(run, schema)
+    return source.mapInArrow(arrowkit.tidy(run), schema)

@@ -26,6 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from treelogic.llm import arrowkit
 from treelogic.llm.shared import parts
 
 BLOCK_ROWS = 4096
@@ -191,12 +192,12 @@ def top_k(queries: DataFrame, candidates: DataFrame, k: int = 20, scale: int = 6
     high = max(1, -(-n // CANDIDATES_A_CELL))
     schema = "ids binary, matrix binary, width int"
     number = F.monotonically_increasing_id()
-    q = queries.mapInArrow(_pack(scale, 512), schema).withColumn("own", F.pmod(F.hash(number), F.lit(wide)))
+    q = queries.mapInArrow(arrowkit.tidy(_pack(scale, 512)), schema).withColumn("own", F.pmod(F.hash(number), F.lit(wide)))
     q = q.withColumn("cell", F.explode(F.sequence(F.lit(0), F.lit(high - 1)))).withColumn("cell", F.col("own") * high + F.col("cell"))
-    c = candidates.mapInArrow(_pack(scale, BLOCK_ROWS), schema).withColumn("own", F.pmod(F.hash(number), F.lit(high)))
+    c = candidates.mapInArrow(arrowkit.tidy(_pack(scale, BLOCK_ROWS)), schema).withColumn("own", F.pmod(F.hash(number), F.lit(high)))
     c = c.withColumn("cell", F.explode(F.sequence(F.lit(0), F.lit(wide - 1)))).withColumn("cell", F.col("cell") * high + F.col("own"))
     columns = ["cell", "kind", "ids", "matrix", "width"]
     cells = q.withColumn("kind", F.lit(0)).select(columns).union(c.withColumn("kind", F.lit(1)).select(columns))
-    found = cells.repartition(min(wide * high, 4 * parts(queries.sparkSession)), "cell").sortWithinPartitions("cell", "kind").mapInArrow(_search(k), "query_id long, vec_id long, score long")
+    found = cells.repartition(min(wide * high, 4 * parts(queries.sparkSession)), "cell").sortWithinPartitions("cell", "kind").mapInArrow(arrowkit.tidy(_search(k)), "query_id long, vec_id long, score long")
     place = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
     return found.withColumn("rank", place).filter(F.col("rank") <= k).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
