@@ -45,14 +45,13 @@ STEPS = (1, 5, 8)
 ORDERS = len(STEPS)
 COUNTERS = 1 << 22
 _SLICES = 64
-SIGNATURE_WORDS = 8
-#: Words of the longer parity signature that sets over WIDE_FROM shingles also have.
-WIDE_WORDS = 128
-WIDE_FROM = 512
+#: Parity signatures have this many bits, doubled as long as the sets may differ in too many places for them.
+SIGNATURE_BITS = 256
+SIGNATURE_LEVELS = 6
 #: Bits of the table of wanted representatives; when it fills up more sets travel, none is lost.
 WANTED_BITS = 1 << 25
-BLOOM_WORDS = 4
-CHUNK_BYTES = 10 << 20
+BLOOM_WORDS = 2
+CHUNK_BYTES = 6 << 20
 _LAST = 2**63 - 1
 _LOW48 = U64((1 << 48) - 1)
 
@@ -85,16 +84,25 @@ def _set_keys(sets: list[np.ndarray]) -> np.ndarray:
     return mix(sums + sizes.astype(U64) * U64(0xD6E8FEB86659FD93), 43)
 
 
-def _parity(tokens: np.ndarray, words: int = SIGNATURE_WORDS) -> bytes:
-    bits = words * 64
+def _level(limit: Threshold, n: int) -> int:
+    """Level of a set's signature: unrelated sets must differ in more places of it than similar ones may."""
+    level = 0
+    while level < SIGNATURE_LEVELS - 1 and 0.4 * (SIGNATURE_BITS << level) < limit.most_apart(2 * n):
+        level += 1
+    return level
+
+
+def _parity(tokens: np.ndarray, limit: Threshold) -> bytes:
+    """For each place whether an odd number of the set's shingles falls on it; xor of the halves is the next lower level."""
+    bits = SIGNATURE_BITS << _level(limit, len(tokens))
     return np.packbits((np.bincount((mix(tokens, 31) & U64(bits - 1)).astype(np.int64), minlength=bits) & 1).astype(bool)).tobytes()
 
 
-def _describe(k: int):
+def _describe(k: int, limit: Threshold):
     """Document rows (doc_id, text_key, n, key, signature) and rows of counters (slice, packed)."""
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         counts = np.zeros(COUNTERS, np.uint32)
-        names = ["doc_id", "text_key", "n", "key", "signature", "wide", "slice", "packed"]
+        names = ["doc_id", "text_key", "n", "key", "signature", "slice", "packed"]
         some = False
         for part in arrowkit.slices(batches, "text"):
             sets = arrowkit.Words(part.column("text"), fold=True).shingle_sets(k)
@@ -108,12 +116,12 @@ def _describe(k: int):
                 some = True
                 counts += np.bincount((np.concatenate(full) & U64(COUNTERS - 1)).astype(np.int64), minlength=COUNTERS).astype(np.uint32)
             none = pa.nulls(len(sets))
-            yield pa.RecordBatch.from_arrays([part.column("doc_id"), part.column("text_key"), pa.array(size), pa.array(key), pa.array([_parity(s) for s in sets], pa.binary()), pa.array([_parity(s, WIDE_WORDS) if len(s) > WIDE_FROM else b"" for s in sets], pa.binary()), none.cast(pa.int32()), none.cast(pa.binary())], names=names)
+            yield pa.RecordBatch.from_arrays([part.column("doc_id"), part.column("text_key"), pa.array(size), pa.array(key), pa.array([_parity(s, limit) for s in sets], pa.binary()), none.cast(pa.int32()), none.cast(pa.binary())], names=names)
         if some:
             press = zstandard.ZstdCompressor(level=1)
             blobs = [press.compress(c.tobytes()) for c in np.split(counts, _SLICES)]
             none = pa.nulls(_SLICES)
-            yield pa.RecordBatch.from_arrays([*[none.cast(pa.int64())] * 4, *[none.cast(pa.binary())] * 2, pa.array(range(_SLICES), pa.int32()), pa.array(blobs, pa.binary())], names=names)
+            yield pa.RecordBatch.from_arrays([*[none.cast(pa.int64())] * 4, none.cast(pa.binary()), pa.array(range(_SLICES), pa.int32()), pa.array(blobs, pa.binary())], names=names)
 
     return run
 
@@ -131,7 +139,7 @@ def _add_counters(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
 
 def _rarity(described: DataFrame) -> np.ndarray:
     """How common the shingles of each counter are, on a logarithmic scale of 0 to 255."""
-    rows = described.filter("slice is not null").select("slice", "packed").repartition(min(_SLICES, parts(described.sparkSession)), "slice").mapInArrow(_add_counters, "slice int, packed binary").collect()
+    rows = described.filter("slice is not null").select("slice", "packed").repartition(min(_SLICES, parts(described.sparkSession)), "slice").mapInArrow(arrowkit.tidy(_add_counters), "slice int, packed binary").collect()
     width = COUNTERS // _SLICES
     out = np.zeros(COUNTERS, np.uint8)  # the one table that reaches the driver: its size is fixed
     for r in rows:
@@ -144,7 +152,8 @@ def _prefixes(k: int, limit: Threshold, buckets: int, table: np.ndarray):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for chunk in arrowkit.gathered(batches, "text", CHUNK_BYTES):
             seen: set[int] = set()
-            held: list[list[np.ndarray]] = [[] for _ in range(ORDERS)]
+            held: list[np.ndarray] = []
+            masks: list[np.ndarray] = []
             keys: list[int] = []
             size: list[int] = []
             for part in arrowkit.slices([chunk], "text"):
@@ -155,18 +164,22 @@ def _prefixes(k: int, limit: Threshold, buckets: int, table: np.ndarray):
                     seen.add(key)
                     p = limit.prefix(len(s))
                     common = table[(s & U64(COUNTERS - 1)).astype(np.int64)]
+                    member = np.zeros(len(s), np.uint8)  # a bit for each order whose prefix has the shingle
                     for order, step in enumerate(STEPS):
                         rank = (common // np.uint8(step)).astype(U64) << U64(56) | (mix(s, 100 + order) >> U64(8))
-                        held[order].append(s[np.argpartition(rank, p - 1)[:p]] if p < len(s) else s)
+                        member[np.argpartition(rank, p - 1)[:p] if p < len(s) else slice(None)] |= np.uint8(1 << order)
+                    some = np.flatnonzero(member)
+                    held.append(s[some])
+                    masks.append(member[some])
                     keys.append(key)
-                    size.append(p)
+                    size.append(len(some))
             if not keys:
                 continue
-            token = mix(np.concatenate([t for one in held for t in one]), 51)
-            order = np.repeat(np.arange(ORDERS, dtype=np.uint8), sum(size))
-            number = np.tile(np.repeat(np.arange(len(keys), dtype=np.uint32), size), ORDERS)
+            token = mix(np.concatenate(held), 51)
+            member = np.concatenate(masks)
+            number = np.repeat(np.arange(len(keys), dtype=np.uint32), size)
             bucket = (token % U64(buckets)).astype(np.int32)
-            at = np.lexsort((order, bucket))
+            at = np.argsort(bucket, kind="stable")
             edges = np.searchsorted(bucket[at], np.arange(buckets + 1))
             full = [b for b in range(buckets) if edges[b] < edges[b + 1]]
             names = np.array(keys, U64)
@@ -175,7 +188,7 @@ def _prefixes(k: int, limit: Threshold, buckets: int, table: np.ndarray):
                 rows = at[edges[b]:edges[b + 1]]
                 nodes, place = np.unique(number[rows], return_inverse=True)
                 t = token[rows] & _LOW48  # shortened names of shingles can add candidates, never lose one
-                blobs.append(_pack(np.bincount(order[rows], minlength=ORDERS).astype(np.int64), names[nodes], (t & U64(0xFFFFFFFF)).astype(np.uint32), (t >> U64(32)).astype(np.uint16), place.astype(np.uint16 if len(nodes) <= 1 << 16 else np.uint32)))
+                blobs.append(_pack(member[rows], names[nodes], (t & U64(0xFFFFFFFF)).astype(np.uint32), (t >> U64(32)).astype(np.uint16), place.astype(np.uint16 if len(nodes) <= 1 << 16 else np.uint32)))
             yield pa.RecordBatch.from_arrays([pa.array(full, pa.int32()), pa.array(blobs, pa.binary())], names=["bucket", "packed"])
 
     return run
@@ -190,20 +203,48 @@ def _unpack(blob: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     sizes = np.frombuffer(blob, np.int64, 5)
     at = 40 + np.concatenate(([0], np.cumsum(sizes)))
     part = lambda i, kind: np.frombuffer(blob, kind, int(sizes[i]) // np.dtype(kind).itemsize, int(at[i]))
-    number, names, low, high = part(0, np.int64), part(1, U64), part(2, np.uint32), part(3, np.uint16)
+    member, names, low, high = part(0, np.uint8), part(1, U64), part(2, np.uint32), part(3, np.uint16)
     place = part(4, np.uint16 if len(names) <= 1 << 16 else np.uint32)
-    return np.repeat(np.arange(ORDERS, dtype=np.uint8), number), low.astype(U64) | high.astype(U64) << U64(32), names[place]
+    token, key = low.astype(U64) | high.astype(U64) << U64(32), names[place]
+    hits = [np.flatnonzero(member >> np.uint8(order) & np.uint8(1)) for order in range(ORDERS)]
+    at = np.concatenate(hits)
+    return np.repeat(np.arange(ORDERS, dtype=np.uint8), list(map(len, hits))), token[at], key[at]
+
+
+def _shared_tokens(buckets: int):
+    """The entries whose token another key has too under that order, packed by bucket of the key: the
+    first order's tokens, and the other orders' as places of a bit set."""
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        key, order, token = _twice(batches)
+        if not len(key):
+            return
+        bucket = (mix(key, 33) % U64(buckets)).astype(np.int64)
+        at = np.lexsort((order, key, bucket))
+        key, order, token, bucket = key[at], order[at], token[at], bucket[at]
+        edges = np.searchsorted(bucket, np.arange(buckets + 1))
+        full = [b for b in range(buckets) if edges[b] < edges[b + 1]]
+        blobs = []
+        for b in full:
+            part = slice(edges[b], edges[b + 1])
+            nodes, where = np.unique(key[part], return_inverse=True)
+            first = order[part] == 0
+            t = token[part][first]
+            others = ((order[part][~first].astype(np.uint16) - 1) * (BLOOM_WORDS * 64) + (mix(token[part][~first], 70) % U64(BLOOM_WORDS * 64)).astype(np.uint16)).astype(np.uint16)
+            blobs.append(_pack(nodes, np.bincount(where[first], minlength=len(nodes)).astype(np.uint32), np.bincount(where[~first], minlength=len(nodes)).astype(np.uint32), (t & U64(0xFFFFFFFF)).astype(np.uint32), (t >> U64(32)).astype(np.uint16), others))
+        yield pa.RecordBatch.from_arrays([pa.array(full, pa.int32()), pa.array(blobs, pa.binary())], names=["bucket", "packed"])
+
+    return run
 
 
-def _shared_tokens(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """The (key, order, token) entries whose token another key has too under that order."""
+def _twice(batches: Iterator[pa.RecordBatch]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(key, order, token) of the entries of all packed rows whose token two keys have under the order."""
     orders, tokens, keys = [], [], []
     for batch in batches:
         for blob in batch.column("packed"):
             for kept, x in zip((orders, tokens, keys), _unpack(blob.as_py())):
                 kept.append(x)
     if not keys:
-        return
+        return (np.zeros(0, U64),) * 3
     order, token, key = np.concatenate(orders), np.concatenate(tokens), np.concatenate(keys)
     name = mix(token, 60) + order.astype(U64)
     at = np.lexsort((key, name))
@@ -215,54 +256,56 @@ def _shared_tokens(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch
     same = name[1:] == name[:-1]
     twice[1:] |= same
     twice[:-1] |= same
-    key, token, order = key[twice].view(np.int64), token[twice].view(np.int64), order[twice].view(np.int8)
-    for i in range(0, len(key), 200_000):
-        cut = slice(i, i + 200_000)
-        yield pa.RecordBatch.from_arrays([pa.array(key[cut]), pa.array(order[cut]), pa.array(token[cut])], names=["key", "ord", "token"])
+    return key[twice], order[twice], token[twice]
 
 
 def _by_key(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """From entries sorted by key: the keys that have entries under every order, with the first
-    order's tokens and a bit set of the other orders' tokens."""
-    def close(key, order, token):
-        head = np.flatnonzero(np.concatenate(([True], key[1:] != key[:-1])))
-        stop = np.append(head[1:], len(key))
-        bits = BLOOM_WORDS * 64
-        place = (mix(token.view(U64), 70) % U64(bits)).astype(np.int64)
-        out_key, out_tokens, out_bloom = [], [], []
-        for i, j in zip(head.tolist(), stop.tolist()):
-            o = order[i:j]
-            if len(np.unique(o)) < ORDERS:
-                continue
-            out_key.append(int(key[i]))
-            out_tokens.append(token[i:j][o == 0])
-            bloom = np.zeros((ORDERS - 1, bits), bool)
-            later = o > 0
-            bloom[o[later] - 1, place[i:j][later]] = True
-            out_bloom.append(np.packbits(bloom, axis=1).tobytes())
-        return pa.RecordBatch.from_arrays([pa.array(out_key, pa.int64()), arrowkit.list_of(out_tokens, pa.int64()) if out_tokens else pa.array([], pa.list_(pa.int64())), pa.array(out_bloom, pa.binary())], names=["key", "tokens", "bloom"])
-
-    rest = None
+    """The keys that have entries under every order, with the first order's tokens and a bit set of
+    the other orders' tokens."""
+    kinds = (U64, np.uint32, np.uint32, np.uint32, np.uint16, np.uint16)
+    held: list[list[np.ndarray]] = [[] for _ in kinds]
     for batch in batches:
-        now = [batch.column(c).to_numpy(zero_copy_only=False) for c in ("key", "ord", "token")]
-        if rest is not None:
-            now = [np.concatenate(x) for x in zip(rest, now)]
-        if not len(now[0]):
-            continue
-        last = int(np.searchsorted(now[0], now[0][-1]))  # the last key may go on
-        rest = [x[last:] for x in now]
-        if last:
-            yield close(*[x[:last] for x in now])
-    if rest is not None and len(rest[0]):
-        yield close(*rest)
+        for blob in batch.column("packed").to_pylist():
+            sizes = np.frombuffer(blob, np.int64, len(kinds))
+            at = 8 * len(kinds)
+            for kept, kind, size in zip(held, kinds, sizes.tolist()):
+                kept.append(np.frombuffer(blob, kind, size // np.dtype(kind).itemsize, at))
+                at += size
+    if not held[0]:
+        return
+    key, firsts, others, low, high, place = map(np.concatenate, held)
+    width = BLOOM_WORDS * 64
+    nodes, where = np.unique(key, return_inverse=True)
+    owner = np.repeat(where, firsts)
+    order = np.argsort(owner, kind="stable")
+    token = (low.astype(U64) | high.astype(U64) << U64(32)).view(np.int64)[order]
+    edges = np.searchsorted(owner[order], np.arange(len(nodes) + 1))
+    bloom = np.zeros((len(nodes), ORDERS - 1, width), bool)
+    of = np.repeat(where, others)
+    bloom[of, place // width, place % width] = True
+    good = np.flatnonzero((np.diff(edges) > 0) & bloom.any(axis=2).all(axis=1))
+    packed = np.packbits(bloom, axis=2)
+    for i in range(0, len(good), 20_000):
+        some = good[i:i + 20_000]
+        yield pa.RecordBatch.from_arrays([pa.array(nodes[some].view(np.int64)), arrowkit.list_of([token[edges[j]:edges[j + 1]] for j in some.tolist()], pa.int64()), pa.array([packed[j].tobytes() for j in some.tolist()], pa.binary())], names=["key", "tokens", "bloom"])
 
 
 class _Group:
     """The nodes that share one shingle, and the candidate test between them."""
 
-    def __init__(self, limit: Threshold, key, n, bloom, signature):
-        self.limit, self.key, self.n = limit, key, n
-        self.bloom, self.signature = bloom, signature
+    def __init__(self, limit: Threshold, key, n, bloom, signatures: list[bytes]):
+        self.limit, self.key, self.n, self.bloom = limit, key, n, bloom
+        size = np.fromiter(map(len, signatures), np.int64, len(signatures)) * 8 // SIGNATURE_BITS
+        self.level = np.log2(size).astype(np.int64)
+        #: for each level the signatures of the nodes that have it, folded down from their own
+        self.signature = [np.zeros((len(key), (SIGNATURE_BITS << level) // 64), U64) for level in range(int(self.level.max()) + 1)]
+        for i, (s, level) in enumerate(zip(signatures, self.level.tolist())):
+            x = np.frombuffer(s, U64)
+            while True:
+                self.signature[level][i] = x
+                if not level:
+                    break
+                x, level = x[:len(x) // 2] ^ x[len(x) // 2:], level - 1
 
     def candidates(self, i: int, others: np.ndarray) -> np.ndarray:
         """Those of ``others`` that may be similar to node i."""
@@ -274,7 +317,11 @@ class _Group:
         for order in range(ORDERS - 1):
             ok = ((self.bloom[others, order] & self.bloom[i, order]) != 0).any(axis=1)
             others, m = others[ok], m[ok]
-        apart = np.bitwise_count(self.signature[others] ^ self.signature[i]).sum(axis=1, dtype=np.int64)
+        apart = np.zeros(len(others), np.int64)
+        level = np.minimum(self.level[others], self.level[i])
+        for at in np.unique(level).tolist():
+            mine = level == at
+            apart[mine] = np.bitwise_count(self.signature[at][others[mine]] ^ self.signature[at][i]).sum(axis=1, dtype=np.int64)
         return others[apart <= self.limit.most_apart(n + m)]
 
     def forest(self) -> tuple[list[tuple[int, int]], list[int]]:
@@ -318,7 +365,7 @@ def _pairs(limit: Threshold, across: bool):
             token, key, n = (rows.column(c).to_numpy() for c in ("token", "key", "n"))
             root = rows.column("root").to_numpy() if across else None
             bloom = np.frombuffer(b"".join(rows.column("bloom").to_pylist()), U64).reshape(len(key), ORDERS - 1, BLOOM_WORDS)
-            signature = np.frombuffer(b"".join(rows.column("signature").to_pylist()), U64).reshape(len(key), SIGNATURE_WORDS)
+            signature = rows.column("signature").to_pylist()
             head = np.flatnonzero(np.concatenate(([True], token[1:] != token[:-1])))
             found: list[tuple[int, int | None, int | None]] = []
             for i, j in zip(head.tolist(), [*head[1:].tolist(), len(token)]):
@@ -365,19 +412,7 @@ def _met(rows: DataFrame, limit: Threshold, n: int, across: bool) -> DataFrame:
     more = ["root"] if across else []
     rows = rows.select("token", "key", "rep", "n", "bloom", "signature", *more)
     rows = rows.repartition(n, "token").sortWithinPartitions("token", "rep", "key").drop("rep")
-    return rows.mapInArrow(_pairs(limit, across), "a long, b long, token long")
-
-
-def _apart(limit: Threshold):
-    """Drops the pairs whose longer signatures differ in too many places."""
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            keep = []
-            for x, y, total in zip(batch.column("x").to_pylist(), batch.column("y").to_pylist(), batch.column("total").to_pylist()):
-                keep.append(not x or not y or int(np.bitwise_count(np.frombuffer(x, U64) ^ np.frombuffer(y, U64)).sum()) <= limit.most_apart(total))
-            yield batch.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
-
-    return run
+    return rows.mapInArrow(arrowkit.tidy(_pairs(limit, across)), "a long, b long, token long")
 
 
 def _place(doc_id: np.ndarray, key: np.ndarray) -> np.ndarray:
@@ -408,7 +443,7 @@ def _join_bits(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 def _wanted(rows: DataFrame) -> np.ndarray:
     """Bit table of the (rep, key) rows; its size is fixed."""
     schema = "slice int, packed binary"
-    found = rows.mapInArrow(_wanted_bits, schema).repartition(min(_SLICES, parts(rows.sparkSession)), "slice").mapInArrow(_join_bits, schema).collect()
+    found = rows.mapInArrow(arrowkit.tidy(_wanted_bits), schema).repartition(min(_SLICES, parts(rows.sparkSession)), "slice").mapInArrow(arrowkit.tidy(_join_bits), schema).collect()
     out = np.zeros(WANTED_BITS // 8, np.uint8)
     width = len(out) // _SLICES
     for r in found:
@@ -444,34 +479,32 @@ def similar_documents(docs: DataFrame, k: int = 5, num: int = 4, den: int = 5) -
     limit, spark = Threshold(num, den), docs.sparkSession
     n = parts(spark)
     source = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(_LAST)).alias("doc_id"), F.xxhash64("text").alias("text_key"), "text")
-    described = checkpointed(source.mapInArrow(_describe(k), "doc_id long, text_key long, n long, key long, signature binary, wide binary, slice int, packed binary"))
+    described = checkpointed(source.mapInArrow(arrowkit.tidy(_describe(k, limit)), "doc_id long, text_key long, n long, key long, signature binary, slice int, packed binary"))
     documents = described.filter("slice is null")
     classes = spark.sparkContext.broadcast(_rarity(described))  # COUNTERS bytes, whatever the input
 
     def prefixes(batches):
         return _prefixes(k, limit, n, classes.value)(batches)
 
-    packed = source.select("text").mapInArrow(prefixes, "bucket int, packed binary")
-    entries = packed.repartition(n, "bucket").mapInArrow(_shared_tokens, "key long, ord tinyint, token long")
-    linked = entries.repartition(n, "key").sortWithinPartitions("key").mapInArrow(_by_key, "key long, tokens array<long>, bloom binary")
-    distinct_sets = documents.filter("n > 0").groupBy("key").agg(F.min(F.struct("doc_id", "text_key")).alias("first"), F.min("n").alias("n"), F.min("signature").alias("signature"), F.min("wide").alias("wide"))
-    nodes = checkpointed(linked.join(distinct_sets, "key").select("key", F.col("first.doc_id").alias("rep"), "n", "tokens", "bloom", "signature", "wide"))
+    packed = source.select("text").mapInArrow(arrowkit.tidy(prefixes), "bucket int, packed binary")
+    entries = packed.repartition(n, "bucket").mapInArrow(arrowkit.tidy(_shared_tokens(n)), "bucket int, packed binary")
+    linked = entries.repartition(n, "bucket").mapInArrow(arrowkit.tidy(_by_key), "key long, tokens array<long>, bloom binary")
+    distinct_sets = documents.filter("n > 0").groupBy("key").agg(F.min(F.struct("doc_id", "text_key")).alias("first"), F.min("n").alias("n"), F.min("signature").alias("signature"))
+    nodes = checkpointed(linked.join(distinct_sets, "key").select("key", F.col("first.doc_id").alias("rep"), "n", "tokens", "bloom", "signature"))
 
-    side = nodes.select("key", "rep", "n", "wide")
+    side = nodes.select("key", "rep")
 
     def verified(pairs: DataFrame) -> tuple[DataFrame, DataFrame]:
-        """The pairs that came close enough to be read, and those of them that are links."""
-        a, b = (side.select(F.col("key").alias(c), F.col("n").alias(f"n{c}"), F.col("wide").alias(w)) for c, w in (("a", "x"), ("b", "y")))
-        close = pairs.join(a, "a").join(b, "b").select("a", "b", "x", "y", (F.col("na") + F.col("nb")).alias("total")).mapInArrow(_apart(limit), "a long, b long")
-        close = checkpointed(close)
-        ends = close.select(F.col("a").alias("key")).union(close.select(F.col("b").alias("key"))).distinct().join(side, "key").select("rep", "key")
+        """The pairs, kept, and those of them that are links."""
+        pairs = checkpointed(pairs)
+        ends = pairs.select(F.col("a").alias("key")).union(pairs.select(F.col("b").alias("key"))).distinct().join(side, "key").select("rep", "key")
         wanted = spark.sparkContext.broadcast(_wanted(ends))  # WANTED_BITS bits, whatever the input
-        sets = source.select("doc_id", "text").mapInArrow(_sets(k, wanted), "key long, tokens array<long>").dropDuplicates(["key"])
-        one = close.join(sets.select(F.col("key").alias("b"), F.col("tokens").alias("y")), "b")
+        sets = source.select("doc_id", "text").mapInArrow(arrowkit.tidy(_sets(k, wanted)), "key long, tokens array<long>").dropDuplicates(["key"])
+        one = pairs.join(sets.select(F.col("key").alias("b"), F.col("tokens").alias("y")), "b")
         two = one.join(sets.select(F.col("key").alias("a"), F.col("tokens").alias("x")), "a")
         common = F.size(F.array_intersect("x", "y"))
         links = two.filter(common * (num + den) >= F.lit(num) * (F.size("x") + F.size("y"))).select("a", "b")
-        return close, checkpointed(links)
+        return pairs, checkpointed(links)
 
     met = checkpointed(_met(nodes.withColumn("token", F.explode("tokens")), limit, n, False))
     tried, first = verified(met.filter("b is not null").select("a", "b").distinct())
