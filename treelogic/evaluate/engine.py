@@ -23,7 +23,7 @@ from pyspark.sql import functions as F
 from treelogic.graph.model import PropertyGraph
 from treelogic.index.reach import Children, KindPaths, Reach, Reflexive, children_of, choose
 from treelogic.plans import cut
-from treelogic.query.logic import FALSE, And, Var, simplify, to_column
+from treelogic.query.logic import FALSE, TRUE, And, Var, simplify, to_column
 from treelogic.query.pattern import PatternNode, TreePattern
 
 
@@ -98,6 +98,8 @@ class Pipeline:
         self.cuts = self.options.checkpoints if self.options.checkpoints is not None else not plain
         keyed = plain and all(e.keyed for o in self.operators.values() for e in (getattr(o, "sets", None) or [x for path in getattr(o, "paths", []) for x in path]))
         self.upward = self.options.prune_up if self.options.prune_up is not None else not keyed
+        #: along keys the enumeration's own joins do the work of both rounds for the core's edges
+        self.direct = keyed and self.options.prune_up is None and not self.exact
 
     def _bind(self, up: PatternNode, u: PatternNode) -> None:
         """Chooses the operator of the edge above u."""
@@ -123,10 +125,14 @@ class Pipeline:
         return {u.name: candidates(self.graph, u) for u in self.pattern.root.walk()}
 
     def prune_down(self, cand: dict[str, DataFrame]) -> dict[str, DataFrame]:
-        """Candidates that satisfy the whole sub-pattern below their pattern node."""
+        """Candidates that satisfy the whole sub-pattern below their pattern node.
+
+        Where joins follow keys, edges of the core are left to the enumeration.
+        """
         down: dict[str, DataFrame] = {}
+        later = {n: TRUE for n in self.core({})} if self.direct else {}
         for u in self.pattern.postorder():
-            formula = self.pattern.extended(u.name)
+            formula = simplify(self.pattern.extended(u.name).substitute(later))
             asked = [c for c in u.children if c.name in formula.variables()]
             if formula == FALSE:
                 down[u.name] = cand[u.name].limit(0)
