@@ -79,8 +79,7 @@ def tidy(run):
         try:
             yield from run(batches)
         finally:
-            pa.default_memory_pool().release_unused()
-            _trim()
+            give_back()
 
     return wrapped
 
@@ -93,9 +92,11 @@ def _bound_batches(most: int = 4 << 20) -> None:
         spark.conf.set(name, str(most))
 
 
-def _trim() -> None:
+def give_back() -> None:
+    """Returns freed memory to the system."""
     import ctypes
 
+    pa.default_memory_pool().release_unused()
     try:
         ctypes.CDLL("libc.so.6").malloc_trim(0)
     except (OSError, AttributeError):  # another C library

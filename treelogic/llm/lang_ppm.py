@@ -31,7 +31,7 @@ ORDER = 3
 DOCS_A_LANGUAGE = 400
 BYTES_A_LANGUAGE = 1_500_000
 LANGUAGES = 64
-CONTEXTS = 30_000
+CONTEXTS = 16_000
 UNKNOWN = "und"
 
 
@@ -114,29 +114,43 @@ def fit(texts: dict[str, list[bytes]], order_contexts: int = CONTEXTS) -> PpmMod
             codes.append(((s[:-3] * base + s[1:-2]) * base + s[2:-1]) * base + s[3:])
         grams.append(np.unique(np.concatenate(codes) if codes else np.zeros(0, np.int64), return_counts=True))
     n_lang = len(languages)
-    # the contexts of three symbols that get a row of their own: the most frequent ones
-    every = np.concatenate([g // base for g, _ in grams]) if grams else np.zeros(0, np.int64)
-    weight = np.concatenate([c for _, c in grams]) if grams else np.zeros(0, np.int64)
-    code, where = np.unique(every, return_inverse=True)
-    load = np.bincount(where, weights=weight, minlength=len(code))
-    keep = np.sort(code[np.argsort(-load, kind="stable")[:order_contexts]])
-    counts = [np.zeros((base**d, base, n_lang), np.float32) for d in range(3)]
-    deep = np.zeros((len(keep), base, n_lang), np.float32)
-    for j, (g, c) in enumerate(grams):
-        for d in range(3):
-            np.add.at(counts[d], ((g // base) % base**d, g % base, j), c)
-        at = np.searchsorted(keep, g // base)
-        hit = (at < len(keep)) & (keep[np.minimum(at, len(keep) - 1)] == g // base) if len(keep) else np.zeros(len(g), bool)
-        np.add.at(deep, (at[hit], (g % base)[hit], j), c[hit])
-    swap = lambda x: np.moveaxis(x, 1, 2)  # noqa: E731  followers last
-    p = _follow(swap(counts[0]), np.full((1, n_lang, base), 1 / 256, np.float32))
-    p = _follow(swap(counts[1]), np.broadcast_to(p, (base, n_lang, base)))
-    two = _follow(swap(counts[2]), np.tile(p, (base, 1, 1)))
-    three = _follow(swap(deep), two[keep % base**2])
-    rows = np.concatenate((two, three))
-    context = np.tile(np.arange(base**2, dtype=np.int32), base)
-    context[keep] = base**2 + np.arange(len(keep), dtype=np.int32)
-    bits = np.ascontiguousarray(swap(-np.log2(np.maximum(rows, 1e-12))).astype(np.float32))
+    none = np.zeros(0, np.int64)
+    every = np.concatenate([g for g, _ in grams]) if grams else none
+    weight = np.concatenate([c for _, c in grams]) if grams else none
+
+    def contexts(length: int, most: int | None = None) -> np.ndarray:
+        """Codes of the contexts of a length that occur; at most ``most``, the most frequent ones."""
+        code, where = np.unique(every // base % base**length, return_inverse=True)
+        load = np.bincount(where, weights=weight, minlength=len(code))
+        return code if most is None else np.sort(code[np.argsort(-load, kind="stable")[:most]])
+
+    def followers(kept: np.ndarray, length: int) -> np.ndarray:
+        """Counts (context, language, follower)."""
+        out = np.zeros((len(kept), n_lang, base), np.float32)
+        for j, (g, c) in enumerate(grams):
+            code = g // base % base**length
+            at = np.minimum(np.searchsorted(kept, code), max(len(kept) - 1, 0))
+            hit = kept[at] == code if len(kept) else np.zeros(len(g), bool)
+            np.add.at(out, (at[hit], j, (g % base)[hit]), c[hit])
+        return out
+
+    # rows: the empty context, then those of one, two and three bytes; a context without a row of its own
+    # has the row of its longest end that has one, since its probabilities are the same
+    tables = [_follow(followers(np.zeros(1, np.int64), 0), np.full((1, n_lang, base), 1 / 256, np.float32))]
+    context = np.zeros(base**ORDER, np.int32)
+    everywhere = np.arange(base**ORDER)
+    done = 1
+    for length in range(1, ORDER + 1):
+        kept = contexts(length, order_contexts if length == ORDER else None)
+        shorter = np.concatenate(tables)[context[kept % base**(length - 1)]]
+        tables.append(_follow(followers(kept, length), shorter))
+        if len(kept):
+            code = everywhere % base**length
+            at = np.minimum(np.searchsorted(kept, code), len(kept) - 1)
+            context = np.where(kept[at] == code, done + at, context).astype(np.int32)
+        done += len(kept)
+    rows = np.concatenate(tables)
+    bits = np.ascontiguousarray(np.moveaxis(-np.log2(np.maximum(rows, 1e-12)), 1, 2).astype(np.float32))
     model = PpmModel(languages, symbol, context, bits, base, np.zeros(n_lang), np.ones(n_lang))
     for j, name in enumerate(languages):
         total, size = model.totals(pa.array(texts[name], pa.binary()))
@@ -167,7 +181,9 @@ def train(docs: DataFrame, docs_a_language: int = DOCS_A_LANGUAGE) -> PpmModel:
         if size.get(r["lang"], 0) < BYTES_A_LANGUAGE and len(texts.setdefault(r["lang"], [])) < docs_a_language:
             texts[r["lang"]].append(t)
             size[r["lang"]] = size.get(r["lang"], 0) + len(t)
-    return fit(texts)
+    model = fit(texts)
+    arrowkit.give_back()
+    return model
 
 
 def identify(docs: DataFrame, model: PpmModel, text: str = "text", keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
