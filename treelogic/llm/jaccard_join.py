@@ -51,7 +51,7 @@ SIGNATURE_LEVELS = 6
 #: Bits of the table of wanted representatives; when it fills up more sets travel, none is lost.
 WANTED_BITS = 1 << 25
 BLOOM_WORDS = 2
-CHUNK_BYTES = 6 << 20
+CHUNK_BYTES = 5 << 20
 _LAST = 2**63 - 1
 _LOW48 = U64((1 << 48) - 1)
 
@@ -114,7 +114,8 @@ def _describe(k: int, limit: Threshold):
             full = [s for s in sets if len(s)]
             if full:
                 some = True
-                counts += np.bincount((np.concatenate(full) & U64(COUNTERS - 1)).astype(np.int64), minlength=COUNTERS).astype(np.uint32)
+                which, times = np.unique((np.concatenate(full) & U64(COUNTERS - 1)).astype(np.int32), return_counts=True)
+                counts[which] += times.astype(np.uint32)
             none = pa.nulls(len(sets))
             yield pa.RecordBatch.from_arrays([part.column("doc_id"), part.column("text_key"), pa.array(size), pa.array(key), pa.array([_parity(s, limit) for s in sets], pa.binary()), none.cast(pa.int32()), none.cast(pa.binary())], names=names)
         if some:
@@ -420,13 +421,14 @@ def _place(doc_id: np.ndarray, key: np.ndarray) -> np.ndarray:
 
 
 def _wanted_bits(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    bits, some = np.zeros(WANTED_BITS, bool), False
+    bits, some = np.zeros(WANTED_BITS // 8, np.uint8), False
     for batch in batches:
         some = some or batch.num_rows > 0
-        bits[_place(batch.column("rep").to_numpy(), batch.column("key").to_numpy())] = True
+        place = _place(batch.column("rep").to_numpy(), batch.column("key").to_numpy())
+        np.bitwise_or.at(bits, place >> 3, (128 >> (place & 7)).astype(np.uint8))
     if some:
         press = zstandard.ZstdCompressor(level=1)
-        blobs = [press.compress(b.tobytes()) for b in np.split(np.packbits(bits), _SLICES)]
+        blobs = [press.compress(b.tobytes()) for b in np.split(bits, _SLICES)]
         yield pa.RecordBatch.from_arrays([pa.array(range(_SLICES), pa.int32()), pa.array(blobs, pa.binary())], names=["slice", "packed"])
 
 
