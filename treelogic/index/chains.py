@@ -14,6 +14,10 @@ cycle), since paths of the pattern are nonempty.
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -77,6 +81,78 @@ def entry_lists(chains: DataFrame, dag: DataFrame, most_rounds: int = 64) -> Dat
     raise RuntimeError("the entry lists did not settle")
 
 
+def swept_lists(chains: DataFrame, dag: DataFrame, order: DataFrame, width: int = 16) -> DataFrame:
+    """The same entries by one pass against a topological order, for blocks of about ``width`` target chains apart.
+
+    ``order`` has ``node_id`` and the columns whose order is topological.  A task
+    reads all edges for its block, last nodes first, and holds a row of places
+    for each chain and for each node that an earlier one still leads to; nothing
+    is joined with itself, so the work is edges times blocks.
+    """
+    keys = [c for c in order.columns if c != "node_id"]
+    blocks = max(1, -(-chains.select("cid").distinct().count() // width))
+    own = F.pmod(F.xxhash64("cid"), F.lit(blocks)).cast("int")
+    most = chains.groupBy(own.alias("own")).agg(F.countDistinct("cid").alias("n")).agg(F.max("n")).first()[0] or 1
+    uses = dag.groupBy(F.col("dst").alias("node_id")).agg(F.count("*").alias("uses"))
+    rows = order.join(chains, "node_id").join(uses, "node_id", "left").join(dag.select(F.col("src").alias("node_id"), "dst"), "node_id", "left")
+    laid = rows.select(F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("block"), own.alias("own"), "node_id", "cid", "sid", "uses", "dst", *keys)
+    laid = laid.repartition("block").sortWithinPartitions("block", *[F.desc(c) for c in keys], F.desc("node_id")).drop(*keys)
+    never = np.iinfo(np.int32).max
+
+    def sweep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        block = node = None
+        found: list[tuple[int, int, int, int]] = []
+        place: dict[int, np.ndarray] = {}  # chain -> first places from its node seen last
+        waiting: dict[int, list] = {}      # node -> [edges to it that are still to come, its first places]
+        column: dict[int, int] = {}
+        names: list[int] = []
+
+        def settle() -> None:
+            """Entries of the node at hand: where it gets further than the next place of its chain."""
+            if node is None:
+                return
+            _, here, own, cid, sid, uses = node
+            before = place.get(cid)
+            for i in np.flatnonzero(here < (never if before is None else before)):
+                if names[i] != cid:
+                    found.append((cid, sid, names[i], int(here[i])))
+            if own == block:
+                if cid not in column:
+                    column[cid] = len(names)
+                    names.append(cid)
+                here[column[cid]] = sid
+            place[cid] = here
+            if uses:
+                waiting[node[0]] = [uses, here]
+
+        def out() -> pa.RecordBatch:
+            columns = list(zip(*found)) or [(), (), (), ()]
+            found.clear()
+            return pa.RecordBatch.from_arrays([pa.array(columns[0], pa.int64()), pa.array(columns[1], pa.int32()), pa.array(columns[2], pa.int64()), pa.array(columns[3], pa.int32())], names=["cid", "sid", "to_cid", "to_sid"])
+
+        for batch in batches:
+            for b, own, node_id, cid, sid, uses, dst in zip(*(c.to_pylist() for c in batch.columns)):
+                if b != block or node is None or node_id != node[0]:
+                    settle()
+                    if b != block:
+                        block = b
+                        place, waiting, column, names = {}, {}, {}, []
+                    first = place.get(cid)
+                    node = (node_id, np.full(most, never, np.int32) if first is None else first.copy(), own, cid, sid, uses)
+                if dst is not None:
+                    ahead = waiting[dst]  # missing: the order is not topological
+                    np.minimum(node[1], ahead[1], out=node[1])
+                    ahead[0] -= 1
+                    if not ahead[0]:
+                        del waiting[dst]
+            if found:
+                yield out()
+        settle()
+        yield out()
+
+    return cut(laid.mapInArrow(sweep, "cid long, sid int, to_cid long, to_sid int"))
+
+
 def three_leg_cover(entries: DataFrame) -> tuple[DataFrame, DataFrame]:
     """Compression by middle chains: an entry (c -> t) is left out where it follows from entries c -> m and m -> t.
 
@@ -86,8 +162,9 @@ def three_leg_cover(entries: DataFrame) -> tuple[DataFrame, DataFrame]:
     before = F.lag("sid", 1, 0).over(Window.partitionBy("cid", "to_cid").orderBy("sid"))
     served = entries.withColumn("after", before)
     one = entries.select("cid", "sid", F.col("to_cid").alias("mid"), F.col("to_sid").alias("mid_sid"))
-    two = served.select(F.col("cid").alias("mid"), F.col("after").alias("lo"), F.col("sid").alias("hi"), F.col("sid").alias("leg_sid"), "to_cid", "to_sid")
-    detour = one.join(two, "mid").filter("mid_sid > lo and mid_sid <= hi and cid <> to_cid").join(entries, ["cid", "sid", "to_cid", "to_sid"], "left_semi")
+    # each place of an entry's interval as a row, and only detours to where the place has an entry: joins by equality
+    two = served.select(F.col("cid").alias("mid"), F.explode(F.sequence(F.col("after") + 1, F.col("sid"))).alias("mid_sid"), F.col("sid").alias("leg_sid"), "to_cid", "to_sid")
+    detour = one.join(entries, ["cid", "sid"]).filter("mid <> to_cid").join(two, ["mid", "mid_sid", "to_cid", "to_sid"])
     order = F.xxhash64("cid", "sid", "to_cid", "to_sid")
     leg1 = F.xxhash64("cid", "sid", "mid", "mid_sid")
     leg2 = F.xxhash64("mid", "leg_sid", "to_cid", "to_sid")
@@ -105,7 +182,8 @@ class ChainIndex(Reach):
         self.places = cut(scc.join(place, "comp").select("node_id", "cid", "sid", "cyclic"))
 
     @classmethod
-    def build(cls, nodes: DataFrame, edges: DataFrame, chains: DataFrame | None = None, acyclic: bool = False) -> ChainIndex:
+    def build(cls, nodes: DataFrame, edges: DataFrame, chains: DataFrame | None = None, acyclic: bool = False, order: tuple[str, ...] = ()) -> ChainIndex:
+        """``order``: columns of the nodes of an acyclic graph whose order is topological; entries then come from one pass."""
         if acyclic:
             scc = cut(nodes.select("node_id", F.col("node_id").alias("comp"), F.lit(False).alias("cyclic")))
             dag = cut(edges.select("src", "dst").distinct())
@@ -114,7 +192,8 @@ class ChainIndex(Reach):
         if chains is None:
             chains = greedy_chains(scc.select(F.col("comp").alias("node_id")).distinct(), dag)
         chains = cut(chains)
-        return cls(chains, entry_lists(chains, dag), scc)
+        entries = swept_lists(chains, dag, nodes.select("node_id", *order)) if acyclic and order else entry_lists(chains, dag)
+        return cls(chains, entries, scc)
 
     def save(self, folder: str) -> None:
         for name in ("chains", "entries", "scc"):
@@ -161,6 +240,15 @@ class ChainIndex(Reach):
         t = self._of(targets).select(F.col("node_id").alias("dst"), "cid", "sid")
         return own.union(far).join(t, "cid").filter("sid >= first").select("src", "dst").distinct()
 
+    def closure_sizes(self) -> DataFrame:
+        """(node_id, n): how many nodes each node of an acyclic graph reaches, without making the pairs."""
+        long = self.chains.groupBy("cid").agg(F.max("sid").alias("top"))
+        before = F.lag("sid", 1, 0).over(Window.partitionBy("cid", "to_cid").orderBy("sid"))
+        served = self.entries.withColumn("after", before)
+        each = served.join(F.broadcast(long.withColumnRenamed("cid", "to_cid")), "to_cid").select("cid", F.explode(F.sequence(F.col("after") + 1, F.col("sid"))).alias("sid"), (F.col("top") - F.col("to_sid") + 1).alias("far"))
+        far = each.groupBy("cid", "sid").agg(F.sum("far").alias("far"))
+        return self.places.join(long, "cid").join(far, ["cid", "sid"], "left").select("node_id", (F.col("top") - F.col("sid") + F.coalesce("far", F.lit(0))).cast("long").alias("n"))
+
     # lists of single nodes
 
     def successors(self, node_id: int) -> DataFrame:
