@@ -102,3 +102,15 @@ def test_slices_are_for_tests_only():
 
     assert not set(registry.TESTS_ONLY) & (set(__spark_entry__.queries()) | set(__spark_entry__.oracle_sql()))
     assert all(f"event_id < {registry.SLICE}" not in s for s in __spark_entry__.oracle_sql().values())
+
+
+def test_experiment_defaults(spark, sf_dir):
+    import inspect
+
+    from treelogic.workloads import experiments as X
+
+    of = {n: p.default for n, p in inspect.signature(X.random_queries).parameters.items()}
+    assert of["below"] is None and of["each"] == 15 and of["sizes"] == (5, 7, 9, 11, 13)
+    assert inspect.signature(X.data_size_sweep).parameters["draws"].default == 10
+    g, index = X.event_graph(spark, sf_dir)
+    assert index.stats()["nodes"] == spark.read.parquet(f"{sf_dir}/events.parquet").count()

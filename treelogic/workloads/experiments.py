@@ -33,16 +33,16 @@ ENGINES = {
 }
 
 
-def data_size_sweep(spark: SparkSession, root: str, scales: Iterable[str] = SCALES, engines: Iterable[str] = ("pattern", "decompose", "hash_join"), shapes: Iterable[int] = (1, 2, 3), draws: int = 1) -> list[dict]:
+def data_size_sweep(spark: SparkSession, root: str, scales: Iterable[str] = SCALES, engines: Iterable[str] = ("pattern", "decompose", "hash_join"), shapes: Iterable[int] = (1, 2, 3), draws: int = 10) -> list[dict]:
     """Auction shapes over growing data, averaged over label draws."""
     graphs = {s: catalog.commerce(spark, f"{root}/{s}") for s in scales}
     patterns = [(f"w{shape}_{a}_{b}", auction(shape, a, b)) for shape in shapes for a, b in auction_draws(draws)]
     return measures.sweep({e: ENGINES[e] for e in engines}, graphs, patterns)
 
 
-def query_size_sweep(spark: SparkSession, root: str, scale: str = "sf0.01", engines: Iterable[str] = ("pattern", "decompose", "hash_join")) -> list[dict]:
+def query_size_sweep(spark: SparkSession, root: str, scale: str = "sf0.01", engines: Iterable[str] = ("pattern", "decompose", "hash_join"), draws: int = 1) -> list[dict]:
     """Shapes 1 to 3, each holding the one before."""
-    return data_size_sweep(spark, root, (scale,), engines)
+    return data_size_sweep(spark, root, (scale,), engines, draws=draws)
 
 
 def boolean_patterns(spark: SparkSession, root: str, scale: str = "sf0.01") -> list[dict]:
@@ -57,16 +57,16 @@ def pruning(spark: SparkSession, root: str, scale: str = "sf0.01") -> list[dict]
     return [{"pattern": f"w{shape}", "size": auction(shape).size()} | measures.prune_timing(g, auction(shape), prune_up=True, checkpoints=True) for shape in (1, 2, 3)]
 
 
-def event_graph(spark: SparkSession, folder: str, below: int) -> tuple[PropertyGraph, ChainIndex]:
+def event_graph(spark: SparkSession, folder: str, below: int | None = None) -> tuple[PropertyGraph, ChainIndex]:
     g = catalog.activity(spark, folder, below)
     g = PropertyGraph({"event": g.nodes["event"]}, [e for e in g.edges if e.source == "event"])
-    return g, ChainIndex.build(g.nodes["event"], g.all_edges(), natural_chains(g.nodes["event"], "user_id", "ts", "event_id"), acyclic=True)
+    return g, ChainIndex.build(g.nodes["event"], g.all_edges(), natural_chains(g.nodes["event"], "k", "ts", "event_id"), acyclic=True, order=("ts", "event_id"))
 
 
 GROUPS = {"small": (2, 50), "large": (200, 1200)}
 
 
-def random_queries(spark: SparkSession, root: str, scale: str = "sf0.01", below: int = 600, sizes: Iterable[int] = (5, 7, 9, 11, 13), each: int = 2, tries: int = 40) -> list[dict]:
+def random_queries(spark: SparkSession, root: str, scale: str = "sf0.01", below: int | None = None, sizes: Iterable[int] = (5, 7, 9, 11, 13), each: int = 15, tries: int = 600) -> list[dict]:
     """Random patterns by size and result group; counted before they are enumerated.  Tuple and graph
     intermediates of the hash joins, and the cells of both forms in the pattern engine."""
     g, index = event_graph(spark, f"{root}/{scale}", below)
