@@ -34,8 +34,10 @@ class Options:
     index: Reach | None = None
     ad_mode: str = "strict"
     pc_mode: str = "exact"
-    #: the upward round; None: where joining an edge can multiply rows (other than along keys)
+    #: the upward round; None: always, but with ``key_joins`` only where joining an edge can multiply rows
     prune_up: bool | None = None
+    #: where all edges are foreign keys, leave the core's edges to the enumeration's joins, without either round
+    key_joins: bool = False
     shrink: bool = True
     minimize: bool = False
     #: cut the lineage after each step; None: for deep patterns and iterative operators only
@@ -96,7 +98,7 @@ class Pipeline:
                 self._bind(pattern.nodes[pattern.parent[u.name]], u)
         plain = all(isinstance(o, KindPaths | Children) for o in self.operators.values()) and pattern.size() <= 8
         self.cuts = self.options.checkpoints if self.options.checkpoints is not None else not plain
-        keyed = plain and all(e.keyed for o in self.operators.values() for e in (getattr(o, "sets", None) or [x for path in getattr(o, "paths", []) for x in path]))
+        keyed = self.options.key_joins and plain and all(e.keyed for o in self.operators.values() for e in (getattr(o, "sets", None) or [x for path in getattr(o, "paths", []) for x in path]))
         self.upward = self.options.prune_up if self.options.prune_up is not None else not keyed
         #: along keys the enumeration's own joins do the work of both rounds for the core's edges
         self.direct = keyed and self.options.prune_up is None and not self.exact
