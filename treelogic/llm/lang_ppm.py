@@ -9,9 +9,9 @@ code length in a language is the sum of -log2 of its bytes' probabilities under
 the frozen counts; the shortest code wins.
 
 The counts are frozen after training, so a byte's code length depends on the
-bytes before it only through its longest context: the trees of all languages are
-laid out as one table with a row for each context and byte, and texts are scored
-by table look-ups in whole batches.
+bytes before it only through its longest context: each language's tree is laid
+out as a table with a row for each of its contexts, and texts are scored by table
+look-ups in whole batches.
 """
 
 from __future__ import annotations
@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 from treelogic.llm import arrowkit
 
 ORDER = 3
-#: Training bounds: documents and bytes for each language, languages, contexts of the longest order.
+#: Training bounds: documents and bytes for each language, languages, contexts of the longest order of each language.
 DOCS_A_LANGUAGE = 400
 BYTES_A_LANGUAGE = 1_500_000
 LANGUAGES = 64
@@ -37,12 +37,13 @@ UNKNOWN = "und"
 
 @dataclass
 class PpmModel:
-    """Frozen code lengths: ``bits[context, symbol, language]``."""
+    """Frozen code lengths: ``bits[language][row, symbol]``."""
 
     languages: list[str]
     symbol: np.ndarray      # byte -> symbol, 0 for bytes that training did not show
-    context: np.ndarray     # code of the three symbols before -> row of ``bits``
-    bits: np.ndarray        # float32
+    context: np.ndarray     # code of the three symbols before -> place in ``row``
+    row: np.ndarray         # (place, language) -> row of the language's ``bits``
+    bits: list[np.ndarray]  # float32, by language
     base: int
     usual: np.ndarray       # bits per byte of training texts in their own language: mean
     spread: np.ndarray      # and standard deviation
@@ -66,8 +67,10 @@ class PpmModel:
                 at = at[(at >= 0) & (at < hi - lo)]
                 for d in range(p, 3):
                     before[d][at] = 0
-            row = self.context[(before[2] * self.base + before[1]) * self.base + before[0]]
-            got = self.bits[row, s[3:]]
+            place = self.context[(before[2] * self.base + before[1]) * self.base + before[0]]
+            got = np.empty((hi - lo, len(self.languages)), np.float32)
+            for j, bits in enumerate(self.bits):
+                got[:, j] = bits[self.row[place, j], s[3:]]
             cuts = np.clip(inside[:-1], lo, hi) - lo
             full = np.flatnonzero(np.clip(inside[1:], lo, hi) - lo > cuts)
             if len(full):
@@ -114,44 +117,50 @@ def fit(texts: dict[str, list[bytes]], order_contexts: int = CONTEXTS) -> PpmMod
             codes.append(((s[:-3] * base + s[1:-2]) * base + s[2:-1]) * base + s[3:])
         grams.append(np.unique(np.concatenate(codes) if codes else np.zeros(0, np.int64), return_counts=True))
     n_lang = len(languages)
-    none = np.zeros(0, np.int64)
-    every = np.concatenate([g for g, _ in grams]) if grams else none
-    weight = np.concatenate([c for _, c in grams]) if grams else none
 
-    def contexts(length: int, most: int | None = None) -> np.ndarray:
-        """Codes of the contexts of a length that occur; at most ``most``, the most frequent ones."""
-        code, where = np.unique(every // base % base**length, return_inverse=True)
+    def contexts(j: int, length: int) -> np.ndarray:
+        """Codes of a language's contexts of a length; of the longest, at most ``order_contexts``, the most frequent ones."""
+        gram, weight = grams[j]
+        code, where = np.unique(gram // base % base**length, return_inverse=True)
         load = np.bincount(where, weights=weight, minlength=len(code))
-        return code if most is None else np.sort(code[np.argsort(-load, kind="stable")[:most]])
-
-    def followers(kept: np.ndarray, length: int) -> np.ndarray:
-        """Counts (context, language, follower)."""
-        out = np.zeros((len(kept), n_lang, base), np.float32)
-        for j, (g, c) in enumerate(grams):
-            code = g // base % base**length
-            at = np.minimum(np.searchsorted(kept, code), max(len(kept) - 1, 0))
-            hit = kept[at] == code if len(kept) else np.zeros(len(g), bool)
-            np.add.at(out, (at[hit], j, (g % base)[hit]), c[hit])
+        return code if length < ORDER else np.sort(code[np.argsort(-load, kind="stable")[:order_contexts]])
+
+    def found(kept: np.ndarray, code: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Places of codes among the sorted ``kept``, and whether they are there."""
+        at = np.minimum(np.searchsorted(kept, code), max(len(kept) - 1, 0))
+        return at, kept[at] == code if len(kept) else np.zeros(len(code), bool)
+
+    def followers(j: int, kept: np.ndarray, length: int) -> np.ndarray:
+        """A language's counts (context, follower)."""
+        out = np.zeros((len(kept), base), np.float32)
+        gram, weight = grams[j]
+        at, hit = found(kept, gram // base % base**length)
+        np.add.at(out, (at[hit], (gram % base)[hit]), weight[hit])
         return out
 
-    # rows: the empty context, then those of one, two and three bytes; a context without a row of its own
-    # has the row of its longest end that has one, since its probabilities are the same
-    tables = [_follow(followers(np.zeros(1, np.int64), 0), np.full((1, n_lang, base), 1 / 256, np.float32))]
+    # a language's rows: the empty context, then its own of one, two and three bytes; a context without a row of
+    # its own has the row of its longest end that has one, since its probabilities are the same.  Places are the
+    # contexts of any language, so that the map from codes is one
+    tables = [[_follow(followers(j, np.zeros(1, np.int64), 0), np.full((1, base), 1 / 256, np.float32))] for j in range(n_lang)]
     context = np.zeros(base**ORDER, np.int32)
     everywhere = np.arange(base**ORDER)
-    done = 1
+    row = np.zeros((1, n_lang), np.int32)
     for length in range(1, ORDER + 1):
-        kept = contexts(length, order_contexts if length == ORDER else None)
-        shorter = np.concatenate(tables)[context[kept % base**(length - 1)]]
-        tables.append(_follow(followers(kept, length), shorter))
-        if len(kept):
-            code = everywhere % base**length
-            at = np.minimum(np.searchsorted(kept, code), len(kept) - 1)
-            context = np.where(kept[at] == code, done + at, context).astype(np.int32)
-        done += len(kept)
-    rows = np.concatenate(tables)
-    bits = np.ascontiguousarray(np.moveaxis(-np.log2(np.maximum(rows, 1e-12)), 1, 2).astype(np.float32))
-    model = PpmModel(languages, symbol, context, bits, base, np.zeros(n_lang), np.ones(n_lang))
+        own = [contexts(j, length) for j in range(n_lang)]
+        union = np.unique(np.concatenate(own)) if own else np.zeros(0, np.int64)
+        new = row[context[union % base**(length - 1)]]
+        for j, kept in enumerate(own):
+            done = sum(map(len, tables[j]))
+            shorter = np.concatenate(tables[j])[row[context[kept % base**(length - 1)], j]]
+            tables[j].append(_follow(followers(j, kept, length), shorter))
+            at, hit = found(kept, union)
+            new[hit, j] = done + at[hit]
+        if len(union):
+            at, hit = found(union, everywhere % base**length)
+            context = np.where(hit, len(row) + at, context).astype(np.int32)
+        row = np.concatenate((row, new))
+    bits = [-np.log2(np.maximum(np.concatenate(t), 1e-12)).astype(np.float32) for t in tables]
+    model = PpmModel(languages, symbol, context, row, bits, base, np.zeros(n_lang), np.ones(n_lang))
     for j, name in enumerate(languages):
         total, size = model.totals(pa.array(texts[name], pa.binary()))
         rate = total[:, j] / np.maximum(size, 1)
