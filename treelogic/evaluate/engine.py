@@ -3,8 +3,8 @@
 1. Candidates of every pattern node by kind and attributes.
 2. Downward round, leaves first: a candidate stays if its formula holds, its
    children's flags coming from one tagged aggregation for each parent.
-3. Core: the part of the backbone that decides the outputs; counts of the
-   candidates are the one thing the driver asks for.
+3. Core: the backbone paths from the root to the outputs.  It is not trimmed by
+   counts of candidates.
 4. Upward round, root first: a core candidate stays if a candidate of its parent
    reaches it.
 5. Match graph: the pairs of each core edge, each node and edge once.
