@@ -98,3 +98,33 @@ def test_shards_and_lookup(odd, path, tmp_path, spark):
     shard = Shard(next((tmp_path / "files").iterdir()).read_bytes())
     assert sum(len(t) for _, t in shard.documents()) == shard.n_tokens
     assert find_token(store, 1).groupBy().sum("occurrences").first()[0] == len(ODD)
+
+
+def test_words_that_share_a_hash(path, monkeypatch):
+    """The store's ids do not rest on hashes: here all words of a length have the same one."""
+    from treelogic.llm import arrowkit
+
+    lib = library(path)
+    a, b = "a", "b"
+    while len(a) < 2048:
+        a, b = a + b, b + a
+    texts = [a + " the cat", b + " the dog", "cat sat", "tac", "cat act", "the mat " * 30, b, a]
+    for weak in (False, True):
+        if weak:
+            monkeypatch.setattr(arrowkit, "hash_spans", lambda data, start, stop: ((stop - start) % 3).astype(arrowkit.U64))
+        coder = BulkEncoder(path)
+        for part in (texts, texts[::-1], texts[2:5]):
+            ids, offsets = coder.encode(pa.array(part), 1)
+            for i, t in enumerate(part):
+                assert ids[offsets[i]:offsets[i + 1]].tolist() == lib.encode(t, add_special_tokens=False).ids + [1]
+
+
+def test_state_of_one_operator_at_a_time():
+    from treelogic.llm import arrowkit
+
+    arrowkit._claim("one")
+    assert arrowkit.kept("x", lambda: 1) == 1 and arrowkit.kept("x", lambda: 2) == 1
+    arrowkit._claim("one")
+    assert arrowkit.kept("x", lambda: 3) == 1
+    arrowkit._claim("two")
+    assert arrowkit.kept("x", lambda: 4) == 4

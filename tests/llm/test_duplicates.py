@@ -179,3 +179,47 @@ def test_sketches_merge():
     assert np.array_equal(merged.hashes, whole.hashes) and Sketch.parse(merged.text()).text() == merged.text()
     assert abs(Sketch.of(a).containment(Sketch.of(b)) - 0.5) < 0.2
     assert Sketch.of(a[:0]).containment(Sketch.of(a[:0])) == 1.0 and Sketch.of(a[:0]).containment(Sketch.of(a)) == 0.0
+
+
+def doubling(n, a="a", b="b"):
+    """Two words of n letters in the doubling pattern and its complement: sums of powers cannot tell them apart."""
+    x, y = a, b
+    while len(x) < n:
+        x, y = x + y, y + x
+    return x, y
+
+
+@pytest.mark.parametrize("n", [64, 256, 1024, 2048, 4096])
+def test_doubling_words_differ(n):
+    x, y = doubling(n)
+    one, two = Words(pa.array([x, y])).hash.tolist()
+    assert one != two
+    for k in (16, 32):
+        x, y = doubling(2 * k, "a ", "b ")
+        runs, _ = Words(pa.array([x, y])).runs(k)
+        assert runs[0] != runs[1]
+
+
+def test_sketch_of_union_is_union_of_sketches():
+    rng = np.random.default_rng(4)
+    for n in (3, 100, 1000):
+        a, b = (np.unique(rng.integers(0, 2**63, n).astype(np.uint64)) for _ in range(2))
+        whole = Sketch.of(np.union1d(a, b))
+        merged = Sketch.of(a).merge(Sketch.of(b))
+        assert merged.scale == whole.scale and np.array_equal(merged.hashes, whole.hashes)
+        # sketches of different fractions meet at the smaller one
+        mixed = Sketch.of(a, 2).merge(Sketch.of(b, 8))
+        assert mixed.text() == Sketch.of(np.union1d(a, b), 8).text()
+
+
+@pytest.mark.parametrize("min_words, seed_words", [(300, 8), (400, 400), (35, 1), (1, 1), (256, 20)])
+def test_long_windows(spark, min_words, seed_words):
+    import random
+
+    r = random.Random(7)
+    passage = [f"p{r.randint(0, 500)}" for _ in range(700)]
+    rows = [(1, " ".join(passage)), (2, " ".join(["x", "y", *passage[100:640], "z"])), (3, " ".join(passage[:290])), (4, "unrelated words"), (5, None)]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    assert collections.Counter(tuple(r) for r in drop_repeats(df, min_words, seed_words).collect()) == brute_repeats(rows, min_words)
+    with pytest.raises(ValueError):
+        drop_repeats(df, 5, 6)

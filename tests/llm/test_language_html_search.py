@@ -1,6 +1,9 @@
 import math
+import re
+import time
 import zlib
 from collections import Counter, defaultdict
+from html import unescape
 
 import numpy as np
 import pyarrow as pa
@@ -115,7 +118,35 @@ def test_pages_table(spark, sf_dir):
     pages = spark.read.parquet(f"{sf_dir}/pages.parquet")
     out = html_tree.extract(cluttered(pages)).collect()
     assert len(out) == pages.count() and all(r["n_chars"] == len(r["text"]) for r in out)
-    assert sum(r["n_chars"] > 0 for r in out) == len(out)
+    # these pages' articles by other means: what lies between the article's tags, cut at its blocks
+    want = {}
+    for r in pages.collect():
+        inside = re.search(r"<article>(.*?)</article>", r["html"], re.S)[1]
+        blocks = [" ".join(unescape(re.sub(r"<[^>]*>", " ", b.replace("<b>", "").replace("</b>", ""))).split()) for b in re.split(r"</?(?:p|h1)>", inside)]
+        want[r["page_id"], r["url"]] = "\n".join(b for b in blocks if b)
+    assert {(r["page_id"], r["url"]): r["text"] for r in out} == want
+    twice = html_tree.extract(pages.limit(3).union(pages.limit(3))).collect()
+    assert len(twice) == 6 and len({(r["page_id"], r["text"]) for r in twice}) == 3
+    assert html_tree.extract(pages.limit(0)).collect() == []
+
+
+@pytest.mark.parametrize("html, want", [
+    ("<article><p title=it's>one</p><p>don't</p><p>two</p></article>", "one\ndon't\ntwo"),
+    ("<article><p>&am<b>p;</b> and &lt;b&gt; &amp;amp;</p></article>", "&am p; and <b> &amp;".replace("&am p;", "&amp;")),
+    ('<article><p class="x>text</p><p>more words here.</p></article>', "text\nmore words here."),
+    ("<article><p>1 < 2 and 3 > 2, a<b>c</b> <3</p></article>", "1 < 2 and 3 > 2, ac <3"),
+    ("<article><p a=1 b='>' c=\">\">inside</p><p data-x=a\"b>after</p></article>", "inside\nafter"),
+    ("<article><p>one</p><p>the page ends in a tag <a href='", "one\nthe page ends in a tag <a href='"),
+])
+def test_markup(html, want):
+    assert "\n".join(t for _, t in html_tree.parse(html).blocks) == want
+
+
+@pytest.mark.parametrize("html", ["<p title=it's " * 20_000, "<p title='" * 20_000, "<!" * 20_000, "</" * 20_000, "<a " * 20_000, "<div>" * 20_000, "<blockquote>" * 20_000 + "</section>" * 20_000, "<head>" * 20_000, "<" * 50_000, '<p a="' + "<p b='" * 20_000, "<p>&amp" * 20_000])
+def test_hostile_markup_takes_linear_time(html):
+    start = time.perf_counter()
+    html_tree.trained().texts([html])
+    assert time.perf_counter() - start < 5
 
 
 def test_top_k(spark):

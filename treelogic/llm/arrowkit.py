@@ -8,6 +8,7 @@ bytes alone: every executor computes the same ones.
 
 from __future__ import annotations
 
+import hashlib
 from collections.abc import Iterable, Iterator
 from functools import lru_cache
 
@@ -16,9 +17,9 @@ import pyarrow as pa
 import pyarrow.compute as pc
 
 U64 = np.uint64
-BLOCK = 1 << 20
-_STEP_BYTE = 0x9E3779B97F4A7C15
-_STEP_WORD = 0xC2B2AE3D27D4EB4F
+#: Words up to this many bytes are hashed eight bytes at a time for a whole batch, longer ones one by one.
+LONG_WORD = 256
+_LOW_BYTES = np.array([(1 << 8 * i) - 1 for i in range(8)] + [2**64 - 1], U64)
 
 
 def mix(x: np.ndarray, seed: int = 0) -> np.ndarray:
@@ -32,25 +33,9 @@ def mix(x: np.ndarray, seed: int = 0) -> np.ndarray:
     return x
 
 
-@lru_cache(maxsize=4)
-def _powers(step: int, n: int) -> tuple[np.ndarray, np.ndarray]:
-    """step**i and its inverse, modulo 2**64, for i below n."""
-    def table(base: int) -> np.ndarray:
-        out = np.empty(n, U64)
-        out[0] = 1
-        have = 1
-        while have < n:
-            more = min(have, n - have)
-            out[have:have + more] = out[:more] * U64(pow(base, have, 2**64))
-            have += more
-        return out
-
-    return table(step), table(pow(step, -1, 2**64))
-
-
-@lru_cache(maxsize=1)
-def _byte_table() -> np.ndarray:
-    return mix(np.arange(256, dtype=U64), 77)
+def chain(before: np.ndarray, value: np.ndarray, seed: int) -> np.ndarray:
+    """A hash of two hashes in order; linear in neither, so that no pattern of two words can cancel out."""
+    return mix(mix(before, seed) ^ value, seed + 1)
 
 
 @lru_cache(maxsize=1)
@@ -67,6 +52,30 @@ def _fold_table() -> np.ndarray:
     return out
 
 
+_kept: dict = {}
+_owner: str | None = None
+
+
+def kept(name, make):
+    """What ``make`` gives, kept in the worker from task to task.
+
+    Workers live on and serve one operator after another, so only one operator's
+    things are kept at a time: ``tidy`` drops those of the one before.
+    """
+    if name not in _kept:
+        _kept[name] = make()
+    return _kept[name]
+
+
+def _claim(owner: str) -> None:
+    global _owner
+    if owner != _owner:
+        _owner = owner
+        if _kept:
+            _kept.clear()
+            give_back()
+
+
 def tidy(run):
     """The same function over batches; afterwards memory that it no longer uses goes back to the system.
 
@@ -74,8 +83,10 @@ def tidy(run):
     session's Arrow batches are bounded too: by default they hold 64 MB.
     """
     _bound_batches()
+    owner = run.__module__
 
     def wrapped(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        _claim(owner)
         try:
             yield from run(batches)
         finally:
@@ -103,7 +114,7 @@ def give_back() -> None:
         pass
 
 
-def slices(batches: Iterable[pa.RecordBatch], column: str, most: int = 4 << 20) -> Iterator[pa.RecordBatch]:
+def slices(batches: Iterable[pa.RecordBatch], column: str, most: int = 2 << 20) -> Iterator[pa.RecordBatch]:
     """The same rows in batches of at most ``most`` bytes of ``column`` (one row at least)."""
     for batch in batches:
         sizes = pc.fill_null(pc.binary_length(batch.column(column)), 0).to_numpy(zero_copy_only=False)
@@ -145,21 +156,44 @@ def as_bytes(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
 
 
 def hash_spans(data: np.ndarray, start: np.ndarray, stop: np.ndarray) -> np.ndarray:
-    """A 64-bit hash of each span of bytes; spans are ascending and do not overlap."""
-    out = np.empty(len(start), U64)
-    table = _byte_table()
-    at, n = 0, len(start)
-    while at < n:
-        base = int(start[at])
-        to = max(at + 1, int(np.searchsorted(stop, base + BLOCK, side="right")))
-        end = int(stop[to - 1])
-        power, inverse = _powers(_STEP_BYTE, max(BLOCK, 1 << (end - base).bit_length()))
-        total = np.zeros(end - base + 1, U64)
-        np.cumsum(table[data[base:end]] * power[:end - base], out=total[1:])
-        s, e = start[at:to] - base, stop[at:to] - base
-        out[at:to] = (total[e] - total[s]) * inverse[s] + (e - s).astype(U64)
-        at = to
-    return mix(out, 1)
+    """A 64-bit hash of each span of bytes.
+
+    Eight bytes after eight bytes go through a bijection together with the hash so
+    far; the hash is linear in no byte, so no pattern of letters makes two spans
+    collide for certain.  Spans over ``LONG_WORD`` bytes get BLAKE2b's.
+    """
+    size = stop - start
+    out = mix(size.astype(U64), 1)
+    if not len(out):
+        return out
+    padded = np.concatenate((data, np.zeros(8, np.uint8)))
+    eight = np.ndarray((len(data) + 1,), "<u8", padded, 0, (1,))
+    live = np.flatnonzero((size > 0) & (size <= LONG_WORD))
+    at, left = start[live], size[live]
+    while len(live):
+        part = eight[at] & _LOW_BYTES[np.minimum(left, 8)]
+        out[live] = mix(out[live] ^ part, 2)
+        more = left > 8
+        live, at, left = live[more], at[more] + 8, left[more] - 8
+    for i in np.flatnonzero(size > LONG_WORD).tolist():
+        out[i] = int.from_bytes(hashlib.blake2b(data[start[i]:stop[i]].tobytes(), digest_size=8).digest(), "little")
+    return out
+
+
+def same_spans(a: np.ndarray, a_start: np.ndarray, b: np.ndarray, b_start: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """Whether each span of ``a`` holds the same bytes as the span of equal size of ``b``."""
+    out = np.ones(len(size), bool)
+    views = [np.ndarray((len(x) + 1,), "<u8", np.concatenate((x, np.zeros(8, np.uint8))), 0, (1,)) for x in (a, b)]
+    live = np.flatnonzero((size > 0) & (size <= LONG_WORD))
+    i, j, left = a_start[live], b_start[live], size[live]
+    while len(live):
+        differ = (views[0][i] ^ views[1][j]) & _LOW_BYTES[np.minimum(left, 8)] != 0
+        out[live[differ]] = False
+        more = (left > 8) & ~differ
+        live, i, j, left = live[more], i[more] + 8, j[more] + 8, left[more] - 8
+    for k in np.flatnonzero(size > LONG_WORD).tolist():
+        out[k] = np.array_equal(a[a_start[k]:a_start[k] + size[k]], b[b_start[k]:b_start[k] + size[k]])
+    return out
 
 
 def word_heads(data: np.ndarray, offsets: np.ndarray) -> np.ndarray:
@@ -203,7 +237,6 @@ class Words:
         del space, stop_mark
         self.first = np.searchsorted(start, offsets)
         self.hash = hash_spans(data, start, stops[np.searchsorted(stops, start, side="right")] if len(start) else start)
-        self._sums: np.ndarray | None = None
 
     def __len__(self) -> int:
         return len(self.hash)
@@ -220,11 +253,21 @@ class Words:
         keep = np.repeat(self.first[:-1], fit) + ranges(fit)
         if not len(keep):
             return np.zeros(0, U64), keep
-        if self._sums is None:
-            self._power, self._inverse = _powers(_STEP_WORD, max(BLOCK, 1 << n.bit_length()))
-            self._sums = np.zeros(n + 1, U64)
-            np.cumsum(self.hash * self._power[:n], out=self._sums[1:])
-        return mix((self._sums[keep + k] - self._sums[keep]) * self._inverse[keep], k), keep
+        return mix(self._joined(k)[keep], k), keep
+
+    def _joined(self, k: int) -> np.ndarray:
+        """Hashes of the runs of k words from every word on, over the borders of texts too: runs of
+        1, 2, 4, ... words are made of two of half the length, and k is put together from these."""
+        power, width, done, out = self.hash, 1, 0, None
+        while True:
+            if k & width:
+                # ``out`` covers the ``done`` words before this piece
+                out = power if out is None else chain(out[:len(power) - done], power[done:], 200 + width)
+                done += width
+            if done == k:
+                return out[:len(self.hash) - k + 1]
+            power = chain(power[:-width], power[width:], 100 + width)
+            width *= 2
 
     def shingle_sets(self, k: int) -> list[np.ndarray]:
         """For each text the sorted distinct hashes of its k-word runs.
@@ -247,10 +290,10 @@ class Words:
         return out
 
     def _whole(self, i: int, n: int) -> np.ndarray:
-        value = 0
-        for h in self.hash[self.first[i]:self.first[i] + n].tolist():
-            value = (value * _STEP_WORD + h + n) & (2**64 - 1)
-        return mix(np.array([value], U64), 1000 + n)
+        value = np.array([n], U64)
+        for h in self.hash[self.first[i]:self.first[i] + n]:
+            value = chain(value, h, 300)
+        return mix(value, 1000 + n)
 
 
 def ranges(counts: np.ndarray) -> np.ndarray:

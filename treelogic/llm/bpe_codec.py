@@ -17,7 +17,6 @@ from __future__ import annotations
 import hashlib
 import json
 from collections.abc import Iterator
-from functools import lru_cache
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -27,7 +26,7 @@ from treelogic.llm import arrowkit
 from treelogic.llm.segment import Segmenter, byte_chars, mapped
 
 #: Words whose ids a worker keeps at most; beyond that the table starts anew.
-KEPT_WORDS = 150_000
+KEPT_WORDS = 100_000
 _END = 0xE000
 
 
@@ -80,7 +79,7 @@ class PrefixBpe:
         """
         known = self._fits.get(a << 32 | b)
         if known is None:
-            if len(self._fits) > 400_000:
+            if len(self._fits) > 200_000:
                 self._fits.clear()
             known = self._fits[a << 32 | b] = self._stay_apart(a, b)
         return known
@@ -145,12 +144,14 @@ class PrefixBpe:
         return " ".join(map(self.strings.__getitem__, ids))
 
 
-@lru_cache(maxsize=2)
 def _coder(path: str) -> tuple[PrefixBpe, Segmenter]:
-    coder, cutter = PrefixBpe(path), Segmenter(path)
-    for content, i in cutter.special.items():
-        coder.strings[i] = content
-    return coder, cutter
+    def load():
+        coder, cutter = PrefixBpe(path), Segmenter(path)
+        for content, i in cutter.special.items():
+            coder.strings[i] = content
+        return coder, cutter
+
+    return arrowkit.kept(("coder", path), load)
 
 
 class WordTable(dict):
@@ -178,13 +179,8 @@ class WordTable(dict):
         return " ".join(ids), " ".join(strings), sum(counts)
 
 
-_tables: dict[str, WordTable] = {}
-
-
 def word_table(path: str) -> WordTable:
-    if path not in _tables:
-        _tables[path] = WordTable(path)
-    return _tables[path]
+    return arrowkit.kept(("words", path), lambda: WordTable(path))
 
 
 def encode_texts(docs: DataFrame, path: str, text: str = "text", keep: tuple[str, ...] = ("doc_id",), full: bool = False) -> DataFrame:

@@ -2,26 +2,28 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from treelogic.llm.shared import checkpointed
 
 
 def _large_star(links: DataFrame) -> DataFrame:
-    """Hangs each larger neighbour of a node on the node's least neighbour."""
+    """Hangs each larger neighbour of a node on the node's least neighbour.
+
+    The least is an aggregate, combined before the shuffle, and goes back by a
+    join, which is dealt anew where a node has very many links.
+    """
     both = links.union(links.select(F.col("b").alias("a"), F.col("a").alias("b")))
-    least = F.min(F.least("a", "b")).over(Window.partitionBy("a"))
-    return both.withColumn("m", least).filter("b > a").select(F.col("b").alias("a"), F.col("m").alias("b"))
+    least = both.groupBy("a").agg(F.min(F.least("a", "b")).alias("m"))
+    return both.filter("b > a").join(least, "a").select(F.col("b").alias("a"), F.col("m").alias("b"))
 
 
 def _small_star(links: DataFrame) -> DataFrame:
     """Hangs a node and its smaller neighbours on the least of them; links are (larger, smaller)."""
-    least = F.min("b").over(Window.partitionBy("a"))
-    seen = links.withColumn("m", least)
-    hung = seen.select(F.col("b").alias("a"), F.col("m").alias("b")).filter("a <> b")
-    own = seen.select("a", F.col("m").alias("b"))
-    return hung.union(own)
+    least = links.groupBy("a").agg(F.min("b").alias("m"))
+    hung = links.join(least, "a").select(F.col("b").alias("a"), F.col("m").alias("b")).filter("a <> b")
+    return hung.union(least.select("a", F.col("m").alias("b")))
 
 
 def components(links: DataFrame, most_rounds: int = 60) -> DataFrame:

@@ -4,10 +4,10 @@ A sketch keeps every distinct shingle hash below a fixed fraction of the hash
 range.  Whether a hash is kept depends on the hash alone, so the sketch of a
 union is the union of sketches, and for two documents of whatever sizes the
 kept hashes that they share estimate how much of the smaller lies in the larger.
-Documents with fewer than ``all_below`` shingles keep all of them (their
-fraction is 1): a fraction of so few would estimate nothing.  Two sketches are
-compared below the smaller of their fractions, so merging and comparing stay
-exact set operations.
+The fraction is one for all documents, long or short; sketches of different
+fractions are merged and compared below the smaller one, so both stay exact set
+operations.  A document with few shingles has few hashes or none: its estimates
+are as coarse as that.
 """
 
 from __future__ import annotations
@@ -26,10 +26,7 @@ from treelogic.llm.shared import bounds, parts, range_of
 
 SHINGLE_WORDS = 5
 #: One hash of this many is kept.
-SCALE = 8
-#: With fewer shingles than this all are kept.
-ALL_BELOW = 128
-_HEAD = {1: "1:"}
+SCALE = 4
 
 
 class Sketch:
@@ -41,18 +38,16 @@ class Sketch:
         self.hashes, self.scale = hashes, scale
 
     @classmethod
-    def of(cls, shingles: np.ndarray, scale: int = SCALE, all_below: int = ALL_BELOW) -> Sketch:
+    def of(cls, shingles: np.ndarray, scale: int = SCALE) -> Sketch:
         """Of a set of shingle hashes."""
-        hashes = np.sort(mix(shingles, 80))
-        if len(hashes) < all_below:
-            return cls(hashes, 1)
-        return cls(hashes[:int(np.searchsorted(hashes, _edge(scale)))], scale)
+        hashes = mix(shingles, 80)
+        return cls(np.sort(hashes[hashes < _edge(scale)]), scale)
 
     def below(self, scale: int) -> np.ndarray:
         return self.hashes if scale <= self.scale else self.hashes[:int(np.searchsorted(self.hashes, _edge(scale)))]
 
     def merge(self, other: Sketch) -> Sketch:
-        """The sketch of the two shingle sets' union."""
+        """The sketch of the two shingle sets' union: equal to the one made of the union itself."""
         scale = max(self.scale, other.scale)
         return Sketch(np.union1d(self.below(scale), other.below(scale)), scale)
 
@@ -84,6 +79,7 @@ class Sketch:
 
 
 def _edge(scale: int) -> np.uint64:
+    """The end of the fraction 1 / scale of the hash range."""
     return U64((2**64 - 1) // scale)
 
 

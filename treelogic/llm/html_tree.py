@@ -34,6 +34,7 @@ _BLOCK = set("html body article main section div p h1 h2 h3 h4 h5 h6 ul ol li dl
 _RAW = {"script", "style", "title", "textarea", "template", "xmp", "svg", "math", "object"}
 _VOID = {"hr", "iframe"}
 _CLOSES_P = _BLOCK - {"button", "label", "option", "select"}
+_P_SCOPE = {"button", "td", "th", "caption", "article", "section", "div", "body"}
 _SIBLINGS = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}, "option": {"option"}}
 _SCOPE = {"li": {"ul", "ol", "menu"}, "dt": {"dl"}, "dd": {"dl"}, "tr": {"table"}, "td": {"table", "tr"}, "th": {"table", "tr"}, "option": {"select"}}
 _TAGS = ["article", "main", "section", "div", "p", "h1", "h2", "list", "li", "nav", "header", "footer", "aside", "form", "table", "cell", "quote", "figure", "control", "address", "details", "page", "hidden", "other"]
@@ -57,11 +58,17 @@ _SHARES = (0.01, 0.3, 0.7)
 _FEATURES = [f"tag {t}" for t in _TAGS] + [f"hint {h}" for h in _HINTS] + [f"own {i}" for i in range(5)] + [f"links {i}" for i in range(4)] + [f"below {i}" for i in range(5)] + ["stop", "bias", "hidden style", "role"]
 _ID = {name: i for i, name in enumerate(_FEATURES)}
 
-_TOKEN = re.compile(r"""<(?:!--.*?(?:-->|\Z)|(/?)([a-zA-Z][a-zA-Z0-9:-]*)([^>"']*(?:(?:"[^"]*"|'[^']*')[^>"']*)*)>|[!?/][^>]*>)""", re.S)
+# A tag's attributes as in the HTML standard: a value that does not begin with a quote ends at white space or ``>``, and
+# quotes inside it are plain characters.  All repetitions are possessive, so a tag is read once whatever it holds.
+_ATTRIBUTES = r"""(?:[\s/]++|[^\s/>=]++(?:\s*+=\s*+(?:"[^"]*+"|'[^']*+'|[^\s"'>][^\s>]*+)?+)?+|=[^\s/>=]*+)*+"""
+_MARK = re.compile(rf"<(?:!--.*?(?:-->|\Z)|(/?)([a-zA-Z][^\s/>]*+)({_ATTRIBUTES})>|[!?/][^>]*+(?:>|\Z))", re.S)
+#: For pages that end inside a tag: here no tag reaches over the next ``<``.
+_SHORT_MARK = re.compile(r"<(?:!--.*?(?:-->|\Z)|(/?)([a-zA-Z][^\s/<>]*+)([^<>]*+)>|[!?/][^<>]*+(?:>|\Z|(?=<)))", re.S)
+_HEAD_END = re.compile(r"</head\b[^<>]*+>|<body\b", re.I)
 _ATTRIBUTE = re.compile(r"""(?:^|\s)(class|id|role|style|aria-hidden|hidden|aria-label)\s*(?:=\s*(?:"([^"]*)"|'([^']*)'|([^\s"'>]+)))?""", re.I)
 
 
-@lru_cache(maxsize=100_000)
+@lru_cache(maxsize=20_000)
 def _attribute_features(text: str) -> tuple[int, ...]:
     words, out = [], set()
     for m in _ATTRIBUTE.finditer(text):
@@ -79,7 +86,7 @@ def _attribute_features(text: str) -> tuple[int, ...]:
 
 @lru_cache(maxsize=1000)
 def _raw_end(tag: str) -> re.Pattern:
-    return re.compile(rf"</{re.escape(tag)}\b[^>]*>", re.I)
+    return re.compile(rf"</{re.escape(tag)}(?=[\s/>])[^<>]*+>", re.I)
 
 
 @dataclass
@@ -100,18 +107,17 @@ def parse(html: str) -> Page:
     """The page's block tree; never fails, whatever the markup."""
     page = Page()
     stack: list[tuple[str, int]] = [("", 0)]
+    opened: dict[str, int] = {}  # how many elements of a tag are on the stack, so as not to look for what is not there
     buffer: list[str] = []
     linked = in_link = 0
     at, n = 0, len(html)
-    search = _TOKEN.search
+    headless = False
+    mark = _MARK
 
     def flush() -> None:
         nonlocal linked
-        text = "".join(buffer)
+        text = " ".join("".join(buffer).split())
         buffer.clear()
-        if "&" in text:
-            text = unescape(text)
-        text = " ".join(text.split())
         if text:
             node = stack[-1][1]
             page.blocks.append((node, text))
@@ -120,14 +126,46 @@ def parse(html: str) -> Page:
             page.stops[node] = page.stops[node] or text[-1] in ".!?…"
         linked = 0
 
+    def leave(i: int) -> None:
+        """Closes the elements from place i of the stack on."""
+        for tag, _ in stack[i:]:
+            opened[tag] -= 1
+        del stack[i:]
+
+    def add(text: str) -> None:
+        """A text node; its references are its own, whatever stands beside it."""
+        nonlocal linked
+        if "&" in text:
+            text = unescape(text)
+        buffer.append(text)
+        if in_link:
+            linked += len(text)
+
+    def next_mark(at: int):
+        """The text up to the next tag or comment, and that."""
+        nonlocal mark
+        start = at
+        while True:
+            at = html.find("<", at)
+            if at < 0 or at + 1 >= n:
+                return html[start:], None
+            after = html[at + 1]
+            if not (after.isascii() and after.isalpha() or after in "!?/"):
+                at += 1
+                continue
+            found = mark.match(html, at)
+            if found:
+                return html[start:at], found
+            if mark is _MARK and (after != "/" or html[at + 2:at + 3].isalpha()):
+                mark = _SHORT_MARK  # the page ends inside this tag: from here on tags are short
+            else:
+                at += 1
+
     while at < n:
-        m = search(html, at)
-        text = html[at:m.start()] if m else html[at:]
+        text, m = next_mark(at)
         if text:
-            buffer.append(text)
-            if in_link:
-                linked += len(text)
-        if not m:
+            add(text)
+        if m is None:
             break
         at = m.end()
         tag = m[2]
@@ -139,10 +177,11 @@ def parse(html: str) -> Page:
                 in_link = 0
             elif tag in _BLOCK:
                 flush()
-                for i in range(len(stack) - 1, 0, -1):
-                    if stack[i][0] == tag:
-                        del stack[i:]
-                        break
+                if opened.get(tag):
+                    i = len(stack) - 1
+                    while stack[i][0] != tag:
+                        i -= 1
+                    leave(i)
             continue
         if tag in _RAW:
             if not m[3].endswith("/"):
@@ -150,7 +189,8 @@ def parse(html: str) -> Page:
                 at = end.end() if end else n
             continue
         if tag == "head":
-            end = re.compile(r"</head\b[^>]*>|<body\b", re.I).search(html, at)
+            end = None if headless else _HEAD_END.search(html, at)
+            headless = True
             if end:
                 at = end.start() if html[end.start() + 1] != "/" else end.end()
             continue
@@ -161,19 +201,19 @@ def parse(html: str) -> Page:
         elif tag in _BLOCK:
             flush()
             in_link = 0 if tag in ("p", "li", "nav", "article") else in_link
-            if tag in _CLOSES_P:
+            if tag in _CLOSES_P and opened.get("p"):
                 for i in range(len(stack) - 1, 0, -1):
                     if stack[i][0] == "p":
-                        del stack[i:]
+                        leave(i)
                         break
-                    if stack[i][0] in ("button", "td", "th", "caption", "article", "section", "div", "body"):
+                    if stack[i][0] in _P_SCOPE:
                         break
-            if tag in _SIBLINGS:
+            if tag in _SIBLINGS and any(opened.get(t) for t in _SIBLINGS[tag]):
                 for i in range(len(stack) - 1, 0, -1):
                     if stack[i][0] in _SCOPE[tag]:
                         break
                     if stack[i][0] in _SIBLINGS[tag]:
-                        del stack[i:]
+                        leave(i)
                         break
             node = len(page.parent)
             page.parent.append(stack[-1][1])
@@ -185,6 +225,7 @@ def parse(html: str) -> Page:
             page.stops.append(False)
             if tag not in _VOID and not m[3].endswith("/") or tag == "p":
                 stack.append((tag, node))
+                opened[tag] = opened.get(tag, 0) + 1
     flush()
     return page
 
@@ -226,8 +267,9 @@ class Forest:
         self.flat, self.count = np.array(flat, np.int64), np.array(count, np.int64)
         self.owner = np.repeat(np.arange(len(count)), self.count)
         self.parent = np.array(parent, np.int64)
-        d = np.array(depth)
-        self.levels = [np.flatnonzero(d == i) for i in range(d.max(initial=-1) + 1)]
+        d = np.array(depth, np.int64)
+        by_depth = np.argsort(d, kind="stable")
+        self.levels = np.split(by_depth, np.cumsum(np.bincount(d))[:-1]) if len(d) else []
 
     def marginals(self, weights: np.ndarray, edge: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """P(content) of every element and the joint table with its parent (elements x 2 x 2)."""
@@ -383,8 +425,10 @@ def trained() -> TreeModel:
 def extract(pages: DataFrame, html: str = "html", keep: tuple[str, ...] = ("page_id", "url"), model: TreeModel | None = None) -> DataFrame:
     """``keep``, the main ``text`` of every page (empty if none) and its length ``n_chars``.
 
-    A null page is empty.  Narrow: each page is handled alone, in batches of
-    bounded size, so repeated rows and long pages need no care.
+    A null or empty page has an empty text; broken markup never fails, and a page
+    is read once from end to end, so the time is linear in its length.  Narrow:
+    each page is handled alone, in batches of bounded size, so repeated rows and
+    long pages need no care.
     """
     model = model or trained()
     names = [*keep]

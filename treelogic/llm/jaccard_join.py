@@ -26,6 +26,7 @@ Pairs inside a component need no test: the result is the components.
 
 from __future__ import annotations
 
+import hashlib
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -51,7 +52,9 @@ SIGNATURE_LEVELS = 6
 #: Bits of the table of wanted representatives; when it fills up more sets travel, none is lost.
 WANTED_BITS = 1 << 25
 BLOOM_WORDS = 2
-CHUNK_BYTES = 5 << 20
+CHUNK_BYTES = 4 << 20
+#: Groups and pairs that a task remembers, so as to send them once; beyond that it starts anew and may repeat some.
+REMEMBERED = 100_000
 _LAST = 2**63 - 1
 _LOW48 = U64((1 << 48) - 1)
 
@@ -200,16 +203,13 @@ def _pack(*arrays: np.ndarray) -> bytes:
 
 
 def _unpack(blob: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(order, token, key) of the entries of a packed row."""
+    """(orders' bits, token, key) of the entries of a packed row."""
     sizes = np.frombuffer(blob, np.int64, 5)
     at = 40 + np.concatenate(([0], np.cumsum(sizes)))
     part = lambda i, kind: np.frombuffer(blob, kind, int(sizes[i]) // np.dtype(kind).itemsize, int(at[i]))
     member, names, low, high = part(0, np.uint8), part(1, U64), part(2, np.uint32), part(3, np.uint16)
     place = part(4, np.uint16 if len(names) <= 1 << 16 else np.uint32)
-    token, key = low.astype(U64) | high.astype(U64) << U64(32), names[place]
-    hits = [np.flatnonzero(member >> np.uint8(order) & np.uint8(1)) for order in range(ORDERS)]
-    at = np.concatenate(hits)
-    return np.repeat(np.arange(ORDERS, dtype=np.uint8), list(map(len, hits))), token[at], key[at]
+    return member, low.astype(U64) | high.astype(U64) << U64(32), names[place]
 
 
 def _shared_tokens(buckets: int):
@@ -239,25 +239,32 @@ def _shared_tokens(buckets: int):
 
 def _twice(batches: Iterator[pa.RecordBatch]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(key, order, token) of the entries of all packed rows whose token two keys have under the order."""
-    orders, tokens, keys = [], [], []
+    members, tokens, keys = [], [], []
     for batch in batches:
         for blob in batch.column("packed"):
-            for kept, x in zip((orders, tokens, keys), _unpack(blob.as_py())):
+            for kept, x in zip((members, tokens, keys), _unpack(blob.as_py())):
                 kept.append(x)
     if not keys:
         return (np.zeros(0, U64),) * 3
-    order, token, key = np.concatenate(orders), np.concatenate(tokens), np.concatenate(keys)
-    name = mix(token, 60) + order.astype(U64)
-    at = np.lexsort((key, name))
-    name, key, token, order = name[at], key[at], token[at], order[at]
-    fresh = np.ones(len(at), bool)
-    fresh[1:] = (name[1:] != name[:-1]) | (key[1:] != key[:-1])
-    name, key, token, order = name[fresh], key[fresh], token[fresh], order[fresh]
-    twice = np.zeros(len(name), bool)
-    same = name[1:] == name[:-1]
-    twice[1:] |= same
-    twice[:-1] |= same
-    return key[twice], order[twice], token[twice]
+    member, token, key = np.concatenate(members), np.concatenate(tokens), np.concatenate(keys)
+    members, tokens, keys = [], [], []  # not held twice while sorting
+    # one sort for all orders: entries of a token side by side, equal keys together
+    at = np.lexsort((key, token))
+    member, token, key = member[at], token[at], key[at]
+    del at
+    out = []
+    for order in range(ORDERS):
+        mine = np.flatnonzero(member >> np.uint8(order) & np.uint8(1))
+        t, k = token[mine], key[mine]
+        fresh = np.ones(len(t), bool)
+        fresh[1:] = (t[1:] != t[:-1]) | (k[1:] != k[:-1])
+        t, k = t[fresh], k[fresh]
+        twice = np.zeros(len(t), bool)
+        same = t[1:] == t[:-1]
+        twice[1:] |= same
+        twice[:-1] |= same
+        out.append((k[twice], np.full(int(twice.sum()), order, np.uint8), t[twice]))
+    return tuple(np.concatenate(x) for x in zip(*out))
 
 
 def _by_key(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -358,7 +365,7 @@ class _Group:
 def _pairs(limit: Threshold, across: bool):
     """Rows (a, b) of candidate pairs and, for the first round, rows (a, token) of the nodes to look at again."""
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        seen: set[bytes] = set()
+        seen: set[bytes] = set()  # digests of the groups met, and pairs sent: to repeat less, not to be right
         sent: set[tuple[int, int]] = set()
 
         def close(rows: pa.Table):
@@ -372,10 +379,10 @@ def _pairs(limit: Threshold, across: bool):
             for i, j in zip(head.tolist(), [*head[1:].tolist(), len(token)]):
                 if j - i < 2 or across and (root[i:j] == root[i]).all():
                     continue
-                name = key[i:j].tobytes()
+                name = hashlib.blake2b(key[i:j].tobytes(), digest_size=12).digest()
                 if name in seen:  # the same nodes met on another shingle
                     continue
-                if len(seen) > 200_000:
+                if len(seen) > REMEMBERED:
                     seen.clear()
                 seen.add(name)
                 group = _Group(limit, key[i:j], n[i:j], bloom[i:j], signature[i:j])
@@ -384,7 +391,7 @@ def _pairs(limit: Threshold, across: bool):
                     pair = int(key[i + a]), int(key[i + b])
                     pair = pair if pair[0] < pair[1] else pair[::-1]
                     if pair not in sent:
-                        if len(sent) > 1_000_000:
+                        if len(sent) > REMEMBERED:
                             sent.clear()
                         sent.add(pair)
                         found.append((*pair, None))
@@ -493,6 +500,7 @@ def similar_documents(docs: DataFrame, k: int = 5, num: int = 4, den: int = 5) -
     linked = entries.repartition(n, "bucket").mapInArrow(arrowkit.tidy(_by_key), "key long, tokens array<long>, bloom binary")
     distinct_sets = documents.filter("n > 0").groupBy("key").agg(F.min(F.struct("doc_id", "text_key")).alias("first"), F.min("n").alias("n"), F.min("signature").alias("signature"))
     nodes = checkpointed(linked.join(distinct_sets, "key").select("key", F.col("first.doc_id").alias("rep"), "n", "tokens", "bloom", "signature"))
+    classes.destroy()  # what needed it is written
 
     side = nodes.select("key", "rep")
 
@@ -506,7 +514,9 @@ def similar_documents(docs: DataFrame, k: int = 5, num: int = 4, den: int = 5) -
         two = one.join(sets.select(F.col("key").alias("a"), F.col("tokens").alias("x")), "a")
         common = F.size(F.array_intersect("x", "y"))
         links = two.filter(common * (num + den) >= F.lit(num) * (F.size("x") + F.size("y"))).select("a", "b")
-        return pairs, checkpointed(links)
+        links = checkpointed(links)
+        wanted.destroy()
+        return pairs, links
 
     met = checkpointed(_met(nodes.withColumn("token", F.explode("tokens")), limit, n, False))
     tried, first = verified(met.filter("b is not null").select("a", "b").distinct())

@@ -12,6 +12,8 @@ from __future__ import annotations
 import re
 from functools import lru_cache
 
+from treelogic.llm import arrowkit
+
 # The byte-to-character table of byte-level BPE keeps these printable bytes.
 _KEPT_BYTES = [*range(33, 127), *range(161, 173), *range(174, 256)]
 
@@ -24,15 +26,17 @@ def byte_chars() -> list[str]:
     return [chr(b) if b in kept else chr(next(spare)) for b in range(256)]
 
 
-@lru_cache(maxsize=4)
 def library(path: str):
     """The tokenizers library's object for a vocabulary file (one for each worker)."""
-    import os
+    def load():
+        import os
+
+        os.environ["TOKENIZERS_PARALLELISM"] = "false"
+        from tokenizers import Tokenizer
 
-    os.environ["TOKENIZERS_PARALLELISM"] = "false"
-    from tokenizers import Tokenizer
+        return Tokenizer.from_file(path)
 
-    return Tokenizer.from_file(path)
+    return arrowkit.kept(("library", path), load)
 
 
 class Segmenter:
@@ -45,12 +49,14 @@ class Segmenter:
         self.library = library(path)
         added = self.library.get_added_tokens_decoder()
         self.special = {t.content: i for i, t in added.items()}
-        self._special = re.compile("(" + "|".join(map(re.escape, self.special)) + ")")
-        self._mark = "<|"
+        self._special = re.compile("(" + "|".join(map(re.escape, sorted(self.special, key=len, reverse=True))) + ")") if self.special else None
+        #: a character that every added token begins with, if there is one, for a quick look
+        firsts = {content[0] for content in self.special}
+        self._mark = firsts.pop() if len(firsts) == 1 else ""
 
     def words(self, text: str) -> list[str]:
         """Raw pre-tokens; those of the ``re`` path are not yet byte characters (see ``mapped``)."""
-        if self._mark in text and self._special.search(text):
+        if self._special and self._mark in text and self._special.search(text):
             out: list[str] = []
             for i, part in enumerate(self._special.split(text)):
                 out += [part] if i % 2 else self.words(part)

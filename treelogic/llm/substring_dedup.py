@@ -82,7 +82,7 @@ def _pack(*arrays: np.ndarray) -> bytes:
     return np.array([a.nbytes for a in arrays], np.int64).tobytes() + b"".join(a.tobytes() for a in arrays)
 
 
-_KINDS = (np.int64, np.int64, np.uint32, np.uint32, np.uint8, U64, np.uint32, np.uint16, np.uint32, np.uint32, np.uint32)
+_KINDS = (np.int64, np.int64, np.uint32, np.uint32, np.uint16, U64, np.uint32, np.uint16, np.uint32, np.uint32, np.uint32)
 
 
 def _unpack(blob: bytes) -> list[np.ndarray]:
@@ -140,7 +140,7 @@ def _chunks(buckets: int, min_words: int, seed_words: int):
                 docs, number = np.unique(np.concatenate((text[send][head], text[known][k_head])), return_inverse=True)
                 w = window[send]
                 blobs.append(_pack(
-                    ids[docs], keys[docs], number[:len(head)].astype(np.uint32), start[send][head].astype(np.uint32), length.astype(np.uint8), seed[send][head], (w & U64(0xFFFFFFFF)).astype(np.uint32), (w >> U64(32)).astype(np.uint16),
+                    ids[docs], keys[docs], number[:len(head)].astype(np.uint32), start[send][head].astype(np.uint32), length.astype(np.uint16), seed[send][head], (w & U64(0xFFFFFFFF)).astype(np.uint32), (w >> U64(32)).astype(np.uint16),
                     number[len(head):].astype(np.uint32), start[known][k_head].astype(np.uint32), k_length.astype(np.uint32),
                 ))
                 numbers.append(b)
@@ -194,6 +194,8 @@ def repeated_spans(docs: DataFrame, min_words: int = 35, seed_words: int = 8) ->
     not a text stay apart; a null doc_id stands as -1.  Spans of one document
     can overlap; their union is the set of its maximal repeats.
     """
+    if not 1 <= seed_words <= min_words <= 1 << 16:
+        raise ValueError("1 <= seed_words <= min_words <= 65536 is needed")
     n = parts(docs.sparkSession)
     source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("text_key"), "text")
     packed = source.mapInArrow(arrowkit.tidy(_chunks(n * BUCKETS_A_TASK, min_words, seed_words)), "bucket int, packed binary")
@@ -207,7 +209,8 @@ def drop_repeats(docs: DataFrame, min_words: int = 35, seed_words: int = 8, full
     ``doc_id``, ``n_words``, ``n_removed``, ``kept_sha256`` (of the kept words
     joined by single spaces) and, with ``full``, all columns of ``docs`` too and
     that text (``kept_text``).  Null and empty texts have no words.  Rows that
-    repeat as a whole repeat each other's windows.
+    repeat as a whole repeat each other's windows.  Raises unless
+    1 <= seed_words <= min_words <= 65536.
     """
     names = [c for c in docs.columns if full or c in ("doc_id", "text")]
     row = docs.select(*names).withColumn("__id", F.coalesce(F.col("doc_id").cast("long"), F.lit(-1))).withColumn("__key", F.xxhash64("text"))

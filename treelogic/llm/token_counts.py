@@ -17,7 +17,6 @@ from __future__ import annotations
 
 import base64
 from collections.abc import Iterator
-from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -29,8 +28,11 @@ from treelogic.llm import arrowkit
 RULES = ("start", "end", "most", "split")
 
 
-@lru_cache(maxsize=2)
 def _encoding(path: str):
+    return arrowkit.kept(("encoding", path), lambda: _load(path))
+
+
+def _load(path: str):
     import public_tokenizers
     import tiktoken
 

@@ -37,7 +37,7 @@ _MAGIC = b"TOKWAVE1"
 _BLOCK = 512
 SHARD_TOKENS = 4_000_000
 #: Pre-tokens whose ids a worker keeps at most; beyond that the table starts anew.
-KEPT_WORDS = 1_500_000
+KEPT_WORDS = 500_000
 
 
 class WaveletMatrix:
@@ -220,6 +220,9 @@ class BulkEncoder:
     def _reset(self) -> None:
         self.known = np.zeros(0, arrowkit.U64)  # hashes of the pre-tokens, ascending, and their entries' numbers
         self.number = np.zeros(0, np.int32)
+        self.letters = np.zeros(0, np.uint8)  # the pre-tokens' bytes, which a hash alone does not stand for
+        self.letter_start = np.zeros(0, np.int64)  # in the order of ``known``
+        self.letter_size = np.zeros(0, np.int64)
         self.start = np.zeros(1 << 16, np.int32)
         self.length = np.zeros(1 << 16, np.int32)
         self.flat = np.zeros(1 << 18, self.kind)
@@ -251,8 +254,12 @@ class BulkEncoder:
         each = [self._library(w) for w in words]  # a pre-token that is cut otherwise among others
         return self._append(np.concatenate(each), np.array([len(e) for e in each], np.int64))
 
-    def encode(self, column: pa.Array, end_id: int | None) -> tuple[np.ndarray, np.ndarray]:
-        """(ids of all texts one after the other, offsets of the texts); ``end_id`` ends each text."""
+    def encode(self, column: pa.Array, end_id: int | None, whole_texts: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
+        """(ids of all texts one after the other, offsets of the texts); ``end_id`` ends each text.
+
+        Pre-tokens are found by their hashes and compared byte by byte; texts in
+        which two different ones share a hash go to the library (``whole_texts``).
+        """
         data, offsets = arrowkit.as_bytes(column)
         texts = len(offsets) - 1
         kind = _byte_class()[data]
@@ -264,6 +271,8 @@ class BulkEncoder:
         kind[letters] = kind[letters - 1] = _LETTER
         foreign = np.concatenate((np.flatnonzero(kind == _FOREIGN), np.flatnonzero((data[:-1] == 60) & (data[1:] == 124)) if len(data) > 1 else np.zeros(0, np.int64)))
         odd = np.unique(np.searchsorted(offsets, foreign, side="right") - 1)
+        if whole_texts is not None:
+            odd = np.union1d(odd, whole_texts)
         data = arrowkit._fold_table()[data]
         upper = letters[data[letters] <= 0x9E]
         data[upper] += 0x20
@@ -287,6 +296,19 @@ class BulkEncoder:
         place = np.searchsorted(self.known, value)
         inside = np.minimum(place, max(len(self.known) - 1, 0))
         hit = self.known[inside] == value if len(self.known) else np.zeros(len(value), bool)
+        size = stop - start
+        here = start[first]
+        same = (size == size[first][where]) if len(value) else np.zeros(0, bool)
+        same[same] = arrowkit.same_spans(data, start[same], data, here[where[same]], size[same])
+        if hit.any():
+            at = inside[hit]
+            agree = self.letter_size[at] == size[first[hit]]
+            agree[agree] = arrowkit.same_spans(data, here[hit][agree], self.letters, self.letter_start[at][agree], self.letter_size[at][agree])
+            strange = np.zeros(len(value), bool)
+            strange[np.flatnonzero(hit)[~agree]] = True
+            same &= ~strange[where]
+        if not same.all():
+            return self.encode(column, end_id, np.union1d(odd, of_text[~same]))
         number = np.full(len(value), -1, np.int64)
         number[hit] = self.number[inside[hit]]
         fresh = np.flatnonzero(~hit)
@@ -294,6 +316,10 @@ class BulkEncoder:
             raw = data.tobytes()
             base = self._learn([raw[a:b].decode() for a, b in zip(start[first[fresh]].tolist(), stop[first[fresh]].tolist())])
             number[fresh] = np.arange(base, base + len(fresh))
+            held = size[first[fresh]]
+            self.letter_start = np.insert(self.letter_start, place[fresh], len(self.letters) + np.cumsum(held) - held)
+            self.letter_size = np.insert(self.letter_size, place[fresh], held)
+            self.letters = np.concatenate((self.letters, data[np.repeat(here[fresh], held) + arrowkit.ranges(held)]))
             self.known = np.insert(self.known, place[fresh], value[fresh])
             self.number = np.insert(self.number, place[fresh], number[fresh])
         pieces = number[where]
@@ -324,9 +350,8 @@ class BulkEncoder:
         return ids, ends[np.concatenate(([0], np.cumsum(counts)))]
 
 
-@lru_cache(maxsize=2)
 def _encoder(path: str) -> BulkEncoder:
-    return BulkEncoder(path)
+    return arrowkit.kept(("bulk", path), lambda: BulkEncoder(path))
 
 
 def _encode(path: str, end_id: int):
@@ -334,6 +359,8 @@ def _encode(path: str, end_id: int):
         coder = _encoder(path)
         for part in arrowkit.slices(batches, "text", 2 << 20):
             ids, offsets = coder.encode(part.column("text"), end_id)
+            if ids.nbytes >= 1 << 31:  # a slice holds more than 2 MB of text only if that is one document
+                raise ValueError("the ids of one document take 2 GB or more, which a row cannot hold")
             packed = pa.Array.from_buffers(pa.binary(), part.num_rows, [None, pa.py_buffer((offsets * coder.kind.itemsize).astype(np.int32)), pa.py_buffer(np.ascontiguousarray(ids))])
             yield pa.RecordBatch.from_arrays([part.column("part"), part.column("doc_id"), packed], names=["part", "doc_id", "ids"])
 
@@ -372,8 +399,9 @@ def write_store(docs: DataFrame, path: str, folder: str, end_id: int = 1, shard_
     """Writes the documents' ids, in ascending doc_id order, as a table of shard files in ``folder``.
 
     ``end_id`` ends each document; a null text has only that.  A null doc_id
-    counts as the least (-2**63); rows that share a doc_id are ordered by their ids.
-    One shuffle, of packed ids; a shard is as large as ``shard_tokens``, or one document.
+    counts as the least (-2**63); rows that share a doc_id are ordered by their ids,
+    so rows that repeat as a whole stand side by side.  A document whose ids take
+    2 GB or more is an error.  One shuffle, of packed ids; a shard is as large as ``shard_tokens``, or one document.
     """
     n = parts(docs.sparkSession)
     source = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(-2**63)).alias("doc_id"), "text")
