@@ -15,12 +15,12 @@ from treelogic.llm.topk_search import MaxScore, top_k
 
 
 def brute_bits(model, texts, data):
-    """Code length of a text by the definition, one byte at a time."""
+    """Code length of a text by the definition, one byte at a time; 256 stands before the first one."""
     total = []
     for name in model.languages:
         seen = [defaultdict(Counter) for _ in range(4)]
         for b in texts[name]:
-            s = [0, 0, 0, *[int(x) for x in model.symbol[list(b)]]]
+            s = [256, 256, 256, *b]
             for i in range(3, len(s)):
                 for d in range(4):
                     seen[d][tuple(s[i - d:i])][s[i]] += 1
@@ -32,7 +32,7 @@ def brute_bits(model, texts, data):
                 return shorter
             return (max(counts[x] - 0.5, 0) + 0.5 * len(counts) * shorter) / sum(counts.values())
 
-        s = [0, 0, 0, *[int(x) for x in model.symbol[list(data)]]]
+        s = [256, 256, 256, *data]
         total.append(sum(-math.log2(prob(tuple(s[i - 3:i]), s[i])) for i in range(3, len(s))))
     return total
 

@@ -9,9 +9,10 @@ code length in a language is the sum of -log2 of its bytes' probabilities under
 the frozen counts; the shortest code wins.
 
 The counts are frozen after training, so a byte's code length depends on the
-bytes before it only through its longest context: each language's tree is laid
-out as a table with a row for each of its contexts, and texts are scored by table
-look-ups in whole batches.
+``ORDER`` bytes before it only.  A language is laid out as the sorted runs that
+training showed, with their bytes' probabilities, and its contexts with their
+escapes: the model is as large as what was seen, whatever the number of
+languages, scripts and contexts.  A block of text is scored by its distinct runs.
 """
 
 from __future__ import annotations
@@ -27,54 +28,84 @@ from pyspark.sql import functions as F
 from treelogic.llm import arrowkit
 
 ORDER = 3
-#: Training bounds: documents and bytes for each language, languages, contexts of the longest order of each language.
+#: Training bounds: documents and bytes for each language.
 DOCS_A_LANGUAGE = 400
 BYTES_A_LANGUAGE = 1_500_000
-LANGUAGES = 64
-CONTEXTS = 16_000
 UNKNOWN = "und"
+_BLOCK = 1 << 19
+#: A byte's number in a run is one above its value; 0 stands before a text's first byte.
+_BITS = 9
+
+
+@dataclass
+class Tree:
+    """One language: for each length of context the runs (context and follower) seen, and the contexts."""
+
+    runs: list[np.ndarray]      # sorted codes of context and follower
+    share: list[np.ndarray]     # (count - 1/2) / total of the context
+    contexts: list[np.ndarray]  # sorted codes
+    escape: list[np.ndarray]    # (kinds / 2) / total
+
+    def probability(self, codes: np.ndarray) -> np.ndarray:
+        """Of the last byte of each run of ORDER + 1 bytes after the bytes before it."""
+        out = np.full(len(codes), 1 / 256)
+        for length in range(ORDER + 1):
+            code = codes & ((1 << _BITS * (length + 1)) - 1)
+            at, known = _find(self.contexts[length], code >> _BITS)
+            out[known] *= self.escape[length][at[known]]
+            at, seen = _find(self.runs[length], code)
+            out[seen] += self.share[length][at[seen]]
+        return out
+
+
+def _find(kept: np.ndarray, code: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Places of codes among the sorted ``kept``, and whether they are there."""
+    if not len(kept):
+        return np.zeros(len(code), np.int64), np.zeros(len(code), bool)
+    at = np.minimum(np.searchsorted(kept, code), len(kept) - 1)
+    return at, kept[at] == code
+
+
+def _codes(data: np.ndarray, offsets: np.ndarray, lo: int, hi: int) -> np.ndarray:
+    """The runs of ORDER + 1 bytes that end at the bytes lo to hi; none reaches before its text."""
+    head = max(0, lo - ORDER)
+    s = np.concatenate((np.zeros(ORDER - (lo - head), np.int64), data[head:hi].astype(np.int64) + 1))
+    n = hi - lo
+    begins = offsets[np.searchsorted(offsets, lo - ORDER, side="right"):np.searchsorted(offsets, hi)] - lo
+    out = s[ORDER:].copy()
+    for d in range(1, ORDER + 1):
+        before = s[ORDER - d:ORDER - d + n].copy()
+        for p in range(d):  # the first bytes of a text
+            at = begins + p
+            before[at[(at >= 0) & (at < n)]] = 0
+        out |= before << (_BITS * d)
+    return out
 
 
 @dataclass
 class PpmModel:
-    """Frozen code lengths: ``bits[language][row, symbol]``."""
+    """Frozen trees, by language."""
 
     languages: list[str]
-    symbol: np.ndarray      # byte -> symbol, 0 for bytes that training did not show
-    context: np.ndarray     # code of the three symbols before -> place in ``row``
-    row: np.ndarray         # (place, language) -> row of the language's ``bits``
-    bits: list[np.ndarray]  # float32, by language
-    base: int
-    usual: np.ndarray       # bits per byte of training texts in their own language: mean
-    spread: np.ndarray      # and standard deviation
+    trees: list[Tree]
+    usual: np.ndarray  # mean bits per byte of training texts in their own language
 
     def totals(self, column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """(texts x languages) code lengths in bits, and the texts' bytes."""
         data, offsets = arrowkit.as_bytes(column)
         n, texts = len(data), len(offsets) - 1
         out = np.zeros((texts, len(self.languages)))
-        for lo in range(0, n, 1 << 19):  # blocks bound the memory for texts of any length
-            hi = min(n, lo + (1 << 19))
-            s = self.symbol[data[max(0, lo - 3):hi]].astype(np.int64)
-            s = np.concatenate((np.zeros(3 - min(3, lo), np.int64), s))
+        for lo in range(0, n, _BLOCK):  # blocks bound the memory for texts of any length
+            hi = min(n, lo + _BLOCK)
+            runs, which = np.unique(_codes(data, offsets, lo, hi), return_inverse=True)
             first = np.searchsorted(offsets, lo, side="right") - 1
-            last = np.searchsorted(offsets, hi, side="left")
-            inside = offsets[first:last + 1]
-            before = [s[3 - d:len(s) - d].copy() for d in (1, 2, 3)]
-            starts = offsets[np.searchsorted(offsets[:-1], lo - 2):last] - lo
-            for p in range(3):  # before a text's first byte stand zeros
-                at = starts + p
-                at = at[(at >= 0) & (at < hi - lo)]
-                for d in range(p, 3):
-                    before[d][at] = 0
-            place = self.context[(before[2] * self.base + before[1]) * self.base + before[0]]
-            got = np.empty((hi - lo, len(self.languages)), np.float32)
-            for j, bits in enumerate(self.bits):
-                got[:, j] = bits[self.row[place, j], s[3:]]
+            inside = offsets[first:np.searchsorted(offsets, hi) + 1]
             cuts = np.clip(inside[:-1], lo, hi) - lo
             full = np.flatnonzero(np.clip(inside[1:], lo, hi) - lo > cuts)
-            if len(full):
-                out[first + full] += np.add.reduceat(got, cuts[full], axis=0, dtype=np.float64)
+            for j, tree in enumerate(self.trees):
+                bits = -np.log2(np.maximum(tree.probability(runs), 1e-12))
+                if len(full):
+                    out[first + full, j] += np.add.reduceat(bits[which], cuts[full])
         return out, np.diff(offsets)
 
     def predict(self, column: pa.Array) -> tuple[list[str], np.ndarray, np.ndarray]:
@@ -92,114 +123,76 @@ class PpmModel:
         return names, score, total[np.arange(len(best)), best] / np.maximum(size, 1)
 
 
-def _follow(counts: np.ndarray, shorter: np.ndarray) -> np.ndarray:
-    """Probabilities in contexts with the given follower counts, over those one byte shorter."""
-    seen = counts.sum(axis=-1, keepdims=True)
-    kinds = (counts > 0).sum(axis=-1, keepdims=True)
-    mixed = (np.maximum(counts - 0.5, 0) + 0.5 * kinds * shorter) / np.maximum(seen, 1)
-    return np.where(seen > 0, mixed, shorter)
-
-
-def fit(texts: dict[str, list[bytes]], order_contexts: int = CONTEXTS) -> PpmModel:
+def _grow(texts: list[bytes]) -> Tree:
+    """The tree of a language's training texts."""
+    tree = Tree([], [], [], [])
+    data, offsets = arrowkit.as_bytes(pa.array(texts, pa.binary()))
+    counts = [np.unique(_codes(data, offsets, lo, min(len(data), lo + _BLOCK)), return_counts=True) for lo in range(0, len(data), _BLOCK)]
+    every = np.concatenate([c for c, _ in counts]) if counts else np.zeros(0, np.int64)
+    weight = np.concatenate([w for _, w in counts]) if counts else np.zeros(0, np.int64)
+    for length in range(ORDER + 1):
+        code, where = np.unique(every & ((1 << _BITS * (length + 1)) - 1), return_inverse=True)
+        seen = np.bincount(where, weights=weight, minlength=len(code))
+        context, of, kinds = np.unique(code >> _BITS, return_inverse=True, return_counts=True)
+        total = np.bincount(of, weights=seen, minlength=len(context))
+        tree.runs.append(code)
+        tree.share.append((seen - 0.5) / total[of] if len(code) else seen)
+        tree.contexts.append(context)
+        tree.escape.append(kinds / 2 / total if len(context) else total)
+    return tree
+
+
+def fit(texts: dict[str, list[bytes]]) -> PpmModel:
     """The model of labelled texts (language -> texts)."""
     languages = sorted(texts)
-    used = np.zeros(256, bool)
-    for some in texts.values():
-        for t in some:
-            used[np.unique(np.frombuffer(t, np.uint8))] = True
-    symbol = np.where(used, np.cumsum(used), 0).astype(np.uint8) if used.sum() < 256 else np.arange(256, dtype=np.uint8)
-    base = int(symbol.max()) + 1
-    grams = []
-    for name in languages:
-        codes = []
-        for t in texts[name]:
-            s = np.concatenate((np.zeros(ORDER, np.int64), symbol[np.frombuffer(t, np.uint8)].astype(np.int64)))
-            codes.append(((s[:-3] * base + s[1:-2]) * base + s[2:-1]) * base + s[3:])
-        grams.append(np.unique(np.concatenate(codes) if codes else np.zeros(0, np.int64), return_counts=True))
-    n_lang = len(languages)
-
-    def contexts(j: int, length: int) -> np.ndarray:
-        """Codes of a language's contexts of a length; of the longest, at most ``order_contexts``, the most frequent ones."""
-        gram, weight = grams[j]
-        code, where = np.unique(gram // base % base**length, return_inverse=True)
-        load = np.bincount(where, weights=weight, minlength=len(code))
-        return code if length < ORDER else np.sort(code[np.argsort(-load, kind="stable")[:order_contexts]])
-
-    def found(kept: np.ndarray, code: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Places of codes among the sorted ``kept``, and whether they are there."""
-        at = np.minimum(np.searchsorted(kept, code), max(len(kept) - 1, 0))
-        return at, kept[at] == code if len(kept) else np.zeros(len(code), bool)
-
-    def followers(j: int, kept: np.ndarray, length: int) -> np.ndarray:
-        """A language's counts (context, follower)."""
-        out = np.zeros((len(kept), base), np.float32)
-        gram, weight = grams[j]
-        at, hit = found(kept, gram // base % base**length)
-        np.add.at(out, (at[hit], (gram % base)[hit]), weight[hit])
-        return out
-
-    # a language's rows: the empty context, then its own of one, two and three bytes; a context without a row of
-    # its own has the row of its longest end that has one, since its probabilities are the same.  Places are the
-    # contexts of any language, so that the map from codes is one
-    tables = [[_follow(followers(j, np.zeros(1, np.int64), 0), np.full((1, base), 1 / 256, np.float32))] for j in range(n_lang)]
-    context = np.zeros(base**ORDER, np.int32)
-    everywhere = np.arange(base**ORDER)
-    row = np.zeros((1, n_lang), np.int32)
-    for length in range(1, ORDER + 1):
-        own = [contexts(j, length) for j in range(n_lang)]
-        union = np.unique(np.concatenate(own)) if own else np.zeros(0, np.int64)
-        new = row[context[union % base**(length - 1)]]
-        for j, kept in enumerate(own):
-            done = sum(map(len, tables[j]))
-            shorter = np.concatenate(tables[j])[row[context[kept % base**(length - 1)], j]]
-            tables[j].append(_follow(followers(j, kept, length), shorter))
-            at, hit = found(kept, union)
-            new[hit, j] = done + at[hit]
-        if len(union):
-            at, hit = found(union, everywhere % base**length)
-            context = np.where(hit, len(row) + at, context).astype(np.int32)
-        row = np.concatenate((row, new))
-    bits = [-np.log2(np.maximum(np.concatenate(t), 1e-12)).astype(np.float32) for t in tables]
-    model = PpmModel(languages, symbol, context, row, bits, base, np.zeros(n_lang), np.ones(n_lang))
+    model = PpmModel(languages, [_grow(texts[name]) for name in languages], np.zeros(len(languages)))
     for j, name in enumerate(languages):
-        total, size = model.totals(pa.array(texts[name], pa.binary()))
-        rate = total[:, j] / np.maximum(size, 1)
-        if len(rate):
-            model.usual[j], model.spread[j] = rate.mean(), max(rate.std(), 0.05)
+        total, size = PpmModel([name], [model.trees[j]], model.usual).totals(pa.array(texts[name], pa.binary()))
+        if len(size):
+            model.usual[j] = (total[:, 0] / np.maximum(size, 1)).mean()
     return model
 
 
-def training_rows(docs: DataFrame, docs_a_language: int = DOCS_A_LANGUAGE) -> DataFrame:
-    """At most ``docs_a_language`` labelled texts of each language, by the order of a hash of the id."""
-    ids = docs.filter("lang is not null and text is not null").select("lang", "doc_id").withColumn("h", F.xxhash64("doc_id"))
-    # in two steps: what the second one gathers for a language is bounded
-    first = F.row_number().over(Window.partitionBy("lang", F.pmod("h", F.lit(256))).orderBy("h", "doc_id"))
-    few = ids.withColumn("r", first).filter(F.col("r") <= docs_a_language).drop("r")
-    chosen = few.withColumn("r", F.row_number().over(Window.partitionBy("lang").orderBy("h", "doc_id"))).filter(F.col("r") <= docs_a_language)
-    kept = [r[0] for r in chosen.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(LANGUAGES).collect()]
-    few = chosen.filter(F.col("lang").isin(kept)).select("lang", "doc_id")  # at most LANGUAGES * docs_a_language ids
-    return docs.filter("text is not null").select("lang", "doc_id", "text").join(F.broadcast(few), ["lang", "doc_id"], "left_semi").select("lang", "text")
-
+def training_rows(docs: DataFrame, docs_a_language: int = DOCS_A_LANGUAGE, bytes_a_language: int = BYTES_A_LANGUAGE) -> DataFrame:
+    """(lang, text): whole texts of at most ``docs_a_language`` labelled rows of each language, in the order of a
+    hash of the id, as long as those before hold less than ``bytes_a_language``.
 
-def train(docs: DataFrame, docs_a_language: int = DOCS_A_LANGUAGE) -> PpmModel:
-    """Fits on a bounded sample of the labelled rows; whole texts, up to BYTES_A_LANGUAGE of a language."""
+    The choice depends on the rows alone, not on how they are dealt.  A language's
+    rows are first thinned by the hash to about twice the wanted number, so that no
+    task gets a language as a whole.  Ties of the hash go by id and by text.
+    """
+    rows = docs.filter("lang is not null and text is not null").select("lang", "text", F.xxhash64("doc_id").alias("h"), F.coalesce(F.col("doc_id").cast("long"), F.lit(-1)).alias("id"))
+    sizes = rows.groupBy("lang").agg(F.count("*").alias("n"))
+    place = (F.col("h").cast("double") + F.lit(2.0**63)) / F.lit(2.0**64)
+    # a share of 2 m / n of uniform hashes holds m of n for all but a negligible chance; small languages are kept whole
+    share = F.least(F.lit(1.0), F.lit(2.0 * docs_a_language + 100) / F.col("n"))
+    few = rows.join(sizes, "lang").filter(place <= share).select("lang", "h", "id", F.octet_length("text").alias("size"), F.xxhash64("text").alias("key"), "text")
+    order = Window.partitionBy("lang").orderBy("h", "id", "key")
+    before = F.coalesce(F.sum("size").over(order.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    chosen = few.withColumn("r", F.row_number().over(order)).withColumn("before", before)
+    return chosen.filter((F.col("r") <= docs_a_language) & (F.col("before") < bytes_a_language)).select("lang", "r", "text")
+
+
+def train(docs: DataFrame, docs_a_language: int = DOCS_A_LANGUAGE, bytes_a_language: int = BYTES_A_LANGUAGE) -> PpmModel:
+    """Fits on a bounded sample of the labelled rows: whole texts in a fixed order."""
+    rows = sorted((r["lang"], r["r"], r["text"].encode()) for r in training_rows(docs, docs_a_language, bytes_a_language).toLocalIterator())
     texts: dict[str, list[bytes]] = {}
-    size: dict[str, int] = {}
-    for r in training_rows(docs, docs_a_language).toLocalIterator():
-        t = r["text"].encode()
-        if size.get(r["lang"], 0) < BYTES_A_LANGUAGE and len(texts.setdefault(r["lang"], [])) < docs_a_language:
-            texts[r["lang"]].append(t)
-            size[r["lang"]] = size.get(r["lang"], 0) + len(t)
+    for lang, _, text in rows:
+        texts.setdefault(lang, []).append(text)
+    del rows
     model = fit(texts)
     arrowkit.give_back()
     return model
 
 
 def identify(docs: DataFrame, model: PpmModel, text: str = "text", keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
-    """``keep`` and ``lang_pred``, ``score`` (0 to 1), ``bits_per_byte``, ``usual_bits`` of every whole text.
+    """``keep`` and ``lang_pred``, ``score`` (0 to 1), ``bits_per_byte``, ``excess`` of every whole text.
 
-    A null text, or one without a letter, is ``und`` with score 0.  Narrow: no
-    shuffle; the model (of bounded size) is broadcast.
+    ``excess``: the bits per byte above those that are usual in the language, which
+    tell text of a language that was not learned.  A null text, or one without a letter, is ``und`` with
+    score 0 and excess 0; ties go to the first language by name.  Each row is
+    handled alone, so repeated rows have equal answers.  Narrow: no shuffle; the
+    model, of as many runs as the bounded training texts hold, is broadcast.
     """
     names = [*keep]
     own = text if text in names else "__text"
@@ -212,7 +205,7 @@ def identify(docs: DataFrame, model: PpmModel, text: str = "text", keep: tuple[s
         at = {name: i for i, name in enumerate(m.languages)}
         for part in arrowkit.slices(batches, own, 1 << 20):
             lang, score, rate = m.predict(part.column(own))
-            excess = [(r - m.usual[at[x]]) / m.spread[at[x]] if x in at else 0.0 for x, r in zip(lang, rate)]
+            excess = [r - m.usual[at[x]] if x in at else 0.0 for x, r in zip(lang, rate)]
             yield pa.RecordBatch.from_arrays([*[part.column(c) for c in names], pa.array(lang, pa.string()), pa.array(score, pa.float64()), pa.array(rate, pa.float64()), pa.array(excess, pa.float64())], names=[*names, "lang_pred", "score", "bits_per_byte", "excess"])
 
     return source.mapInArrow(arrowkit.tidy(run), schema)

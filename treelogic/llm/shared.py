@@ -60,3 +60,9 @@ def shielded(df: DataFrame, *needed: str) -> tuple[DataFrame, list]:
     columns that give back the original names."""
     names = {c: c if c in needed else f"__kept{i}" for i, c in enumerate(df.columns)}
     return df.select(*[F.col(f"`{c}`").alias(n) for c, n in names.items()]), [F.col(n).alias(c) for c, n in names.items()]
+
+
+def drop_folder(spark: SparkSession, folder: str) -> None:
+    """Deletes a folder by the file system that its path names; a missing one is no error."""
+    path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(folder)
+    path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
