@@ -26,11 +26,14 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from treelogic.llm import arrowkit
+from treelogic.llm.shared import checkpointed
 
 ORDER = 3
 #: Training bounds: documents and bytes for each language.
 DOCS_A_LANGUAGE = 400
 BYTES_A_LANGUAGE = 1_500_000
+#: Languages up to which the table of their counts, which is counted, is broadcast.
+BROADCAST_LANGUAGES = 50_000
 UNKNOWN = "und"
 _BLOCK = 1 << 19
 #: A byte's number in a run is one above its value; 0 stands before a text's first byte.
@@ -162,7 +165,9 @@ def training_rows(docs: DataFrame, docs_a_language: int = DOCS_A_LANGUAGE, bytes
     task gets a language as a whole.  Ties of the hash go by id and by text.
     """
     rows = docs.filter("lang is not null and text is not null").select("lang", "text", F.xxhash64("doc_id").alias("h"), F.coalesce(F.col("doc_id").cast("long"), F.lit(-1)).alias("id"))
-    sizes = rows.groupBy("lang").agg(F.count("*").alias("n"))
+    sizes = checkpointed(rows.groupBy("lang").agg(F.count("*").alias("n")))
+    if sizes.count() <= BROADCAST_LANGUAGES:  # else the texts would be dealt by language
+        sizes = F.broadcast(sizes)
     place = (F.col("h").cast("double") + F.lit(2.0**63)) / F.lit(2.0**64)
     # a share of 2 m / n of uniform hashes holds m of n for all but a negligible chance; small languages are kept whole
     share = F.least(F.lit(1.0), F.lit(2.0 * docs_a_language + 100) / F.col("n"))
