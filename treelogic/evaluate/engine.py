@@ -1,29 +1,38 @@
 """The contour pipeline.
 
-1. Candidates of every pattern node by kind and attributes.
-2. Downward round, leaves first: a candidate stays if its formula holds, its
-   children's flags coming from one tagged aggregation for each parent.
-3. Core: the backbone paths from the root to the outputs.  It is not trimmed by
-   counts of candidates.
+1. Candidates of every pattern node by kind and attributes, with the ids that
+   their rows hold of neighbours.
+2. Downward round, leaves first: a candidate stays if its formula holds; the
+   flags of a parent's children come from one tagged aggregation, those of leaf
+   children of one kind from one scan.
+3. Core: the backbone paths from the root to the outputs.
 4. Upward round, root first: a core candidate stays if a candidate of its parent
-   reaches it.
-5. Match graph: the pairs of each core edge, each node and edge once.
-6. Enumeration from the leaves of the core by joins, dropping what is no output
+   reaches it; children that the same index serves are tested together.
+5. Trimming: core nodes with a single candidate are constants; what they held
+   together falls into components, whose product is the answer.
+6. Match graph: the pairs of each core edge, each node and edge once.  Edges that
+   rows hold themselves are not made as tables unless they are asked for.
+7. Enumeration from the leaves of the core by joins, dropping what is no output
    as soon as its edge is joined.
+
+Sets that later steps read several times are written and counted (the counts are
+all that reaches the driver, besides single candidates' ids); a counted set is
+broadcast if it is small enough.
 """
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field
+from collections.abc import Iterable
+from dataclasses import dataclass, field, replace
 from functools import reduce
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from treelogic.graph.model import PropertyGraph
+from treelogic.graph.model import EdgeSet, PropertyGraph
 from treelogic.index.reach import Children, KindPaths, Reach, Reflexive, children_of, choose
-from treelogic.plans import cut
-from treelogic.query.logic import FALSE, TRUE, And, Var, simplify, to_column
+from treelogic.plans import BROADCAST_ROWS, cut
+from treelogic.query.logic import FALSE, TRUE, And, Formula, Var, simplify, to_column
 from treelogic.query.pattern import PatternNode, TreePattern
 
 
@@ -32,6 +41,8 @@ class Options:
     """Switches of the pipeline; every setting gives the same answers."""
 
     index: Reach | None = None
+    #: use the index for every ancestor-descendant edge, also where paths of kinds would do
+    force_index: bool = False
     ad_mode: str = "strict"
     pc_mode: str = "exact"
     #: the upward round; None: always, but with ``key_joins`` only where joining an edge can multiply rows
@@ -39,9 +50,13 @@ class Options:
     #: where all edges are foreign keys, leave the core's edges to the enumeration's joins, without either round
     key_joins: bool = False
     shrink: bool = True
+    #: constants and components; None: by the counts that are known anyway, True: all core nodes are counted
+    trim: bool | None = None
     minimize: bool = False
-    #: cut the lineage after each step; None: for deep patterns and iterative operators only
+    #: write the sets between the steps; None: those that several later steps read
     checkpoints: bool | None = None
+    #: leave out the ids of nodes that no join needs; measures that count nodes want them
+    lean: bool = False
 
 
 @dataclass
@@ -63,26 +78,26 @@ def atom_column(df: DataFrame, node: PatternNode):
     return F.coalesce(test, F.lit(False)) if node.atoms else test
 
 
-def candidates(graph: PropertyGraph, node: PatternNode) -> DataFrame:
-    """``node_id`` of the data nodes that pass a pattern node's tests; filters reach the scan."""
+def candidates(graph: PropertyGraph, node: PatternNode, columns: Iterable[str] = ("node_id",)) -> DataFrame:
+    """``node_id`` (or the named columns) of the data nodes that pass a pattern node's tests; filters reach the scan."""
     kinds = [node.kind] if node.kind else list(graph.nodes)
     parts = []
     for kind in kinds:
         rows = graph.nodes[kind]
         if all(a.attribute in rows.columns for a in node.atoms):
-            parts.append((rows.filter(atom_column(rows, node)) if node.atoms else rows).select("node_id"))
+            parts.append((rows.filter(atom_column(rows, node)) if node.atoms else rows).select(*columns))
     if not parts:
-        return next(iter(graph.nodes.values())).select("node_id").limit(0)
+        return graph.nodes[kinds[0]].select(*columns).limit(0)
     return reduce(DataFrame.union, parts)
 
 
 def candidates_all(graph: PropertyGraph, pattern: TreePattern) -> DataFrame:
-    """(qnode, node_id) for all pattern nodes: each node table is read once, rows carry the names they match."""
+    """(qnode, kind, node_id) for all pattern nodes: each node table is read once, rows carry the names they match."""
     parts = []
     for kind, rows in graph.nodes.items():
         tests = [F.when(atom_column(rows, u), F.lit(u.name)) for u in pattern.root.walk() if u.kind in (None, kind)]
         if tests:
-            parts.append(rows.select(F.explode(F.array_compact(F.array(*tests))).alias("qnode"), "node_id"))
+            parts.append(rows.select(F.explode(F.array_compact(F.array(*tests))).alias("qnode"), F.lit(kind).alias("kind"), "node_id"))
     return reduce(DataFrame.union, parts)
 
 
@@ -97,11 +112,13 @@ class Pipeline:
             if pattern.parent[u.name]:
                 self._bind(pattern.nodes[pattern.parent[u.name]], u)
         plain = all(isinstance(o, KindPaths | Children) for o in self.operators.values()) and pattern.size() <= 8
-        self.cuts = self.options.checkpoints if self.options.checkpoints is not None else not plain
         keyed = self.options.key_joins and plain and all(e.keyed for o in self.operators.values() for e in (getattr(o, "sets", None) or [x for path in getattr(o, "paths", []) for x in path]))
         self.upward = self.options.prune_up if self.options.prune_up is not None else not keyed
         #: along keys the enumeration's own joins do the work of both rounds for the core's edges
         self.direct = keyed and self.options.prune_up is None and not self.exact
+        self.cuts = self.options.checkpoints if self.options.checkpoints is not None else not self.direct
+        #: rows of the sets that were written, by round and pattern node
+        self.counts: dict[tuple[str, str], int] = {}
 
     def _bind(self, up: PatternNode, u: PatternNode) -> None:
         """Chooses the operator of the edge above u."""
@@ -111,28 +128,61 @@ class Pipeline:
         if u.edge == "pc" and not relaxed:
             self.operators[u.name] = direct
             return
-        ad = choose(self.graph, up.kind, u.kind, o.index)
+        ad = choose(self.graph, up.kind, u.kind, o.index, o.force_index)
         if o.ad_mode == "reflexive" and u.edge == "ad":
             ad = Reflexive(ad)
         self.operators[u.name] = ad
         if relaxed:  # treated as a path while pruning, checked in the match graph
             self.exact[u.name] = direct
 
-    def _keep(self, df: DataFrame) -> DataFrame:
-        return cut(df) if self.cuts else df
+    def link(self, name: str) -> EdgeSet | None:
+        """The edge set above a pattern node, if rows of one end hold the other's id."""
+        o = self.operators.get(name)
+        return o.link() if isinstance(o, KindPaths) and name not in self.exact else None
+
+    def _kept(self, rounds: str, name: str, df: DataFrame) -> DataFrame:
+        """A set of a round, written and counted if several later steps read it."""
+        u = self.pattern.nodes[name]
+        core = any(c.backbone for c in u.children)
+        again = core if self.options.checkpoints is None else self.cuts
+        if not (self.cuts and again):
+            return df
+        df = cut(df)
+        n = self.counts[rounds, name] = df.count()
+        return F.broadcast(df) if n <= BROADCAST_ROWS else df
 
     # rounds
 
+    def columns(self, u: PatternNode) -> list[str]:
+        """What a candidate of u carries: its id, where a join needs it, and the ids that its row holds of neighbours."""
+        if u.kind is None:
+            return ["node_id"]
+        held: set[str] = set()
+        above = self.operators.get(u.name)
+        if isinstance(above, KindPaths):
+            held |= above.columns("target")
+        for c in u.children:
+            if isinstance(o := self.operators[c.name], KindPaths):
+                held |= o.columns("source")
+        held &= set(self.graph.nodes[u.kind].columns)
+        if self.options.lean and not self.exact and not u.output and above is not None and not u.optional:
+            link = self.link(u.name)
+            links = [self.link(c.name) for c in u.children]
+            inner = all(e is not None and e.holder == "source" and not c.optional for c, e in zip(u.children, links))
+            if link is not None and link.holder == "target" and inner and _conjuncts(self.pattern.extended(u.name)) is not None:
+                return sorted(held)
+        return ["node_id", *sorted(held)]
+
     def candidates(self) -> dict[str, DataFrame]:
-        return {u.name: candidates(self.graph, u) for u in self.pattern.root.walk()}
+        return {u.name: candidates(self.graph, u, self.columns(u)) for u in self.pattern.root.walk()}
 
     def prune_down(self, cand: dict[str, DataFrame]) -> dict[str, DataFrame]:
         """Candidates that satisfy the whole sub-pattern below their pattern node.
 
-        Where joins follow keys, edges of the core are left to the enumeration.
+        With ``key_joins``, edges of the core are left to the enumeration.
         """
         down: dict[str, DataFrame] = {}
-        later = {n: TRUE for n in self.core({})} if self.direct else {}
+        later = {n: TRUE for n in self.core()} if self.direct else {}
         for u in self.pattern.postorder():
             formula = simplify(self.pattern.extended(u.name).substitute(later))
             asked = [c for c in u.children if c.name in formula.variables()]
@@ -141,25 +191,42 @@ class Pipeline:
             elif not asked:
                 down[u.name] = cand[u.name]
             else:
-                only = simplify(formula)
-                names = {c.name for c in asked}
-                plain = isinstance(only, Var) or isinstance(only, And) and all(isinstance(i, Var) for i in only.items)
-                if plain and names == only.variables():
-                    # a conjunction: each child is a semi-join
+                if _conjuncts(formula) is not None:  # each child is a semi-join
                     rows = cand[u.name]
                     for c in asked:
                         rows = self.operators[c.name].reaching(rows, down[c.name])
                 else:
-                    tagged = reduce(DataFrame.union, [self.operators[c.name].reaching(cand[u.name], down[c.name]).select("node_id", F.lit(c.name).alias("tag")) for c in asked])
-                    flags = tagged.groupBy("node_id").agg(*[F.max(F.col("tag") == c.name).alias(f"f_{c.name}") for c in asked])
+                    flags = self._flags(cand[u.name], asked, down)
                     test = to_column(formula, lambda name: F.coalesce(F.col(f"f_{name}"), F.lit(False)))
-                    rows = cand[u.name].join(flags, "node_id", "left").filter(test).select("node_id")
-                down[u.name] = self._keep(rows)
+                    # a formula that is false without any child needs no rows without flags
+                    needs = simplify(formula.substitute({c.name: FALSE for c in asked})) == FALSE
+                    rows = cand[u.name].join(flags, "node_id", "inner" if needs else "left").filter(test).select(*cand[u.name].columns)
+                down[u.name] = self._kept("down", u.name, rows)
         return down
 
-    def core(self, counts: dict[str, int]) -> list[str]:
-        """Names of the core in root-first order: backbone paths to the outputs, stopping early at
-        outputs' ancestors' far sides; without ``shrink`` the whole backbone."""
+    def _flags(self, rows: DataFrame, asked: list[PatternNode], down: dict[str, DataFrame]) -> DataFrame:
+        """One row for each node with a child: which children it reaches.  Leaf children of one kind whose rows
+        hold the parent's id share one scan; the others are tagged and collected by one aggregation."""
+        together: dict[str, list[PatternNode]] = {}
+        for c in asked:
+            link = self.link(c.name)
+            if link is not None and link.holder == "target" and not c.children and c.kind:
+                together.setdefault(link.name, []).append(c)
+        parts = []
+        names = [c.name for c in asked]
+        for kids in together.values():
+            nodes, link = self.graph.nodes[kids[0].kind], self.link(kids[0].name)
+            tests = {c.name: atom_column(nodes, c) for c in kids}
+            some = nodes.filter(reduce(lambda a, b: a | b, tests.values()))
+            parts.append(some.select(F.col(link.column).alias("node_id"), *[tests.get(n, F.lit(False)).alias(f"f_{n}") for n in names]))
+        apart = [c for c in asked if not any(c in kids for kids in together.values())]
+        for c in apart:
+            hit = self.operators[c.name].reaching(rows, down[c.name])
+            parts.append(hit.select("node_id", *[F.lit(n == c.name).alias(f"f_{n}") for n in names]))
+        return reduce(DataFrame.union, parts).groupBy("node_id").agg(*[F.max(f"f_{n}").alias(f"f_{n}") for n in names])
+
+    def core(self) -> list[str]:
+        """Names of the core in root-first order: backbone paths to the outputs; without ``shrink`` the whole backbone."""
         backbone = self.pattern.backbone()
         if not self.options.shrink:
             return backbone
@@ -174,20 +241,49 @@ class Pipeline:
     def prune_up(self, down: dict[str, DataFrame], core: list[str]) -> dict[str, DataFrame]:
         """Core candidates that a surviving candidate of their parent reaches; every parent is used, single ones too."""
         up = dict(down)
-        for name in core:
-            parent = self.pattern.parent[name]
-            if parent is not None and not self.pattern.nodes[name].optional:
-                up[name] = self._keep(self.operators[name].reachable(up[parent], down[name]))
+        for parent in core:
+            below = [c.name for c in self.pattern.children(parent, True) if c.name in core and not c.optional]
+            groups: dict[int, list[str]] = {}
+            for name in below:
+                o = self.operators[name]
+                groups.setdefault(id(o) if o is self.options.index else hash(name), []).append(name)
+            for names in groups.values():
+                o = self.operators[names[0]]
+                if len(names) == 1:
+                    found = {names[0]: o.reachable(up[parent], down[names[0]])}
+                else:  # one test for the nodes of all of them
+                    found = merged_reachable(o, up[parent], {n: down[n] for n in names})
+                for name, df in found.items():
+                    up[name] = self._kept("up", name, df)
         return up
 
-    def edges(self, cand: dict[str, DataFrame], core: list[str]) -> dict[tuple[str, str], DataFrame]:
-        """Match graph: (src, dst) of each core edge."""
+    def singles(self, up: dict[str, DataFrame], core: list[str]) -> dict[str, object]:
+        """Core nodes with one candidate, and its id: by known counts, or by one action over all of the core."""
+        able = [n for n in core if "node_id" in up[n].columns and not self.pattern.nodes[n].optional]
+        last = {n: self.counts.get(("up", n), self.counts.get(("down", n))) for n in able}
+        if self.options.trim is None:
+            able = [n for n in able if last[n] == 1]
+        elif self.options.trim:
+            able = [n for n in able if last[n] in (None, 1)]
+        else:
+            return {}
+        if not able:
+            return {}
+        few = reduce(DataFrame.union, [up[n].select("node_id").distinct().limit(2).select(F.lit(n).alias("qnode"), F.col("node_id").cast("decimal(38,0)").alias("node_id")) for n in able])
+        ids: dict[str, list] = {}
+        for r in few.collect():
+            ids.setdefault(r["qnode"], []).append(r["node_id"])
+        return {n: F.lit(v[0]).cast(up[n].schema["node_id"].dataType) for n, v in ids.items() if len(v) == 1}
+
+    def edges(self, cand: dict[str, DataFrame], core: list[str], skip: Iterable[str] = ()) -> dict[tuple[str, str], DataFrame]:
+        """Match graph: (src, dst) of each core edge, but for those above the nodes in ``skip``."""
         out = {}
         for name in core:
             parent = self.pattern.parent[name]
-            if parent is not None:
+            if parent is not None and name not in skip:
                 exact = self.exact.get(name)
-                out[parent, name] = self._keep((exact or self.operators[name]).pairs(cand[parent], cand[name]))
+                pairs = (exact or self.operators[name]).pairs(cand[parent], cand[name])
+                out[parent, name] = cut(pairs) if self.exact or self.options.checkpoints else pairs
         return self._cascade(out, cand) if self.exact else out
 
     def _cascade(self, edges: dict, cand: dict[str, DataFrame]) -> dict:
@@ -208,37 +304,70 @@ class Pipeline:
             if {k: edges[k].count() for k in names} == before:
                 return edges
 
-    def enumerate(self, cand: dict[str, DataFrame], edges: dict[tuple[str, str], DataFrame], core: list[str]) -> DataFrame:
+    def enumerate(self, cand: dict[str, DataFrame], edges: dict[tuple[str, str], DataFrame], core: list[str], single: dict[str, object] | None = None) -> DataFrame:
         """Output tuples (one column of node ids for each output), each once."""
-        def rows(name: str) -> DataFrame:
-            """(id of the node at ``name``, outputs below and at it)."""
-            me = f"__{name}"
-            below = [c for c in self.pattern.children(name, True) if c.name in core]
-            out = cand[name].select(F.col("node_id").alias(me)) if not below or any(c.optional for c in below) else None
-            for c in sorted(below, key=lambda c: c.optional):
-                part = edges[name, c.name].select(F.col("src").alias(me), F.col("dst").alias(f"__{c.name}")).join(rows(c.name), f"__{c.name}")
-                dropped = f"__{c.name}" if not c.output else None
-                if c.output:
-                    part = part.withColumn(c.name, F.col(f"__{c.name}"))
-                part = part.drop(f"__{c.name}")
-                if dropped:  # a node that is no output has gone: its tuples may repeat
-                    part = part.distinct()
-                out = part if out is None else out.join(part, me, "left" if c.optional else "inner")
-            return out
-
-        top = self.pattern.root.name
-        # ancestors above the outputs' lowest common ancestor only have to exist
-        start = self._top(core)
-        out = rows(start)
-        if self.pattern.nodes[start].output:
-            out = out.withColumn(start, F.col(f"__{start}"))
-        out = out.drop(f"__{start}")
+        single = single or {}
         outputs = self.pattern.outputs()
         if not outputs:
-            spark = self.graph.spark
-            return spark.createDataFrame([(not cand[top].isEmpty(),)], "answer boolean")
+            return self.graph.spark.createDataFrame([(not cand[self.pattern.root.name].isEmpty(),)], "answer boolean")
+        # ancestors above the outputs' lowest common ancestor only have to exist; constants cut the rest apart
+        start = self._top(core)
+        inside = [n for n in core if start in self.pattern.path(n)]
+        tops = [n for n in inside if n not in single and (n == start or self.pattern.parent[n] in single)]
+        out = None
+        for top in tops:
+            part = self._component(top, cand, edges, [n for n in inside if n not in single])
+            if part is not None:
+                out = part if out is None else out.crossJoin(part)
+        if out is None:
+            out = self.graph.spark.range(1)
+        for name in outputs:
+            if name in single:
+                out = out.withColumn(name, single[name])
         return out.select(*outputs).distinct()
 
+    def _component(self, top: str, cand: dict[str, DataFrame], edges: dict[tuple[str, str], DataFrame], core: list[str]) -> DataFrame | None:
+        """Tuples of the outputs at and below a core node; None if there are none."""
+        pattern = self.pattern
+
+        def below(name: str) -> list[PatternNode]:
+            return sorted([c for c in pattern.children(name, True) if c.name in core], key=lambda c: c.optional)
+
+        def outputs(name: str) -> list[str]:
+            return [n for n in pattern.outputs() if n in core and name in pattern.path(n)]
+
+        def rows(name: str) -> DataFrame:
+            """Outputs at and below the node, with ``__key``: what its parent joins on."""
+            u, link = pattern.nodes[name], self.link(name) if name != top else None
+            held = link.column if link is not None and link.held_by("target", cand[name]) else None
+            out, kids = cand[name], below(name)
+            # edges above the children: held by this node's row, by the child's rows, or a table
+            wants = set()
+            for c in kids:
+                l = self.link(c.name)
+                wants.add(l.column if l is not None and l.held_by("source", out) else "node_id")
+            if u.output or held is None and name != top:
+                wants.add("node_id")
+            if held:
+                wants.add(held)
+            out = out.select(*[F.col(w).alias(f"__{w}") for w in sorted(wants)]) if wants else out
+            for c in kids:
+                l = self.link(c.name)
+                at = f"__{l.column}" if l is not None and l.held_by("source", cand[name]) else "__node_id"
+                part = rows(c.name)
+                if (name, c.name) in edges:
+                    part = edges[name, c.name].select(F.col("src").alias(at), F.col("dst").alias("__key")).join(part, "__key").drop("__key")
+                else:
+                    part = part.withColumnRenamed("__key", at)
+                out = out.join(part, at, "left" if c.optional else "inner")
+            columns = [F.col(f"__{held}" if held else "__node_id").alias("__key")] if name != top else []
+            columns += [F.col("__node_id").alias(n) if n == name else F.col(n) for n in outputs(name)]
+            out = out.select(*columns)
+            # where the node itself is no output its tuples may repeat
+            return out if u.output and not kids else out.distinct()
+
+        return rows(top).select(*outputs(top)) if outputs(top) else None
+
     def _top(self, core: list[str]) -> str:
         """The lowest core node above all outputs (the root without ``shrink``)."""
         outputs = self.pattern.outputs()
@@ -250,19 +379,54 @@ class Pipeline:
             common = path if common is None else [a for a, b in zip(common, path) if a == b]
         return common[-1]
 
-    def run(self) -> EvalResult:
-        counts: dict[str, int] = {}
+    def rounds(self) -> tuple[dict, dict, dict, list[str]]:
+        """(candidates, after the downward round, after the upward round, core)."""
         cand = self.candidates()
         down = self.prune_down(cand)
-        core = self.core(counts)
-        up = self.prune_up(down, core) if self.upward else down
-        edges = self.edges(up, core)
+        core = self.core()
+        return cand, down, self.prune_up(down, core) if self.upward else down, core
+
+    def answer(self, up: dict[str, DataFrame], core: list[str]) -> tuple[DataFrame, dict]:
+        """(tuples, match graph as far as the enumeration needs its tables)."""
         if self.exact:
+            edges = self.edges(up, core)
             for (a, b), e in edges.items():
                 up[b] = up[b].join(e.select(F.col("dst").alias("node_id")).distinct(), "node_id", "left_semi")
                 up[a] = up[a].join(e.select(F.col("src").alias("node_id")).distinct(), "node_id", "left_semi") if not self.pattern.nodes[b].optional else up[a]
-        df = self.enumerate(up, edges, core)
-        return EvalResult(df, {"core": core}, {"cand": cand, "down": down, "up": up}, edges)
+            return self.enumerate(up, edges, core), edges
+        held = {n for n in core if (l := self.link(n)) is not None and (l.held_by("target", up[n]) or l.held_by("source", up[self.pattern.parent[n]]))}
+        single = self.singles(up, core) if self.upward and self.options.shrink else {}
+        edges = self.edges(up, core, held if self.options.lean else {n for n in held if n not in core})
+        return self.enumerate(up, {k: e for k, e in edges.items() if k[1] not in held}, core, single), edges
+
+    def run(self) -> EvalResult:
+        cand, down, up, core = self.rounds()
+        df, edges = self.answer(up, core)
+        return EvalResult(df, {"core": core, "counts": self.counts}, {"cand": cand, "down": down, "up": up}, edges)
+
+
+def _conjuncts(formula: Formula) -> set[str] | None:
+    """The variables of a formula that asks for all of them and nothing else; None for others."""
+    only = simplify(formula)
+    if only == TRUE:
+        return set()
+    if isinstance(only, Var) or isinstance(only, And) and all(isinstance(i, Var) for i in only.items):
+        return only.variables()
+    return None
+
+
+def merged_reachable(operator: Reach, sources: DataFrame, targets: dict[str, DataFrame]) -> dict[str, DataFrame]:
+    """``reachable`` for several sets of targets at once: a node that several of them hold is tested once."""
+    tagged = reduce(DataFrame.union, [df.select("node_id", F.lit(n).alias("qnode")) for n, df in targets.items()])
+    nodes = tagged.groupBy("node_id").agg(F.collect_set("qnode").alias("qnodes"))
+    found = cut(operator.reachable(sources, nodes).select("node_id", "qnodes"))
+    return {n: _among_of(df, found.filter(F.array_contains("qnodes", n))) for n, df in targets.items()}
+
+
+def _among_of(rows: DataFrame, found: DataFrame) -> DataFrame:
+    if rows.columns == ["node_id"]:
+        return found.select("node_id")
+    return rows.join(found.select("node_id"), "node_id", "left_semi").select(*rows.columns)
 
 
 def evaluate(graph: PropertyGraph, pattern: TreePattern, project: dict[str, list[str]] | None = None, **options) -> EvalResult:
@@ -275,9 +439,9 @@ def evaluate(graph: PropertyGraph, pattern: TreePattern, project: dict[str, list
     from treelogic.analysis.minimize import minimize
     from treelogic.analysis.satisfy import satisfiable
 
-    o = Options(**options)
+    o = Options(**({"lean": True} | options))
     if not satisfiable(pattern):
-        empty = graph.spark.createDataFrame([], ", ".join(f"{n} long" for n in pattern.outputs()) or "answer boolean")
+        empty = graph.spark.createDataFrame([], ", ".join(f"{n} {id_type(graph, pattern.nodes[n].kind)}" for n in pattern.outputs()) or "answer boolean")
         return EvalResult(projected(graph, pattern, empty, project) if project else empty, {"satisfiable": False})
     if o.minimize:
         pattern = minimize(pattern)[0]
@@ -287,14 +451,36 @@ def evaluate(graph: PropertyGraph, pattern: TreePattern, project: dict[str, list
     return result
 
 
+def id_type(graph: PropertyGraph, kind: str | None) -> str:
+    """Spark's name of the type of a kind's ids."""
+    kinds = [kind] if kind else list(graph.nodes)
+    types = {graph.nodes[k].schema["node_id"].dataType.simpleString() for k in kinds}
+    return types.pop() if len(types) == 1 else "decimal(38,0)"
+
+
 def projected(graph: PropertyGraph, pattern: TreePattern, rows: DataFrame, project: dict[str, list[str]]) -> DataFrame:
-    """Replaces node ids by attributes, joined late so that they are never shuffled before."""
+    """Replaces node ids by attributes.
+
+    What a node's id tells is read off it; other attributes are joined late, so
+    that they are never shuffled before.  An output without a kind has the
+    attributes of any kind; those that its node's kind lacks are null.
+    """
     columns = []
     for name, attributes in project.items():
-        kind = pattern.nodes[name].kind or next(iter(graph.nodes))
+        node = pattern.nodes[name]
         named = [a if isinstance(a, tuple) else (a, a) for a in attributes]
-        nodes = graph.nodes[kind].select(F.col("node_id").alias(name), *[F.col(a).alias(n) for a, n in named])
-        rows = rows.join(nodes, name, "left" if pattern.nodes[name].optional else "inner")
+        known = graph.keys.get(node.kind, {})
+        if all(a in known for a, _ in named):
+            rows = rows.select("*", *[known[a](F.col(name)).alias(n) for a, n in named])
+        else:
+            parts = []
+            for kind in [node.kind] if node.kind else graph.nodes:
+                table = graph.nodes[kind]
+                if any(a in table.columns for a, _ in named) or node.kind:
+                    parts.append(table.select(F.col("node_id").alias(name), *[(F.col(a) if a in table.columns or node.kind else F.lit(None)).alias(n) for a, n in named]))
+                else:
+                    parts.append(table.select(F.col("node_id").alias(name), *[F.lit(None).alias(n) for _, n in named]))
+            rows = rows.join(reduce(DataFrame.union, parts), name, "left" if node.optional else "inner")
         columns += [n for _, n in named]
     return rows.select(*columns).distinct()
 
@@ -309,22 +495,21 @@ def explain(graph: PropertyGraph, pattern: TreePattern, **options) -> str:
     small, trace = minimize(pattern)
     p = Pipeline(graph, pattern, Options(**options))
     lines = [str(pattern), f"fragment: {pattern.fragment()}; {pattern.size()} nodes, {small.size()} after {trace or 'no rewrite'}"]
-    lines += [f"{n}: asked for {'/'.join(sorted('true' if s else 'false' for s in pattern.polarity(n)))}, by {type(o).__name__}" + (f" of {len(o.paths)} paths" if isinstance(o, KindPaths) else "") for n, o in p.operators.items()]
-    core = p.core({})
-    return "\n".join([*lines, f"core: {', '.join(core)}; enumeration from {p._top(core)}; upward round: {p.upward}; lineage cut: {p.cuts}"])
+    lines += [f"{n}: asked for {'/'.join(sorted('true' if s else 'false' for s in pattern.polarity(n)))}, by {type(o).__name__}" + (f" of {len(o.paths)} paths" if isinstance(o, KindPaths) else "") + (f", ids held by the {link.holder}" if (link := p.link(n)) else "") for n, o in p.operators.items()]
+    core = p.core()
+    return "\n".join([*lines, f"core: {', '.join(core)}; enumeration from {p._top(core)}; upward round: {p.upward}; sets written: {p.cuts}"])
 
 
 def count_matches(graph: PropertyGraph, pattern: TreePattern, **options) -> int:
     """Number of answers without enumerating them, where every core node is an output: sums of
     products of counts up the match graph.  Other patterns are enumerated."""
     p = Pipeline(graph, pattern, Options(**options))
-    cand = p.candidates()
-    down = p.prune_down(cand)
-    core = p.core({})
+    core = p.core()
     if any(not pattern.nodes[n].output for n in core) or any(pattern.nodes[n].optional for n in core):
         return p.run().df.count()
-    up = p.prune_up(down, core)
-    edges = p.edges(up, core)
+    _, _, up, _ = p.rounds()
+    up = {n: up[n].dropDuplicates(["node_id"]) for n in core}  # a node counts once, however often its row is there
+    edges = {k: e.distinct() for k, e in p.edges(up, core).items()}
 
     def ways(name: str) -> DataFrame:
         out = None
@@ -345,7 +530,30 @@ def group_matches(graph: PropertyGraph, pattern: TreePattern, group: str, **opti
 
 
 def evaluate_multi(graph: PropertyGraph, pattern: TreePattern, output_sets: dict[str, list[str]], **options) -> dict[str, DataFrame]:
-    """One table for each named set of outputs; candidates and rounds are those of each set's core."""
-    return {name: evaluate(graph, pattern.with_outputs(outputs), **options).df for name, outputs in output_sets.items()}
-
-
+    """One table for each named set of outputs.  The rounds run once, for the core of all of them;
+    each set is then enumerated on its own core."""
+    every = pattern.with_outputs([n for names in output_sets.values() for n in names])
+    whole = Pipeline(graph, every, Options(**options))
+    _, _, up, _ = whole.rounds()
+    out = {}
+    for name, outputs in output_sets.items():
+        p = Pipeline(graph, pattern.with_outputs(outputs), replace(whole.options, lean=False))
+        p.counts = dict(whole.counts)
+        out[name] = p.answer(dict(up), p.core())[0]
+    return out
+
+
+def evaluate_present(graph: PropertyGraph, pattern: TreePattern, **options) -> DataFrame:
+    """The outputs, and for each predicate child of the root whether it holds (``has_<child>``): all
+    combinations of true predicate nodes that the root's formula allows."""
+    p = Pipeline(graph, pattern, Options(**options))
+    cand, down, up, core = p.rounds()
+    rows, _ = p.answer(up, core)
+    root = pattern.root
+    if not root.output:
+        raise ValueError("the root must be an output")
+    for c in root.children:
+        if not c.backbone:
+            hit = p.operators[c.name].reaching(up[root.name], down[c.name]).select(F.col("node_id").alias(root.name)).distinct()
+            rows = rows.join(hit.withColumn(f"has_{c.name}", F.lit(True)), root.name, "left").withColumn(f"has_{c.name}", F.coalesce(f"has_{c.name}", F.lit(False)))
+    return rows

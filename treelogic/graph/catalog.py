@@ -17,7 +17,8 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from treelogic.graph.model import EdgeSet, PropertyGraph, global_id
+from treelogic.graph.model import EdgeSet, PropertyGraph, global_id, natural_key, wide_id
+from treelogic.plans import cut
 
 CODES = {k: i for i, k in enumerate(("region", "nation", "customer", "supplier", "part", "orders", "lineitem", "user", "event", "conversation", "turn"), 1)}
 
@@ -26,35 +27,41 @@ def load(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{table}.parquet")
 
 
-def line_key(lines: DataFrame) -> F.Column:
-    """Lines have no key: a hash of the whole row names them (full rows are distinct)."""
-    return F.xxhash64(*sorted(lines.columns))
-
-
 def commerce(spark: SparkSession, sf_dir: str) -> PropertyGraph:
+    """Every node table carries the ids that its foreign keys name, in columns named after the edge sets.
+
+    Lines have no key: a line's id is a hash of its whole row (full rows are
+    distinct), which is read only where a query needs it.
+    """
     keys = {"region": "r_regionkey", "nation": "n_nationkey", "customer": "c_custkey", "supplier": "s_suppkey", "part": "p_partkey", "orders": "o_orderkey"}
-    nodes = {}
-    for table, key in keys.items():
-        nodes[table] = load(spark, sf_dir, table).withColumn("node_id", global_id(CODES[table], F.col(key))).withColumn("grp", F.pmod(F.col(key), F.lit(10)).cast("int"))
-    lines = load(spark, sf_dir, "lineitem")
-    nodes["lineitem"] = lines.withColumn("node_id", global_id(CODES["lineitem"], line_key(lines))).withColumn("grp", F.pmod("l_suppkey", F.lit(10)).cast("int"))
-
-    def edge(name: str, source: str, target: str, role: str, holder: str, src, dst) -> EdgeSet:
-        return EdgeSet(name, source, target, role, nodes[holder].select(src.alias("src"), dst.alias("dst")), keyed=True)
-
-    def to(kind: str, column: str) -> F.Column:
-        return global_id(CODES[kind], F.col(column))
-
-    own = F.col("node_id")
-    return PropertyGraph(nodes, [
-        edge("region_nation", "region", "nation", "tree", "nation", to("region", "n_regionkey"), own),
-        edge("nation_customer", "nation", "customer", "tree", "customer", to("nation", "c_nationkey"), own),
-        edge("nation_supplier", "nation", "supplier", "tree", "supplier", to("nation", "s_nationkey"), own),
-        edge("customer_orders", "customer", "orders", "tree", "orders", to("customer", "o_custkey"), own),
-        edge("orders_lineitem", "orders", "lineitem", "tree", "lineitem", to("orders", "l_orderkey"), own),
-        edge("lineitem_part", "lineitem", "part", "ref", "lineitem", own, to("part", "l_partkey")),
-        edge("lineitem_supplier", "lineitem", "supplier", "ref", "lineitem", own, to("supplier", "l_suppkey")),
-    ])
+    held = {  # edge set: source kind, target kind, role, end that holds the key, its column
+        "region_nation": ("region", "nation", "tree", "target", "n_regionkey"),
+        "nation_customer": ("nation", "customer", "tree", "target", "c_nationkey"),
+        "nation_supplier": ("nation", "supplier", "tree", "target", "s_nationkey"),
+        "customer_orders": ("customer", "orders", "tree", "target", "o_custkey"),
+        "orders_lineitem": ("orders", "lineitem", "tree", "target", "l_orderkey"),
+        "lineitem_part": ("lineitem", "part", "ref", "source", "l_partkey"),
+        "lineitem_supplier": ("lineitem", "supplier", "ref", "source", "l_suppkey"),
+    }
+    nodes, known = {}, {}
+    for kind in [*keys, "lineitem"]:
+        rows = load(spark, sf_dir, kind)
+        key = keys.get(kind)
+        own = global_id(CODES[kind], F.col(key)) if key else wide_id(CODES[kind], sorted(rows.columns))
+        more = {"node_id": own, "grp": F.pmod(F.col(key or "l_suppkey"), F.lit(10)).cast("int")}
+        for name, (source, target, _, end, column) in held.items():
+            if kind == (source if end == "source" else target):
+                more[f"@{name}"] = global_id(CODES[target if end == "source" else source], F.col(column))
+        nodes[kind] = rows.select("*", *[c.alias(n) for n, c in more.items()])
+        if key:
+            known[kind] = {key: lambda id_, kind=rows.schema[key].dataType: natural_key(id_).cast(kind)}
+    edges = []
+    for name, (source, target, role, end, _) in held.items():
+        rows = nodes[source if end == "source" else target]
+        own, other = F.col("node_id"), F.col(f"@{name}")
+        df = rows.select((own if end == "source" else other).alias("src"), (other if end == "source" else own).alias("dst"))
+        edges.append(EdgeSet(name, source, target, role, df, keyed=True, holder=end, column=f"@{name}"))
+    return PropertyGraph(nodes, edges, known)
 
 
 def papers(spark: SparkSession, sf_dir: str) -> PropertyGraph:
@@ -62,8 +69,8 @@ def papers(spark: SparkSession, sf_dir: str) -> PropertyGraph:
     g = commerce(spark, sf_dir)
     orders = g.nodes["orders"]
     kept = [e for e in g.edges if e.name in ("orders_lineitem", "lineitem_supplier")]
-    venue = EdgeSet("orders_customer", "orders", "customer", "ref", orders.select(F.col("node_id").alias("src"), global_id(CODES["customer"], F.col("o_custkey")).alias("dst")), keyed=True)
-    return PropertyGraph({k: g.nodes[k] for k in ("orders", "lineitem", "supplier", "customer")}, [*kept, venue])
+    venue = EdgeSet("orders_customer", "orders", "customer", "ref", orders.select(F.col("node_id").alias("src"), F.col("@customer_orders").alias("dst")), keyed=True, holder="source", column="@customer_orders")
+    return PropertyGraph({k: g.nodes[k] for k in ("orders", "lineitem", "supplier", "customer")}, [*kept, venue], g.keys)
 
 
 def events(spark: SparkSession, sf_dir: str, below: int | None = None) -> DataFrame:
@@ -99,7 +106,9 @@ def trade(spark: SparkSession, sf_dir: str) -> PropertyGraph:
 
 def thread(spark: SparkSession, sf_dir: str) -> PropertyGraph:
     """Conversations: the conversation's node, then its turns in order."""
-    turns = load(spark, sf_dir, "conversations").withColumn("node_id", global_id(CODES["turn"], F.col("conv_id") * 100_000 + F.col("turn")))
+    turn = F.col("turn").cast("long")
+    inside = F.when((turn >= 0) & (turn < F.lit(1 << 24)), F.col("conv_id").cast("long") * (1 << 24) + turn).otherwise(F.raise_error(F.lit("a conversation of 2**24 turns or more")).cast("long"))
+    turns = load(spark, sf_dir, "conversations").withColumn("node_id", global_id(CODES["turn"], inside))
     heads = turns.select("conv_id").distinct().withColumn("node_id", global_id(CODES["conversation"], F.col("conv_id")))
     order = Window.partitionBy("conv_id").orderBy("turn")
     first = turns.withColumn("n", F.row_number().over(order)).filter("n = 1").select(global_id(CODES["conversation"], F.col("conv_id")).alias("src"), F.col("node_id").alias("dst"))
@@ -107,7 +116,9 @@ def thread(spark: SparkSession, sf_dir: str) -> PropertyGraph:
     return PropertyGraph({"conversation": heads, "turn": turns}, [EdgeSet("opens", "conversation", "turn", "tree", first), EdgeSet("goes_on", "turn", "turn", "tree", after)])
 
 
-DOM_SCHEMA = "node_id long, page_id long, pre int, post int, level int, parent int, tag string, href string, chars int"
+DOM_SCHEMA = "node_id long, page_id long, pre int, post int, level int, parent_id long, tag string, href string, chars int"
+#: Elements of a page whose numbers fit into its ids.
+DOM_BITS = 24
 
 
 def dom_rows(page_id: int, html: str | None) -> list[tuple]:
@@ -122,7 +133,9 @@ def dom_rows(page_id: int, html: str | None) -> list[tuple]:
         def handle_starttag(self, tag, attrs):
             nonlocal clock
             clock += 1
-            rows.append([(page_id << 24) + len(rows), page_id, clock, clock, len(stack), rows[stack[-1]][2] if stack else 0, tag, dict(attrs).get("href"), 0])
+            if len(rows) >= 1 << DOM_BITS:
+                raise ValueError(f"page {page_id} has 2**{DOM_BITS} elements or more")
+            rows.append([(page_id << DOM_BITS) + len(rows), page_id, clock, clock, len(stack), rows[stack[-1]][0] if stack else None, tag, dict(attrs).get("href"), 0])
             if tag not in ("br", "meta", "link", "img", "input", "hr"):
                 stack.append(len(rows) - 1)
             else:
@@ -153,13 +166,18 @@ def dom_rows(page_id: int, html: str | None) -> list[tuple]:
 
 
 def dom(spark: SparkSession, sf_dir: str) -> PropertyGraph:
-    """Elements of all pages; tree edges only (``pre`` and ``post`` come with them)."""
+    """Elements of all pages; tree edges only (``pre`` and ``post`` come with them).
+
+    The pages are parsed once, into a table in the shared folder; an element
+    carries its parent's id.
+    """
     def parse(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         names = [c.split()[0] for c in DOM_SCHEMA.split(", ")]
         for batch in batches:
-            yield pd.DataFrame([r for p, h in zip(batch["page_id"], batch["html"]) for r in dom_rows(int(p), h)], columns=names)
+            out = pd.DataFrame([r for p, h in zip(batch["page_id"], batch["html"]) for r in dom_rows(int(p), h)], columns=names)
+            yield out.astype({"parent_id": "Int64"})
 
-    nodes = load(spark, sf_dir, "pages").filter("page_id is not null").select("page_id", "html").mapInPandas(parse, DOM_SCHEMA)
-    up = nodes.select("page_id", F.col("pre").alias("parent"), F.col("node_id").alias("src"))
-    edges = nodes.filter("parent > 0").select("page_id", "parent", F.col("node_id").alias("dst")).join(up, ["page_id", "parent"]).select("src", "dst")
-    return PropertyGraph({"element": nodes}, [EdgeSet("inside", "element", "element", "tree", edges)])
+    pages = load(spark, sf_dir, "pages").filter("page_id is not null").select("page_id", "html")
+    nodes = cut(pages.mapInPandas(parse, DOM_SCHEMA)).withColumn("@inside", F.col("parent_id"))
+    edges = nodes.filter("parent_id is not null").select(F.col("parent_id").alias("src"), F.col("node_id").alias("dst"))
+    return PropertyGraph({"element": nodes}, [EdgeSet("inside", "element", "element", "tree", edges, keyed=True, holder="target", column="@inside")])

@@ -156,8 +156,10 @@ def swept_lists(chains: DataFrame, dag: DataFrame, order: DataFrame, width: int
 def three_leg_cover(entries: DataFrame) -> tuple[DataFrame, DataFrame]:
     """Compression by middle chains: an entry (c -> t) is left out where it follows from entries c -> m and m -> t.
 
-    Rows are tried by the number of detours that give them, fewest last; what is
-    left out must be covered by two rows that stay.  Returns (kept, left out).
+    Entries have a fixed order (of a hash), and one is left out only if both legs of
+    a detour come before it.  The legs may be left out themselves; since the order
+    has no cycles, following detours ends at entries that stay (see
+    ``ThreeLegIndex``).  Returns (kept, left out).
     """
     before = F.lag("sid", 1, 0).over(Window.partitionBy("cid", "to_cid").orderBy("sid"))
     served = entries.withColumn("after", before)
@@ -222,13 +224,16 @@ class ChainIndex(Reach):
         far = self.entries.join(small(own.select("cid", F.col("r").alias("lo"))), "cid").filter("sid >= lo").groupBy("to_cid").agg(F.min("to_sid").alias("r")).select(F.col("to_cid").alias("cid"), "r", F.col("r").alias("s"))
         return own.union(far).groupBy("cid").agg(F.min("r").alias("pos_refl"), F.min("s").alias("pos_strict"))
 
+    def _tested(self, rows: DataFrame, contour: DataFrame, test: str) -> DataFrame:
+        """The rows whose place passes the test against the one row of its chain, with all their columns."""
+        placed = rows.join(self.places.select("node_id", "cid", "sid"), "node_id")
+        return placed.join(small(cut(contour)), "cid").filter(test).select(*rows.columns)
+
     def reaching(self, sources, targets):
-        contour = small(cut(self.pred_contour(targets)))
-        return self._of(sources).join(contour, "cid").filter("sid <= pos_strict").select("node_id")
+        return self._tested(sources, self.pred_contour(targets), "sid <= pos_strict")
 
     def reachable(self, sources, targets):
-        contour = small(cut(self.succ_contour(sources)))
-        return self._of(targets).join(contour, "cid").filter("sid >= pos_strict").select("node_id")
+        return self._tested(targets, self.succ_contour(sources), "sid >= pos_strict")
 
     def pairs(self, sources, targets):
         """Each source's first reachable places joined with the targets' places (a range join on the chain)."""

@@ -1,9 +1,9 @@
 """Reach operators: the three set-level questions that every pattern edge asks.
 
-``reaching(A, B)``: nodes of A with a nonempty path to a node of B;
-``reachable(A, B)``: nodes of B with a nonempty path from a node of A;
-``pairs(A, B)``: all such (src, dst).  A and B are tables with ``node_id``;
-results are distinct.  ``Children`` answers the same for single edges.
+``reaching(A, B)``: rows of A whose node has a nonempty path to a node of B;
+``reachable(A, B)``: rows of B whose node has a nonempty path from a node of A;
+``pairs(A, B)``: all such (src, dst), each once.  A and B are tables with
+``node_id``.  ``Children`` answers the same for single edges.
 """
 
 from __future__ import annotations
@@ -36,6 +36,11 @@ def _ids(df: DataFrame, name: str) -> DataFrame:
     return df.select(F.col("node_id").alias(name))
 
 
+def _among(rows: DataFrame, ids: DataFrame) -> DataFrame:
+    """The rows whose ``node_id`` is among the ids, with all their columns."""
+    return rows.join(ids.select("node_id"), "node_id", "left_semi").select(*rows.columns)
+
+
 def _union(parts: list[DataFrame]) -> DataFrame:
     return reduce(DataFrame.union, parts)
 
@@ -45,53 +50,81 @@ def _none(df: DataFrame, *names: str) -> DataFrame:
 
 
 class KindPaths(Reach):
-    """Paths over the graph of kinds: each is a chain of equi-joins along edge tables."""
+    """Paths over the graph of kinds: each is a chain of equi-joins along edge sets.
+
+    Where the rows at hand carry the other end's id, a step needs no edge table.
+    Results keep the columns of their rows.
+    """
 
     def __init__(self, paths: list[list[EdgeSet]]):
         self.paths = paths
 
+    def link(self) -> EdgeSet | None:
+        """The edge set, if that is all there is and one end holds the other's id."""
+        if len(self.paths) == 1 and len(self.paths[0]) == 1 and self.paths[0][0].holder:
+            return self.paths[0][0]
+        return None
+
+    def columns(self, end: str) -> set[str]:
+        """Columns of ids that rows at one end of the paths should carry."""
+        at = 0 if end == "source" else -1
+        return {p[at].column for p in self.paths if p[at].holder == end}
+
     def reaching(self, sources, targets):
         if not self.paths:
-            return _none(sources, "node_id")
+            return sources.limit(0)
         # paths that end alike share their last steps
-        memo: dict[tuple, DataFrame] = {(): _ids(targets, "node_id")}
+        memo: dict[tuple, DataFrame] = {(): targets}
 
         def back(path: tuple[EdgeSet, ...]) -> DataFrame:
             names = tuple(e.name for e in path)
             if names not in memo:
-                rest = back(path[1:]).select(F.col("node_id").alias("dst"))
-                memo[names] = path[0].df.join(rest, "dst", "left_semi").select(F.col("src").alias("node_id"))
+                memo[names] = path[0].back(back(path[1:]))
             return memo[names]
 
-        found = _union([back(tuple(p)) for p in self.paths])
-        return sources.select("node_id").join(found, "node_id", "left_semi")
+        if len(self.paths) == 1:
+            return self.paths[0][0].sources_to(sources, back(tuple(self.paths[0][1:])))
+        found = _union([back(tuple(p)).select("node_id") for p in self.paths])
+        return sources.join(found, "node_id", "left_semi").select(*sources.columns)
 
     def reachable(self, sources, targets):
         if not self.paths:
-            return _none(sources, "node_id")
-        memo: dict[tuple, DataFrame] = {(): _ids(sources, "node_id")}
+            return targets.limit(0)
+        memo: dict[tuple, DataFrame] = {(): sources}
 
         def ahead(path: tuple[EdgeSet, ...]) -> DataFrame:
             names = tuple(e.name for e in path)
             if names not in memo:
-                rest = ahead(path[:-1]).select(F.col("node_id").alias("src"))
-                memo[names] = path[-1].df.join(rest, "src", "left_semi").select(F.col("dst").alias("node_id"))
+                memo[names] = path[-1].ahead(ahead(path[:-1]))
             return memo[names]
 
-        found = _union([ahead(tuple(p)) for p in self.paths])
-        return targets.select("node_id").join(found, "node_id", "left_semi")
+        if len(self.paths) == 1:
+            return self.paths[0][-1].targets_from(ahead(tuple(self.paths[0][:-1])), targets)
+        found = _union([ahead(tuple(p)).select("node_id") for p in self.paths])
+        return targets.join(found, "node_id", "left_semi").select(*targets.columns)
 
     def pairs(self, sources, targets):
         if not self.paths:
             return _none(sources, "src", "dst")
         out = []
         for path in self.paths:
-            rows = path[0].df.join(_ids(sources, "src"), "src", "left_semi").select("src", "dst")
-            for e in path[1:]:
+            if len(path) == 1:
+                out.append(path[0].between(sources, targets))
+                continue
+            first, last = path[0], path[-1]
+            if first.held_by("source", sources):
+                rows = sources.select(F.col("node_id").alias("src"), F.col(first.column).alias("dst"))
+            else:
+                rows = first.df.join(_ids(sources, "src"), "src", "left_semi").select("src", "dst")
+            for e in path[1:-1]:
                 rows = rows.withColumnRenamed("dst", "via").join(e.df.select(F.col("src").alias("via"), "dst"), "via").select("src", "dst")
-            out.append(rows)
-        found = _union(out).join(_ids(targets, "dst"), "dst", "left_semi").select("src", "dst")
-        return found.distinct()
+            if last.held_by("target", targets):
+                end = targets.select(F.col(last.column).alias("via"), F.col("node_id").alias("dst"))
+            else:
+                end = last.df.join(_ids(targets, "dst"), "dst", "left_semi").select(F.col("src").alias("via"), "dst")
+            out.append(rows.withColumnRenamed("dst", "via").join(end, "via").select("src", "dst"))
+        found = _union(out)
+        return found if self.link() else found.distinct()
 
 
 class Children(Reach):
@@ -102,11 +135,11 @@ class Children(Reach):
 
     def reaching(self, sources, targets):
         parents = self.edges.join(_ids(targets, "dst"), "dst", "left_semi").select(F.col("src").alias("node_id"))
-        return sources.select("node_id").join(parents, "node_id", "left_semi")
+        return _among(sources, parents)
 
     def reachable(self, sources, targets):
         children = self.edges.join(_ids(sources, "src"), "src", "left_semi").select(F.col("dst").alias("node_id"))
-        return targets.select("node_id").join(children, "node_id", "left_semi")
+        return _among(targets, children)
 
     def pairs(self, sources, targets):
         return self.edges.join(_ids(sources, "src"), "src", "left_semi").join(_ids(targets, "dst"), "dst", "left_semi").select("src", "dst").distinct()
@@ -133,10 +166,10 @@ class Frontier(Reach):
         raise RuntimeError("the expansion did not end")
 
     def reaching(self, sources, targets):
-        return sources.select("node_id").join(self._closure(targets, "dst", "src"), "node_id", "left_semi")
+        return _among(sources, self._closure(targets, "dst", "src"))
 
     def reachable(self, sources, targets):
-        return targets.select("node_id").join(self._closure(sources, "src", "dst"), "node_id", "left_semi")
+        return _among(targets, self._closure(sources, "src", "dst"))
 
     def pairs(self, sources, targets):
         found = front = cut(self.edges.join(_ids(sources, "src"), "src", "left_semi").distinct())
@@ -190,10 +223,10 @@ class Interval(Reach):
         return a.join(c, (a["grp"] == c["grp"]) & (c["c"] > a["a"]) & (c["c"] < a["b"])).select("src", "dst")
 
     def reaching(self, sources, targets):
-        return self._both(sources, targets).select(F.col("src").alias("node_id")).distinct()
+        return _among(sources, self._both(sources, targets).select(F.col("src").alias("node_id")))
 
     def reachable(self, sources, targets):
-        return self._both(sources, targets).select(F.col("dst").alias("node_id")).distinct()
+        return _among(targets, self._both(sources, targets).select(F.col("dst").alias("node_id")))
 
     def pairs(self, sources, targets):
         return self._both(sources, targets).distinct()
@@ -208,27 +241,31 @@ class Reflexive(Reach):
         self.inner = inner
 
     def reaching(self, sources, targets):
-        return self.inner.reaching(sources, targets).union(sources.select("node_id").join(targets.select("node_id"), "node_id", "left_semi")).distinct()
+        return _among(sources, self.inner.reaching(sources, targets).select("node_id").union(targets.select("node_id")))
 
     def reachable(self, sources, targets):
-        return self.inner.reachable(sources, targets).union(targets.select("node_id").join(sources.select("node_id"), "node_id", "left_semi")).distinct()
+        return _among(targets, self.inner.reachable(sources, targets).select("node_id").union(sources.select("node_id")))
 
     def pairs(self, sources, targets):
         own = sources.select("node_id").join(targets.select("node_id"), "node_id", "left_semi").select(F.col("node_id").alias("src"), F.col("node_id").alias("dst"))
         return self.inner.pairs(sources, targets).union(own).distinct()
 
 
-def children_of(graph: PropertyGraph, source: str | None, target: str | None) -> Children:
+def children_of(graph: PropertyGraph, source: str | None, target: str | None) -> Reach:
+    """The operator for a parent-child edge."""
     sets = graph.between(source, target)
+    if source and target and sets and all(e.holder for e in sets):
+        return KindPaths([[e] for e in sets])
     if not sets:
         return Children(_none(next(iter(graph.nodes.values())), "src", "dst"))
     return Children(_union([e.df.select("src", "dst") for e in sets]), sets)
 
 
-def choose(graph: PropertyGraph, source: str | None, target: str | None, index: Reach | None = None) -> Reach:
+def choose(graph: PropertyGraph, source: str | None, target: str | None, index: Reach | None = None, force: bool = False) -> Reach:
     """The operator for an ancestor-descendant edge: paths of kinds where no cycle of kinds lies
-    between, else the index, else expansion restricted to the kinds that can lie on a path."""
-    if source and target:
+    between (unless ``force`` asks for the index), else the index, else expansion restricted to the kinds that
+    can lie on a path."""
+    if source and target and not (force and index is not None):
         paths = graph.kind_paths(source, target)
         if paths is not None:
             return KindPaths(paths)

@@ -75,10 +75,7 @@ def cand_missing_attr_false(spark, sf_dir):
     g = catalog.commerce(spark, sf_dir)
     either = [PatternNode(a, (Atom(a, "!=", 0),), output=True) for a in ("c_acctbal", "s_acctbal")]
     found = [candidates_all(g, TreePattern(p)) for p in either]
-    kinds = {v: k for k, v in catalog.CODES.items()}
-    code = F.shiftright("node_id", 56).cast("int")
-    names = F.create_map(*[x for k, v in kinds.items() for x in (F.lit(k), F.lit(v))])
-    return reduce(DataFrame.union, found).groupBy(names[code].alias("kind")).agg(F.count("*").alias("n"))
+    return reduce(DataFrame.union, found).groupBy("kind").agg(F.count("*").alias("n"))
 
 
 @query("SELECT DISTINCT c_custkey FROM customer JOIN orders ON o_custkey = c_custkey WHERE o_orderstatus = 'F' AND c_mktsegment = 'MACHINERY'")
