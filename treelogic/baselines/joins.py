@@ -10,11 +10,11 @@ from functools import reduce
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from treelogic.evaluate.engine import Options, Pipeline, evaluate
-from treelogic.graph.model import PropertyGraph
+from treelogic.evaluate.engine import Options, Pipeline, candidates, evaluate
+from treelogic.graph.model import EdgeSet, PropertyGraph
 from treelogic.index.reach import Reach
 from treelogic.plans import cut
-from treelogic.query.logic import TRUE, Var, dnf
+from treelogic.query.logic import FALSE, TRUE, And, Formula, Not, Var, dnf
 from treelogic.query.pattern import PatternNode, TreePattern
 
 Engine = Callable[[PropertyGraph, TreePattern], DataFrame]
@@ -83,8 +83,6 @@ def operator_twig(graph: PropertyGraph, pattern: TreePattern, engine: Engine = p
 
     def at(name: str) -> DataFrame:
         u = pattern.nodes[name]
-        from treelogic.evaluate.engine import candidates
-
         rows = candidates(graph, u)
         kids = {c.name: at(c.name) for c in u.children}
         for c in u.children:
@@ -111,10 +109,15 @@ def conjunctive(pattern: TreePattern) -> TreePattern:
     return TreePattern(_as_backbone(pattern.root))
 
 
+def plain_candidates(graph: PropertyGraph, pattern: TreePattern) -> dict[str, DataFrame]:
+    """Ids of the nodes that pass each pattern node's tests: the baselines work on node ids and edge tables only."""
+    return {u.name: candidates(graph, u) for u in pattern.root.walk()}
+
+
 def edge_relations(graph: PropertyGraph, pattern: TreePattern, index: Reach | None = None) -> tuple[dict, dict]:
     """(candidates, pairs of each pattern edge), without any pruning."""
     p = Pipeline(graph, pattern, Options(index=index))
-    cand = p.candidates()
+    cand = plain_candidates(graph, pattern)
     return cand, {(pattern.parent[n.name], n.name): p.operators[n.name].pairs(cand[pattern.parent[n.name]], cand[n.name]) for n in pattern.root.walk() if pattern.parent[n.name]}
 
 
@@ -203,8 +206,8 @@ def local_semijoin(graph: PropertyGraph, pattern: TreePattern, index: Reach | No
     """Each edge reduces its own two candidate sets once, without looking further; then joins.
     Returns the answers and the candidates that are left."""
     pattern = conjunctive(pattern)
-    p = Pipeline(graph, pattern, Options(index=index))
-    cand = p.candidates()
+    p = Pipeline(graph, pattern, Options(index=index, force_index=index is not None))
+    cand = plain_candidates(graph, pattern)
     kept = dict(cand)
     for n in pattern.root.walk():
         up = pattern.parent[n.name]
@@ -221,12 +224,74 @@ def pairwise_filter(sources: DataFrame, targets: DataFrame, closure: DataFrame)
     return every.join(closure, ["src", "dst"], "left_semi").select(F.col("src").alias("node_id")).distinct()
 
 
+def satisfying(p: Pipeline, cand: dict[str, DataFrame], name: str, formula: Formula | None = None) -> DataFrame:
+    """Candidates of a node for which its formula holds, each variable a semi-join with the node's own
+    candidates, each negation an anti-join, each alternative a union."""
+    rows = cand[name].select("node_id")
+    formula = p.pattern.nodes[name].formula if formula is None else formula
+    if formula == TRUE:
+        return rows
+    if formula == FALSE:
+        return rows.limit(0)
+    if isinstance(formula, Var):
+        child = formula.name
+        below = satisfying(p, cand, child)
+        for c in p.pattern.children(child, True):  # a predicate node has no backbone children; kept for any tree
+            below = p.operators[c.name].reaching(below, cand[c.name])
+        return p.operators[child].reaching(rows, below)
+    if isinstance(formula, Not):
+        return rows.join(satisfying(p, cand, name, formula.inner), "node_id", "left_anti")
+    parts = [satisfying(p, cand, name, f) for f in formula.parts()]
+    if isinstance(formula, And):
+        return reduce(lambda a, b: a.join(b, "node_id", "left_semi"), parts)
+    return reduce(DataFrame.union, parts).distinct()
+
+
 def naive_evaluate(graph: PropertyGraph, pattern: TreePattern, index: Reach | None = None) -> DataFrame:
-    """One full join of all backbone edges, predicates as semi- and anti-joins where they stand, then DISTINCT."""
-    p = Pipeline(graph, pattern, Options(index=index, prune_up=False, shrink=False))
-    down = p.prune_down(p.candidates())
-    pairs = {(pattern.parent[n], n): p.operators[n].pairs(down[pattern.parent[n]], down[n]) for n in pattern.backbone() if pattern.parent[n]}
-    return joined(pattern, pairs, down)
+    """One full join of all backbone edges over unpruned candidates, predicates as semi- and anti-joins where
+    they stand, then DISTINCT.  No round of the pattern engine is used."""
+    p = Pipeline(graph, pattern, Options(index=index))
+    cand = plain_candidates(graph, pattern)
+    kept = {n: satisfying(p, cand, n) if pattern.nodes[n].formula != TRUE else cand[n] for n in pattern.backbone()}
+    pairs = {(pattern.parent[n], n): p.operators[n].pairs(kept[pattern.parent[n]], kept[n]) for n in pattern.backbone() if pattern.parent[n]}
+    return joined(pattern, pairs, kept)
+
+
+def tree_rows(graph: PropertyGraph, piece: TreePattern) -> DataFrame:
+    """(grp, path, level, node_id, qnode) of the nodes that match a tree piece: ``grp`` is the node of the
+    root's kind above them, ``path`` the ids on the way down from it (a sequence code)."""
+    root = piece.root
+    kinds: dict[str, list[EdgeSet]] = {root.kind: []}
+    for n in piece.root.walk():
+        if n.kind not in kinds:
+            paths = graph.kind_paths(root.kind, n.kind) or []
+            trees = [x for x in paths if all(e.role == "tree" for e in x)]
+            if len(trees) != 1:
+                raise ValueError(f"{n.kind} is not below {root.kind} by tree edges alone")
+            kinds[n.kind] = trees[0]
+    parts = []
+    for n in piece.root.walk():
+        rows = candidates(graph, n).select("node_id", F.array("node_id").alias("path"), F.col("node_id").alias("top"))
+        for e in reversed(kinds[n.kind]):
+            up = e.df.select(F.col("dst").alias("top"), F.col("src").alias("above"))
+            rows = rows.join(up, "top").select("node_id", F.concat(F.array("above"), "path").alias("path"), F.col("above").alias("top"))
+        parts.append(rows.select(F.col("top").alias("grp"), F.transform("path", lambda x: x.cast("string")).alias("path"), F.size("path").alias("level"), F.col("node_id").cast("string").alias("node_id"), F.lit(n.name).alias("qnode")))
+    return reduce(DataFrame.union, parts)
+
+
+def twig_engine(method: str = "paths") -> Engine:
+    """Evaluates a tree piece by the holistic twig joins: stack-encoded paths, or nested results."""
+    def run(graph: PropertyGraph, piece: TreePattern) -> DataFrame:
+        from treelogic.baselines import twigs
+        from treelogic.evaluate.engine import id_type
+
+        if piece.size() == 1:
+            return candidates(graph, piece.root).select(F.col("node_id").alias(piece.root.name))
+        rows = tree_rows(graph, piece)
+        found = (twigs.paths_of if method == "paths" else twigs.nested_of)(rows, piece)
+        return found.select(*[F.col(n).cast(id_type(graph, piece.nodes[n].kind)).alias(n) for n in piece.outputs()])
+
+    return run
 
 
 def decompose(graph: PropertyGraph, pattern: TreePattern) -> tuple[list[TreePattern], list[tuple[str, str]]]:
@@ -249,12 +314,13 @@ def decompose(graph: PropertyGraph, pattern: TreePattern) -> tuple[list[TreePatt
 
 
 def decompose_evaluate(graph: PropertyGraph, pattern: TreePattern, engine: Engine | None = None) -> tuple[DataFrame, dict]:
-    """Evaluates the tree pieces one by one and joins them on the reference edges that were cut."""
+    """Evaluates the tree pieces one by one, by the stack-encoded twig join unless another engine is given,
+    and joins them on the reference edges that were cut."""
     pieces, cuts = decompose(graph, pattern)
     whole = conjunctive(pattern)
     p = Pipeline(graph, whole, Options())
-    cand = p.candidates()
-    tables = {piece.root.name: (engine or (lambda g, q: naive_evaluate(g, q)))(graph, piece) for piece in pieces}
+    cand = plain_candidates(graph, whole)
+    tables = {piece.root.name: (engine or twig_engine())(graph, piece) for piece in pieces}
     rows = tables[whole.root.name]
     todo = list(cuts)
     while todo:

@@ -68,14 +68,15 @@ class EvalResult:
 
 
 def atom_column(df: DataFrame, node: PatternNode):
-    """The attribute predicate; comparisons with missing attributes are false."""
+    """The attribute predicate as a filter's or a case's condition, where null is as good as false: so a
+    comparison with a missing attribute does not hold, and plain comparisons reach the scan."""
     test = F.lit(True)
     for a in node.atoms:
         if a.attribute not in df.columns:
             return F.lit(False)
         c, v = F.col(f"`{a.attribute}`"), F.lit(a.constant)
         test = test & {"<": c < v, "<=": c <= v, "=": c == v, "!=": c != v, ">": c > v, ">=": c >= v}[a.operation]
-    return F.coalesce(test, F.lit(False)) if node.atoms else test
+    return test
 
 
 def candidates(graph: PropertyGraph, node: PatternNode, columns: Iterable[str] = ("node_id",)) -> DataFrame:
@@ -147,6 +148,8 @@ class Pipeline:
         again = core if self.options.checkpoints is None else self.cuts
         if not (self.cuts and again):
             return df
+        if rounds == "up" and self.options.checkpoints is None and self.counts.get(("down", name), BROADCAST_ROWS + 1) <= BROADCAST_ROWS:
+            return F.broadcast(df)  # part of a small set that is written already
         df = cut(df)
         n = self.counts[rounds, name] = df.count()
         return F.broadcast(df) if n <= BROADCAST_ROWS else df

@@ -17,7 +17,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from treelogic.graph.model import EdgeSet, PropertyGraph, global_id, natural_key, wide_id
+from treelogic.graph.model import EdgeSet, PropertyGraph, Tables, global_id, natural_key, wide_id
 from treelogic.plans import cut
 
 CODES = {k: i for i, k in enumerate(("region", "nation", "customer", "supplier", "part", "orders", "lineitem", "user", "event", "conversation", "turn"), 1)}
@@ -43,8 +43,7 @@ def commerce(spark: SparkSession, sf_dir: str) -> PropertyGraph:
         "lineitem_part": ("lineitem", "part", "ref", "source", "l_partkey"),
         "lineitem_supplier": ("lineitem", "supplier", "ref", "source", "l_suppkey"),
     }
-    nodes, known = {}, {}
-    for kind in [*keys, "lineitem"]:
+    def table(kind: str) -> DataFrame:
         rows = load(spark, sf_dir, kind)
         key = keys.get(kind)
         own = global_id(CODES[kind], F.col(key)) if key else wide_id(CODES[kind], sorted(rows.columns))
@@ -52,16 +51,19 @@ def commerce(spark: SparkSession, sf_dir: str) -> PropertyGraph:
         for name, (source, target, _, end, column) in held.items():
             if kind == (source if end == "source" else target):
                 more[f"@{name}"] = global_id(CODES[target if end == "source" else source], F.col(column))
-        nodes[kind] = rows.select("*", *[c.alias(n) for n, c in more.items()])
-        if key:
-            known[kind] = {key: lambda id_, kind=rows.schema[key].dataType: natural_key(id_).cast(kind)}
-    edges = []
-    for name, (source, target, role, end, _) in held.items():
+        return rows.select("*", *[c.alias(n) for n, c in more.items()])
+
+    nodes = Tables({kind: lambda kind=kind: table(kind) for kind in [*keys, "lineitem"]})
+
+    def edge(name: str) -> EdgeSet:
+        source, target, role, end, _ = held[name]
         rows = nodes[source if end == "source" else target]
         own, other = F.col("node_id"), F.col(f"@{name}")
         df = rows.select((own if end == "source" else other).alias("src"), (other if end == "source" else own).alias("dst"))
-        edges.append(EdgeSet(name, source, target, role, df, keyed=True, holder=end, column=f"@{name}"))
-    return PropertyGraph(nodes, edges, known)
+        return EdgeSet(name, source, target, role, df, keyed=True, holder=end, column=f"@{name}", rows=rows)
+
+    known = {kind: {key: lambda id_, kind=kind, key=key: natural_key(id_).cast(nodes[kind].schema[key].dataType)} for kind, key in keys.items()}
+    return PropertyGraph(nodes, [edge(name) for name in held], known)
 
 
 def papers(spark: SparkSession, sf_dir: str) -> PropertyGraph:
@@ -69,7 +71,7 @@ def papers(spark: SparkSession, sf_dir: str) -> PropertyGraph:
     g = commerce(spark, sf_dir)
     orders = g.nodes["orders"]
     kept = [e for e in g.edges if e.name in ("orders_lineitem", "lineitem_supplier")]
-    venue = EdgeSet("orders_customer", "orders", "customer", "ref", orders.select(F.col("node_id").alias("src"), F.col("@customer_orders").alias("dst")), keyed=True, holder="source", column="@customer_orders")
+    venue = EdgeSet("orders_customer", "orders", "customer", "ref", orders.select(F.col("node_id").alias("src"), F.col("@customer_orders").alias("dst")), keyed=True, holder="source", column="@customer_orders", rows=orders)
     return PropertyGraph({k: g.nodes[k] for k in ("orders", "lineitem", "supplier", "customer")}, [*kept, venue], g.keys)
 
 
@@ -180,4 +182,4 @@ def dom(spark: SparkSession, sf_dir: str) -> PropertyGraph:
     pages = load(spark, sf_dir, "pages").filter("page_id is not null").select("page_id", "html")
     nodes = cut(pages.mapInPandas(parse, DOM_SCHEMA)).withColumn("@inside", F.col("parent_id"))
     edges = nodes.filter("parent_id is not null").select(F.col("parent_id").alias("src"), F.col("node_id").alias("dst"))
-    return PropertyGraph({"element": nodes}, [EdgeSet("inside", "element", "element", "tree", edges, keyed=True, holder="target", column="@inside")])
+    return PropertyGraph({"element": nodes}, [EdgeSet("inside", "element", "element", "tree", edges, keyed=True, holder="target", column="@inside", rows=nodes)])

@@ -6,7 +6,7 @@ column for each attribute, so that attribute tests reach the Parquet scan.
 
 from __future__ import annotations
 
-from collections.abc import Callable
+from collections.abc import Callable, Mapping
 from dataclasses import dataclass, field
 from decimal import Decimal
 from functools import reduce
@@ -24,7 +24,8 @@ class EdgeSet:
     ``keyed``: one of the ends determines the other (a foreign key), so that a
     join along the edges cannot multiply both sides.  ``holder`` (source or
     target) and ``column``: the node table of that end has the other end's id in
-    that column, so rows that carry it need no join with the edge table.
+    that column, so rows that carry it need no join with the edge table.  ``rows``
+    is that node table.
     """
 
     name: str
@@ -35,6 +36,7 @@ class EdgeSet:
     keyed: bool = False
     holder: str | None = None
     column: str | None = None
+    rows: DataFrame | None = None
 
     def held_by(self, end: str, rows: DataFrame) -> bool:
         """Whether these rows of one end carry the other end's id."""
@@ -74,9 +76,40 @@ class EdgeSet:
         return self.df.join(a, "src", "left_semi").join(b, "dst", "left_semi").select("src", "dst")
 
 
+class Tables(Mapping):
+    """Node tables by kind, each made when it is first asked for."""
+
+    def __init__(self, makers: dict[str, Callable[[], DataFrame]]):
+        self._makers, self._made = makers, {}
+
+    def __getitem__(self, kind: str) -> DataFrame:
+        if kind not in self._made:
+            self._made[kind] = self._makers[kind]()
+        return self._made[kind]
+
+    def __iter__(self):
+        return iter(self._makers)
+
+    def __len__(self) -> int:
+        return len(self._makers)
+
+
+def through(path: list[EdgeSet]) -> list[EdgeSet]:
+    """The path with two steps in one where a row in the middle holds both of its neighbours' ids."""
+    out: list[EdgeSet] = []
+    for e in path:
+        last = out[-1] if out else None
+        if last is not None and last.holder == "target" and e.holder == "source" and last.rows is not None and last.rows is e.rows:
+            df = e.rows.select(F.col(last.column).alias("src"), F.col(e.column).alias("dst"))
+            out[-1] = EdgeSet(f"{last.name}+{e.name}", last.source, e.target, "ref", df)
+        else:
+            out.append(e)
+    return out
+
+
 @dataclass
 class PropertyGraph:
-    nodes: dict[str, DataFrame]
+    nodes: Mapping[str, DataFrame]
     edges: list[EdgeSet]
     #: attributes that can be read off a node's id, by kind: {column: function of the id column}
     keys: dict[str, dict[str, Callable]] = field(default_factory=dict)

@@ -13,7 +13,7 @@ from functools import reduce
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from treelogic.graph.model import EdgeSet, PropertyGraph
+from treelogic.graph.model import EdgeSet, PropertyGraph, through
 from treelogic.plans import cut
 
 
@@ -57,7 +57,7 @@ class KindPaths(Reach):
     """
 
     def __init__(self, paths: list[list[EdgeSet]]):
-        self.paths = paths
+        self.paths = [through(p) for p in paths]
 
     def link(self) -> EdgeSet | None:
         """The edge set, if that is all there is and one end holds the other's id."""
