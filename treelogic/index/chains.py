@@ -268,6 +268,23 @@ class ChainIndex(Reach):
         far = one.join(self.entries, "to_cid").filter("to_sid <= own").groupBy("cid").agg(F.max("sid").alias("sid"))
         return one.select(F.col("to_cid").alias("cid"), F.col("own").alias("sid")).union(far.select("cid", "sid"))
 
+    def reaches(self, pairs: DataFrame) -> DataFrame:
+        """The pairs (src, dst) with ``reaches``: whether a nonempty path leads from the first to the second."""
+        a = self.places.select(F.col("node_id").alias("src"), F.col("cid").alias("a_cid"), F.col("sid").alias("a_sid"), "cyclic")
+        b = self.places.select(F.col("node_id").alias("dst"), F.col("cid").alias("to_cid"), F.col("sid").alias("b_sid"))
+        asked = cut(pairs.select("src", "dst").distinct().join(a, "src").join(b, "dst"))
+        own = asked.filter("a_cid = to_cid and (a_sid < b_sid or a_sid = b_sid and cyclic)").select("src", "dst")
+        far = asked.filter("a_cid <> to_cid").join(self.entries.withColumnRenamed("cid", "a_cid"), ["a_cid", "to_cid"]).filter("sid >= a_sid and to_sid <= b_sid").select("src", "dst")
+        hit = own.union(far).distinct().withColumn("hit", F.lit(True))
+        return pairs.join(hit, ["src", "dst"], "left").withColumn("reaches", F.coalesce("hit", F.lit(False))).drop("hit")
+
+    def trace_pointers(self) -> DataFrame:
+        """(cid, sid, next_sid): for every place the next place of its chain, itself included, that has entries; null
+        where there is none.  Look-ups here are range matches and need no pointers; the table shows what they skip."""
+        full = self.entries.select("cid", "sid").distinct().withColumn("full", F.col("sid"))
+        ahead = Window.partitionBy("cid").orderBy("sid").rowsBetween(Window.currentRow, Window.unboundedFollowing)
+        return self.chains.select("cid", "sid").distinct().join(full, ["cid", "sid"], "left").select("cid", "sid", F.min("full").over(ahead).alias("next_sid"))
+
     def stats(self) -> dict[str, int]:
         """Nodes, chains and entries (|L_out| = |L_in| here: one table serves both directions)."""
         return {"nodes": self.places.count(), "chains": self.chains.select("cid").distinct().count(), "entries": self.entries.count()}

@@ -9,6 +9,7 @@ can be told only when the watermark has passed.
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Iterator
 
 import pandas as pd
@@ -16,6 +17,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
+from treelogic.plans import shared_folder
+
 SCHEMA = "event_id long, ts timestamp, user_id long, event_type string, value double, props string"
 PAIR_SCHEMA = "user_id long, src long, dst long, src_type string, dst_type string, closed boolean"
 
@@ -75,8 +78,22 @@ def pc_pairs(first: DataFrame, second: DataFrame, within: str = "1 day", late: s
     return a.join(b, F.expr(f"user_a = user_b and ts_b > ts_a and ts_b <= ts_a + interval {within}")).select("src", "dst")
 
 
-def run_once(stream: DataFrame, name: str, mode: str = "complete") -> DataFrame:
-    """Runs a stream over what is there (available now) into a table in memory and returns it."""
-    query = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()
-    query.awaitTermination()
-    return stream.sparkSession.table(name)
+def run_once(stream: DataFrame, mode: str = "complete") -> DataFrame:
+    """Runs a stream over what is there (available now) into a table in the shared folder and returns it.
+
+    In complete mode every batch holds the whole result and the last one counts;
+    in append mode the batches add up.  Nothing but the batches' numbers reaches
+    the driver; the query's checkpoint lies beside the table.
+    """
+    spark = stream.sparkSession
+    folder = f"{shared_folder(spark)}/stream-{uuid.uuid4().hex}"
+
+    def sink(batch: DataFrame, number: int) -> None:
+        # a batch that is run again overwrites what it wrote before
+        batch.write.mode("overwrite").parquet(f"{folder}/{'all' if mode == 'complete' else f'batch={number}'}")
+
+    stream.writeStream.foreachBatch(sink).outputMode(mode).option("checkpointLocation", f"{folder}-state").trigger(availableNow=True).start().awaitTermination()
+    path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(folder)
+    if not path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(path):
+        return spark.createDataFrame([], stream.schema)
+    return spark.read.schema(stream.schema).parquet(f"{folder}/all" if mode == "complete" else folder).select(*stream.columns)

