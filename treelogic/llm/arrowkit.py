@@ -19,6 +19,8 @@ import pyarrow.compute as pc
 U64 = np.uint64
 #: Words up to this many bytes are hashed eight bytes at a time for a whole batch, longer ones one by one.
 LONG_WORD = 256
+#: Spans of up to this many bytes and of equal size have equal hashes only if they are equal: one bijection of them.
+EXACT_BYTES = 8
 _LOW_BYTES = np.array([(1 << 8 * i) - 1 for i in range(8)] + [2**64 - 1], U64)
 
 
@@ -180,6 +182,20 @@ def hash_spans(data: np.ndarray, start: np.ndarray, stop: np.ndarray) -> np.ndar
     return out
 
 
+def distinct(values: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """The distinct values ascending, where each stands first, and for every value its place among them."""
+    import pandas as pd
+
+    code, found = pd.factorize(values)  # by a hash table, in the order of appearance
+    fresh = np.ones(len(code), bool)
+    if len(code):
+        fresh[1:] = code[1:] > np.maximum.accumulate(code)[:-1]
+    order = np.argsort(found)
+    rank = np.empty(len(order), np.int64)
+    rank[order] = np.arange(len(order))
+    return found[order], np.flatnonzero(fresh)[order], rank[code]
+
+
 def same_spans(a: np.ndarray, a_start: np.ndarray, b: np.ndarray, b_start: np.ndarray, size: np.ndarray) -> np.ndarray:
     """Whether each span of ``a`` holds the same bytes as the span of equal size of ``b``."""
     out = np.ones(len(size), bool)

@@ -282,15 +282,15 @@ class BulkEncoder:
             edge[1:] = (kind[1:] != kind[:-1]) | (kind[1:] == _DIGIT)
         begins = offsets[:-1][offsets[:-1] < offsets[1:]]
         edge[begins] = True
-        start = np.flatnonzero(head & edge)
-        # a pre-token ends at the next edge
         edges = np.append(np.flatnonzero(edge), len(data))
-        stop = edges[np.searchsorted(edges, start, side="right")] if len(start) else start
-        of_text = np.searchsorted(offsets, start, side="right") - 1
+        word = np.flatnonzero(head[edges[:-1]])
+        # a pre-token ends at the next edge
+        start, stop = edges[word], edges[word + 1]
+        of_text = np.repeat(np.arange(texts), np.diff(np.searchsorted(start, offsets)))
         if len(odd):
             keep = ~np.isin(of_text, odd)
             start, stop, of_text = start[keep], stop[keep], of_text[keep]
-        value, first, where = np.unique(arrowkit.hash_spans(data, start, stop), return_index=True, return_inverse=True)
+        value, first, where = arrowkit.distinct(arrowkit.hash_spans(data, start, stop))
         if self.n + len(value) > KEPT_WORDS:
             self._reset()
         place = np.searchsorted(self.known, value)
@@ -299,11 +299,13 @@ class BulkEncoder:
         size = stop - start
         here = start[first]
         same = (size == size[first][where]) if len(value) else np.zeros(0, bool)
-        same[same] = arrowkit.same_spans(data, start[same], data, here[where[same]], size[same])
+        long = np.flatnonzero(same & (size > arrowkit.EXACT_BYTES))
+        same[long] = arrowkit.same_spans(data, start[long], data, here[where[long]], size[long])
         if hit.any():
             at = inside[hit]
             agree = self.letter_size[at] == size[first[hit]]
-            agree[agree] = arrowkit.same_spans(data, here[hit][agree], self.letters, self.letter_start[at][agree], self.letter_size[at][agree])
+            long = np.flatnonzero(agree & (self.letter_size[at] > arrowkit.EXACT_BYTES))
+            agree[long] = arrowkit.same_spans(data, here[hit][long], self.letters, self.letter_start[at][long], self.letter_size[at][long])
             strange = np.zeros(len(value), bool)
             strange[np.flatnonzero(hit)[~agree]] = True
             same &= ~strange[where]
