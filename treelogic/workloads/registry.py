@@ -672,6 +672,19 @@ def worked_patterns() -> dict[str, TreePattern]:
 _SATISFIABLE = [("ad_not", "full", 8, False), ("pc_not", "full", 8, True), ("ad", "full", 8, True), ("pc", "full", 8, True), ("chain", "conjunctive", 4, True)]
 
 
+#: p's answers are answers of q: the unsatisfiable structure's of every one; an ancestor-descendant edge asks for less.
+_CONTAINED = {
+    "ad_not": ("ad_not", "pc_not", "ad", "pc", "chain"),
+    "pc_not": ("pc_not", "ad", "chain"),
+    "ad": ("ad", "chain"),
+    "pc": ("pc", "ad", "chain"),
+    "chain": ("ad", "chain"),
+}
+_EQUIVALENT = {("ad", "chain"), ("chain", "ad")}
+_TRACES = [("ad_not", 0, "empty", "", 8, 8), ("pc_not", 0, "dependent", "u5", 8, 6), ("ad", 0, "dependent", "u5", 8, 4), ("ad", 1, "subsumed", "u2", 8, 4), ("pc", 0, "dependent", "u5", 8, 6)]
+_SIZES = [("ad_not", 8, 7), ("pc_not", 8, 7), ("ad", 8, 6), ("pc", 8, 6), ("chain", 4, 4), ("trio_and", 3, 4), ("trio_or", 3, 4), ("trio_andnot", 3, 5)]
+
+
 def _values(rows: list[tuple], columns: str) -> str:
     def show(v) -> str:
         return {True: "true", False: "false"}[v] if isinstance(v, bool) else f"'{v}'" if isinstance(v, str) else f"CAST({v} AS INTEGER)"
@@ -684,19 +697,19 @@ def satisfiability_report(spark, sf_dir):
     return table(spark, [(n, p.fragment(), p.size(), satisfiable(p)) for n, p in worked_patterns().items()], "pattern string, fragment string, size int, satisfiable boolean")
 
 
-@query()
+@query(_values([(a, b, b in _CONTAINED[a], a == b or (a, b) in _EQUIVALENT) for a in _CONTAINED for b in _CONTAINED], "p, q, contained, equivalent"))
 def containment_matrix(spark, sf_dir):
     ps = worked_patterns()
     return table(spark, [(a, b, contained(p, q), equivalent(p, q)) for a, p in ps.items() for b, q in ps.items()], "p string, q string, contained boolean, equivalent boolean")
 
 
-@query()
+@query(_values(_TRACES, "pattern, step, rewrite, removed, size_before, size_after"))
 def minimize_trace(spark, sf_dir):
     rows = [(n, i, step, ",".join(gone), p.size(), minimize(p)[0].size()) for n, p in worked_patterns().items() for i, (step, gone) in enumerate(minimize(p)[1])]
     return table(spark, rows, "pattern string, step int, rewrite string, removed string, size_before int, size_after int")
 
 
-@query()
+@query(_values(_SIZES, "pattern, nodes, operator_twig"))
 def representation_sizes(spark, sf_dir):
     return table(spark, [(n, *operator_twig_size(p).values()) for n, p in (worked_patterns() | {f"trio_{k}": trio(k) for k in ("and", "or", "andnot")}).items()], "pattern string, nodes int, operator_twig int")
 
