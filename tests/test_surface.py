@@ -38,10 +38,9 @@ def test_measures(spark, sf_dir):
 
 
 def test_streaming_pairs(spark, sf_dir):
-    import uuid
 
     stream = streams.next_pairs(streams.read_events(spark, sf_dir, "events*.parquet"), late="3650 days")
-    rows = streams.run_once(stream, f"pairs_{uuid.uuid4().hex}", "append").filter("not closed").select("src", "dst")
+    rows = streams.run_once(stream, "append").filter("not closed").select("src", "dst")
     g = catalog.activity(spark, sf_dir)
     edges = next(e for e in g.edges if e.name == "next_of_user").df
     mask = (1 << 56) - 1

@@ -47,8 +47,9 @@ class ParseDom:
     def eval(self, html: str):
         from treelogic.graph.catalog import dom_rows
 
-        for r in dom_rows(0, html):
-            yield r[2:]
+        rows = dom_rows(0, html)
+        for r in rows:
+            yield (*r[2:5], 0 if r[5] is None else rows[r[5]][2], *r[6:])
 
 
 @udtf(returnType="match string")
@@ -62,7 +63,7 @@ class TreeMatch:
         rows = dom_rows(0, html)
         nodes = {r[2]: ("element", {"tag": r[6], "href": r[7], "chars": r[8]}) for r in rows}
         p: TreePattern = parse(pattern)
-        for found in sorted(small(SmallGraph(nodes, {(r[5], r[2]) for r in rows if r[5]}), p)):
+        for found in sorted(small(SmallGraph(nodes, {(rows[r[5]][2], r[2]) for r in rows if r[5] is not None}), p)):
             yield (json.dumps(dict(zip(p.outputs(), found))),)
 
 
