@@ -12,6 +12,7 @@ from pyspark.sql import functions as F
 
 from treelogic.evaluate.engine import Options, Pipeline, candidates, evaluate
 from treelogic.graph.model import EdgeSet, PropertyGraph
+from treelogic.index.covers import ClusterIndex
 from treelogic.index.reach import Reach
 from treelogic.plans import cut
 from treelogic.query.logic import FALSE, TRUE, And, Formula, Not, Var, dnf
@@ -204,17 +205,21 @@ def hash_structural(graph: PropertyGraph, pattern: TreePattern, plans: str = "fi
 
 def local_semijoin(graph: PropertyGraph, pattern: TreePattern, index: Reach | None = None) -> tuple[DataFrame, dict[str, DataFrame]]:
     """Each edge reduces its own two candidate sets once, without looking further; then joins.
-    Returns the answers and the candidates that are left."""
+    Returns the answers and the candidates that are left.  Of a cluster index each
+    ancestor-descendant edge reads the cluster of its ends' kinds alone."""
     pattern = conjunctive(pattern)
     p = Pipeline(graph, pattern, Options(index=index, force_index=index is not None))
+    operators = dict(p.operators)
+    if isinstance(index, ClusterIndex):
+        operators |= {n.name: index.of(pattern.nodes[pattern.parent[n.name]].kind, n.kind) for n in pattern.root.walk() if pattern.parent[n.name] and n.edge == "ad"}
     cand = plain_candidates(graph, pattern)
     kept = dict(cand)
     for n in pattern.root.walk():
         up = pattern.parent[n.name]
         if up:
-            kept[up] = kept[up].join(p.operators[n.name].reaching(cand[up], cand[n.name]), "node_id", "left_semi")
-            kept[n.name] = kept[n.name].join(p.operators[n.name].reachable(cand[up], cand[n.name]), "node_id", "left_semi")
-    pairs = {(pattern.parent[n.name], n.name): p.operators[n.name].pairs(kept[pattern.parent[n.name]], kept[n.name]) for n in pattern.root.walk() if pattern.parent[n.name]}
+            kept[up] = kept[up].join(operators[n.name].reaching(cand[up], cand[n.name]), "node_id", "left_semi")
+            kept[n.name] = kept[n.name].join(operators[n.name].reachable(cand[up], cand[n.name]), "node_id", "left_semi")
+    pairs = {(pattern.parent[n.name], n.name): operators[n.name].pairs(kept[pattern.parent[n.name]], kept[n.name]) for n in pattern.root.walk() if pattern.parent[n.name]}
     return joined(pattern, pairs, kept), kept
 
 

@@ -261,8 +261,11 @@ class Pipeline:
         return up
 
     def singles(self, up: dict[str, DataFrame], core: list[str]) -> dict[str, object]:
-        """Core nodes with one candidate, and its id: by known counts, or by one action over all of the core."""
-        able = [n for n in core if "node_id" in up[n].columns and not self.pattern.nodes[n].optional]
+        """Core nodes with one candidate, and its id: by known counts, or by one action over all of the core.
+        A node above an optional one is not among them: nothing has tested the optional node's candidates yet."""
+        free = {n for n in core if self.pattern.nodes[n].optional}
+        above = {self.pattern.parent[n] for n in free}
+        able = [n for n in core if "node_id" in up[n].columns and n not in free and n not in above]
         last = {n: self.counts.get(("up", n), self.counts.get(("down", n))) for n in able}
         if self.options.trim is None:
             able = [n for n in able if last[n] == 1]
@@ -532,6 +535,50 @@ def group_matches(graph: PropertyGraph, pattern: TreePattern, group: str, **opti
     return rows.groupBy(group).agg(F.collect_set(F.struct(*others)).alias("matches"))
 
 
+def nested_matches(graph: PropertyGraph, pattern: TreePattern, groups: Iterable[str], **options) -> DataFrame:
+    """Group elements inside group elements: for each group node u, lowest first, the outputs below u are
+    gathered into ``<u>_matches``, the set of their tuples for one tuple of the other columns.
+
+    A group with no output below it is an error.  One group's set is one value, so
+    groups are for results that a row can hold.
+    """
+    rows = evaluate(graph, pattern, **options).df
+    for u in sorted(groups, key=lambda u: -len(pattern.path(u))):
+        below = [n.name for n in pattern.nodes[u].walk()][1:]
+        inner = [c for c in rows.columns if c in below or c.endswith("_matches") and c.removesuffix("_matches") in below]
+        if not inner:
+            raise ValueError(f"no output below {u}")
+        rows = rows.groupBy(*[c for c in rows.columns if c not in inner]).agg(F.collect_set(F.struct(*inner)).alias(f"{u}_matches"))
+    return rows
+
+
+def evaluate_combinations(graph: PropertyGraph, pattern: TreePattern, names: Iterable[str], **options) -> DataFrame:
+    """The outputs and the images of predicate nodes where these hold: all combinations of true nodes.
+
+    Each named node, a predicate child of a backbone node, is asked for a second
+    time as an optional output, while the first stays in the formula.  Its column is
+    null where the node is false; ``present`` lists the names that are true.
+    """
+    names = list(names)
+    for n in names:
+        if pattern.nodes[n].backbone or not pattern.nodes[pattern.parent[n]].backbone:
+            raise ValueError(f"{n} is no predicate child of a backbone node")
+    shown = {n: f"{n}__shown" for n in names}
+
+    def twin(n: PatternNode, top: bool) -> PatternNode:
+        mark = {c.name: Var(f"{c.name}__shown") for c in n.children}
+        return replace(n, name=f"{n.name}__shown", backbone=top, output=top, optional=top, formula=n.formula.substitute(mark), children=tuple(twin(c, False) for c in n.children))
+
+    def add(n: PatternNode) -> PatternNode:
+        return replace(n, children=(*n.children, *(twin(pattern.nodes[c.name], True) for c in n.children if c.name in shown)))
+
+    rows = evaluate(graph, pattern.map(add), **options).df
+    for n, s in shown.items():
+        rows = rows.withColumnRenamed(s, n)
+    present = F.array_compact(F.array(*[F.when(F.col(n).isNotNull(), F.lit(n)) for n in names]))
+    return rows.withColumn("present", present)
+
+
 def evaluate_multi(graph: PropertyGraph, pattern: TreePattern, output_sets: dict[str, list[str]], **options) -> dict[str, DataFrame]:
     """One table for each named set of outputs.  The rounds run once, for the core of all of them;
     each set is then enumerated on its own core."""

@@ -288,3 +288,70 @@ class ChainIndex(Reach):
     def stats(self) -> dict[str, int]:
         """Nodes, chains and entries (|L_out| = |L_in| here: one table serves both directions)."""
         return {"nodes": self.places.count(), "chains": self.chains.select("cid").distinct().count(), "entries": self.entries.count()}
+
+
+class ThreeLegIndex(ChainIndex):
+    """The chain index on what ``three_leg_cover`` keeps: look-ups follow the kept entries through middle chains.
+
+    Contours and lists go on from chain to chain until nothing improves; as a
+    left-out entry's legs come before it in a fixed order, a few rounds do, each a
+    join of the small contour with the kept entries.
+    """
+
+    @classmethod
+    def of(cls, index: ChainIndex) -> ThreeLegIndex:
+        return cls(index.chains, cut(three_leg_cover(index.entries)[0]), index.scc)
+
+    def _led(self, start: DataFrame, forward: bool, most_rounds: int = 64) -> DataFrame:
+        """(who, cid, sid): for each ``who`` the first (last, going backward) place of every chain that
+        one or more kept entries lead to (from) from its start."""
+        frm, at, to, place = ("cid", "sid", "to_cid", "to_sid") if forward else ("to_cid", "to_sid", "cid", "sid")
+        best, within, further = (F.min, "at >= sid", "sid < had") if forward else (F.max, "at <= sid", "sid > had")
+        steps = self.entries.select(F.col(frm).alias("cid"), F.col(at).alias("at"), F.col(to).alias("next"), F.col(place).alias("place"))
+        known = front = cut(start.groupBy("who", "cid").agg(best("sid").alias("sid")))
+        led = known.limit(0)
+        for _ in range(most_rounds):
+            far = cut(steps.join(front, "cid").filter(within).groupBy("who", F.col("next").alias("cid")).agg(best("place").alias("sid")))
+            front = cut(far.join(known.withColumnRenamed("sid", "had"), ["who", "cid"], "left").filter(f"had is null or {further}").select("who", "cid", "sid"))
+            led = cut(led.union(far).groupBy("who", "cid").agg(best("sid").alias("sid")))
+            if front.isEmpty():
+                return led
+            known = cut(known.union(front).groupBy("who", "cid").agg(best("sid").alias("sid")))
+        raise RuntimeError("the middle chains did not settle")
+
+    def _contour(self, nodes: DataFrame, forward: bool) -> DataFrame:
+        best, step = (F.min, 1) if forward else (F.max, -1)
+        of = self._of(nodes)
+        own = of.groupBy("cid").agg(best("sid").alias("r"), best(F.when(F.col("cyclic"), F.col("sid")).otherwise(F.col("sid") + step)).alias("s"))
+        led = self._led(of.select(F.lit(0).alias("who"), "cid", "sid"), forward).select("cid", F.col("sid").alias("r"), F.col("sid").alias("s"))
+        return own.union(led).groupBy("cid").agg(best("r").alias("pos_refl"), best("s").alias("pos_strict"))
+
+    def pred_contour(self, nodes):
+        return self._contour(nodes, False)
+
+    def succ_contour(self, nodes):
+        return self._contour(nodes, True)
+
+    def pairs(self, sources, targets):
+        of = self._of(sources)
+        own = of.select(F.col("node_id").alias("who"), "cid", F.when(F.col("cyclic"), F.col("sid")).otherwise(F.col("sid") + 1).alias("first"))
+        led = self._led(of.select(F.col("node_id").alias("who"), "cid", "sid"), True).select("who", "cid", "sid")
+        t = self._of(targets).select(F.col("node_id").alias("dst"), "cid", F.col("sid").alias("place"))
+        return own.union(led).join(t, "cid").filter("place >= first").select(F.col("who").alias("src"), "dst").distinct()
+
+    def _list(self, node_id: int, forward: bool) -> DataFrame:
+        one = self.places.filter(F.col("node_id") == node_id).select(F.lit(0).alias("who"), "cid", "sid")
+        return one.union(self._led(one, forward)).select("cid", "sid")
+
+    def successors(self, node_id):
+        return self._list(node_id, True)
+
+    def predecessors(self, node_id):
+        return self._list(node_id, False)
+
+    def reaches(self, pairs):
+        hit = self.pairs(pairs.select(F.col("src").alias("node_id")), pairs.select(F.col("dst").alias("node_id"))).withColumn("hit", F.lit(True))
+        return pairs.join(hit, ["src", "dst"], "left").withColumn("reaches", F.coalesce("hit", F.lit(False))).drop("hit")
+
+    def closure_sizes(self):
+        raise NotImplementedError("closure sizes take complete entry lists")
