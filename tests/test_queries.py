@@ -5,7 +5,7 @@ import pytest
 
 from treelogic.workloads import registry
 
-FAST = ["cand_attr_ops", "cand_missing_attr_false", "ad_commerce_expand", "w1_auction", "w2_auction", "w3_auction", "trio_and", "trio_or", "trio_andnot", "nested_not_or", "all_order_no_line", "prune_up_counts", "core_singleton_parent", "multi_output", "pc_relax", "mixed_pc_ad", "optional_edge", "activity_edges", "pred_contour_slice", "succ_contour_slice", "reach_set_slice", "random_pattern_small_2", "trade_scc", "baseline_decompose", "baseline_dnf_difference", "stream_chain_counts", "baseline_naive", "core_shrink", "core_components", "satisfiability_report", "containment_matrix", "minimize_trace", "representation_sizes", "dom_pattern", "hierarchical_twig", "event_formula"]
+FAST = ["cand_attr_ops", "cand_missing_attr_false", "ad_commerce_expand", "w1_auction", "w2_auction", "w3_auction", "trio_and", "trio_or", "trio_andnot", "nested_not_or", "all_order_no_line", "prune_up_counts", "core_singleton_parent", "multi_output", "pc_relax", "mixed_pc_ad", "optional_edge", "activity_edges", "pred_contour_slice", "succ_contour_slice", "reach_set_slice", "random_pattern_small_2", "trade_scc", "baseline_decompose", "baseline_dnf_difference", "stream_chain_counts", "baseline_naive", "core_shrink", "core_components", "satisfiability_report", "containment_matrix", "minimize_trace", "representation_sizes", "dom_pattern", "hierarchical_twig", "event_formula", "nested_groups", "true_combinations", "w2_tree_cover", "cluster_sizes", "cluster_semijoin", "dom_tree_codes", "bound_outputs"]
 
 
 @pytest.fixture(scope="module")

@@ -219,7 +219,14 @@ def local_semijoin(graph: PropertyGraph, pattern: TreePattern, index: Reach | No
         if up:
             kept[up] = kept[up].join(operators[n.name].reaching(cand[up], cand[n.name]), "node_id", "left_semi")
             kept[n.name] = kept[n.name].join(operators[n.name].reachable(cand[up], cand[n.name]), "node_id", "left_semi")
-    pairs = {(pattern.parent[n.name], n.name): operators[n.name].pairs(kept[pattern.parent[n.name]], kept[n.name]) for n in pattern.root.walk() if pattern.parent[n.name]}
+    pairs = {}
+    for n in pattern.root.walk():
+        up = pattern.parent[n.name]
+        if up:
+            ends = {"src": kept[up], "dst": kept[n.name]}
+            found = operators[n.name].pairs(kept[up], kept[n.name])
+            # an index over kinds whose ids differ in type has the widest
+            pairs[up, n.name] = found.select(*[F.col(c).try_cast(rows.schema["node_id"].dataType).alias(c) for c, rows in ends.items()])
     return joined(pattern, pairs, kept), kept
 
 

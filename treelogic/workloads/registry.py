@@ -14,13 +14,14 @@ from pyspark.sql import functions as F
 
 from treelogic.analysis.contain import contained, equivalent
 from treelogic.analysis.minimize import minimize, operator_twig_size
-from treelogic.analysis.satisfy import satisfiable
+from treelogic.analysis.satisfy import outputs_always_bound, satisfiable
 from treelogic.baselines import joins as J
 from treelogic.baselines import twigs as T
-from treelogic.evaluate.engine import Options, Pipeline, candidates_all, count_matches, evaluate, group_matches, projected
+from treelogic.evaluate.engine import Options, Pipeline, candidates_all, count_matches, evaluate, evaluate_combinations, group_matches, nested_matches, projected
 from treelogic.graph import catalog
 from treelogic.graph.model import PropertyGraph
-from treelogic.index.chains import ChainIndex, natural_chains, three_leg_cover
+from treelogic.index.chains import ChainIndex, ThreeLegIndex, natural_chains, three_leg_cover
+from treelogic.index.covers import ClusterIndex, TreeCode, TreeCover
 from treelogic.index.reach import Closure, Frontier, Interval
 from treelogic.index.scc import condense
 from treelogic.metrics import measures
@@ -265,6 +266,25 @@ def optional_edge(spark, sf_dir):
     return evaluate(catalog.commerce(spark, sf_dir), p, project={"c": ["c_custkey"], "o": ["o_orderkey"]}).df.fillna(-1, ["o_orderkey"])
 
 
+@query(f"SELECT c_custkey, count(DISTINCT o_orderkey) AS n_orders, count(*) AS n_tuples FROM ({_auction_sql(2)}) GROUP BY c_custkey")
+def nested_groups(spark, sf_dir):
+    """For each customer the set of its orders, each with the set of its parts and suppliers; shown as sizes."""
+    g = catalog.commerce(spark, sf_dir)
+    grouped = nested_matches(g, auction(2), ["c", "o"])
+    rows = grouped.select("c", F.size("c_matches").cast("long").alias("n_orders"), F.aggregate("c_matches", F.lit(0).cast("long"), lambda n, m: n + F.size(m["o_matches"])).alias("n_tuples"))
+    return rows.select(natural("c").alias("c_custkey"), "n_orders", "n_tuples")
+
+
+@query("""WITH t AS (SELECT o_orderkey, count(*) FILTER (l_suppkey % 10 = 1) AS l, count(*) FILTER (l_suppkey % 10 = 2) AS m
+    FROM orders JOIN (SELECT DISTINCT * FROM lineitem) ON l_orderkey = o_orderkey WHERE o_totalprice > 200000 GROUP BY o_orderkey)
+SELECT o_orderkey, concat_ws(',', CASE WHEN l > 0 THEN 'l' END, CASE WHEN m > 0 THEN 'm' END) AS present, greatest(l, 1) * greatest(m, 1) AS n FROM t WHERE l > 0 OR m > 0""")
+def true_combinations(spark, sf_dir):
+    """Orders with a line of supplier group 1 or 2: which of the two hold, and how many images they have together."""
+    p = parse("o:orders*[o_totalprice > 200000]{/l:lineitem![grp = 1], /m:lineitem![grp = 2]} where l or m")
+    rows = evaluate_combinations(catalog.commerce(spark, sf_dir), p, ["l", "m"])
+    return rows.groupBy(natural("o").alias("o_orderkey"), F.concat_ws(",", "present").alias("present")).agg(F.count("*").alias("n"))
+
+
 # activity
 
 @query("""WITH ev AS (SELECT *, CAST(json_extract(props, '$.k') AS INTEGER) AS k FROM events)
@@ -444,6 +464,16 @@ def event_reach_set(spark, sf_dir):
     return found.select(natural("node_id").alias("event_id"))
 
 
+@query(f"""WITH RECURSIVE {_WHOLE_EV}, s AS (SELECT event_id FROM ev WHERE event_type = 'purchase' AND k < 10), {_BACK}
+SELECT event_id FROM ev WHERE event_type = 'view' AND event_id IN (SELECT event_id FROM far)""")
+def event_middle_chains(spark, sf_dir):
+    """The same set test, looked up in the entries that are kept when middle chains give the others."""
+    g = event_whole(spark, sf_dir)
+    ev = g.nodes["event"]
+    found = ThreeLegIndex.of(topic_index(g)).reaching(ev.filter("event_type = 'view'"), ev.filter("event_type = 'purchase' and k < 10"))
+    return found.select(natural("node_id").alias("event_id"))
+
+
 @query()
 def event_strict_vs_reflexive(spark, sf_dir):
     """Pairs of errors on some topics in both modes, counted in the match graph."""
@@ -524,6 +554,43 @@ for _shape in (1, 2, 3):
     query(_auction_sql(_shape), f"w{_shape}_contour")(_contoured(_shape))
 
 
+@query(_auction_sql(2))
+def w2_tree_cover(spark, sf_dir):
+    """Both rounds by a spanning forest and surplus lists over the whole commerce graph."""
+    g = catalog.commerce(spark, sf_dir)
+    index = TreeCover.build(g.all_nodes(), g.all_edges(), acyclic=True)
+    return auction_rows(g, evaluate(g, auction(2), index=index, force_index=True, lean=False).df, 2)
+
+
+def commerce_clusters(g: PropertyGraph) -> ClusterIndex:
+    labelled = reduce(DataFrame.union, [rows.select("node_id", F.lit(kind).alias("label")) for kind, rows in g.nodes.items()])
+    return ClusterIndex.build(labelled, g.all_edges())
+
+
+_COMMERCE_EDGES = """e AS (SELECT 'region' || n_regionkey AS a, 'nation' || n_nationkey AS b FROM nation
+    UNION ALL SELECT 'nation' || c_nationkey, 'customer' || c_custkey FROM customer
+    UNION ALL SELECT 'nation' || s_nationkey, 'supplier' || s_suppkey FROM supplier
+    UNION ALL SELECT 'customer' || o_custkey, 'orders' || o_orderkey FROM orders
+    UNION ALL SELECT 'orders' || l_orderkey, 'lineitem' || i FROM li
+    UNION ALL SELECT 'lineitem' || i, 'part' || l_partkey FROM li
+    UNION ALL SELECT 'lineitem' || i, 'supplier' || l_suppkey FROM li)"""
+
+
+@query(f"""WITH RECURSIVE li AS (SELECT row_number() OVER () AS i, * FROM (SELECT DISTINCT * FROM lineitem)), {_COMMERCE_EDGES},
+r AS (SELECT a, b FROM e UNION SELECT r.a, e.b FROM r JOIN e ON e.a = r.b)
+SELECT regexp_extract(a, '[a-z]+') AS source, regexp_extract(b, '[a-z]+') AS target, count(*) AS pairs FROM r GROUP BY 1, 2""")
+def cluster_sizes(spark, sf_dir):
+    """Reachable pairs by the kinds of their ends: what the cluster index stores."""
+    return commerce_clusters(catalog.commerce(spark, sf_dir)).sizes()
+
+
+@query(_auction_sql(2))
+def cluster_semijoin(spark, sf_dir):
+    """The local semi-joins, each edge on its own cluster."""
+    g = catalog.commerce(spark, sf_dir)
+    return auction_rows(g, J.local_semijoin(g, auction(2), commerce_clusters(g))[0], 2)
+
+
 # trade
 
 _TRADE = """pairs AS (SELECT c_nationkey AS a, s_nationkey AS b, count(*) AS n FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN supplier ON l_suppkey = s_suppkey WHERE c_nationkey <> s_nationkey GROUP BY 1, 2),
@@ -629,7 +696,10 @@ def stream_chain_counts(spark, sf_dir):
 
 # without an SQL counterpart
 
-@query("""SELECT page_id, CAST(len(regexp_extract_all(html, '<p><b>')) AS BIGINT) AS paragraphs FROM pages WHERE page_id IS NOT NULL AND contains(html, '<p><b>')""")
+_BOLD = """SELECT page_id, CAST(len(regexp_extract_all(html, '<p><b>')) AS BIGINT) AS paragraphs FROM pages WHERE page_id IS NOT NULL AND contains(html, '<p><b>')"""
+
+
+@query(_BOLD)
 def dom_pattern(spark, sf_dir):
     """Paragraphs that hold a bold element, below an article, by intervals: how many on each page.
 
@@ -642,6 +712,15 @@ def dom_pattern(spark, sf_dir):
     return rows.groupBy(F.shiftright("p", catalog.DOM_BITS).alias("page_id")).agg(F.count("*").alias("paragraphs"))
 
 
+@query(_BOLD)
+def dom_tree_codes(spark, sf_dir):
+    """The same by codes of ancestors and joins by equality."""
+    g = catalog.dom(spark, sf_dir)
+    p = parse("a:element[tag = 'article']{//p:element*[tag = 'p']{/b:element![tag = 'b']}}")
+    rows = evaluate(g, p, index=TreeCode(g.nodes["element"], g.all_edges())).df
+    return rows.groupBy(F.shiftright("p", catalog.DOM_BITS).alias("page_id")).agg(F.count("*").alias("paragraphs"))
+
+
 @query("""WITH n AS (SELECT CAST(len(regexp_extract_all(html, '<p><b>')) AS BIGINT) AS k FROM pages WHERE page_id IS NOT NULL)
 SELECT method, CAST(sum(k * (k + 1) // 2) AS BIGINT) AS n FROM n, (VALUES ('nested'), ('paths')) AS m(method) GROUP BY method""")
 def hierarchical_twig(spark, sf_dir):
@@ -709,6 +788,19 @@ def minimize_trace(spark, sf_dir):
     return table(spark, rows, "pattern string, step int, rewrite string, removed string, size_before int, size_after int")
 
 
+#: (formula, node, whether the node has an image in every answer)
+_BOUND = [("x and (x or y)", "x", True), ("x and (x or y)", "y", False), ("x or y", "x", False), ("x or y", "z", True), ("not x and y", "y", True)]
+
+
+@query(_values(_BOUND, "formula, node, bound"))
+def bound_outputs(spark, sf_dir):
+    """Which nodes could be outputs in spite of the formula."""
+    def bound(formula: str, name: str) -> bool:
+        return outputs_always_bound(parse(f"r*{{//x![tag = 'a'], //y![tag = 'b'], //z[tag = 'c']}} where {formula}"), [name])
+
+    return table(spark, [(f, n, bound(f, n)) for f, n, _ in _BOUND], "formula string, node string, bound boolean")
+
+
 @query(_values(_SIZES, "pattern, nodes, operator_twig"))
 def representation_sizes(spark, sf_dir):
     return table(spark, [(n, *operator_twig_size(p).values()) for n, p in (worked_patterns() | {f"trio_{k}": trio(k) for k in ("and", "or", "andnot")}).items()], "pattern string, nodes int, operator_twig int")
