@@ -129,3 +129,16 @@ def test_state_of_one_operator_at_a_time():
     assert arrowkit.kept("x", lambda: 3) == 1
     arrowkit._claim("two")
     assert arrowkit.kept("x", lambda: 4) == 4
+
+
+def test_full_word_table_keeps_frequent_words_and_ids(path, monkeypatch):
+    from treelogic.llm import bpe_codec
+
+    monkeypatch.setattr(bpe_codec, "KEPT_WORDS", 20)
+    table, lib = bpe_codec.WordTable(path), library(path)
+    for i in range(60):
+        text = "often " + " ".join(f"rare{chr(97 + (i + j) % 26)}{chr(97 + j)}{i}" for j in range(15)) + " often"
+        ids, _, n = table.text(text)
+        assert ids == " ".join(map(str, lib.encode(text, add_special_tokens=False).ids)) and n == ids.count(" ") + 1
+        assert len(table) <= 10 and len(table.former) <= 10
+        assert "often" in table or "often" in table.former

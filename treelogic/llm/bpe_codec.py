@@ -25,7 +25,7 @@ from pyspark.sql import functions as F
 from treelogic.llm import arrowkit
 from treelogic.llm.segment import Segmenter, byte_chars, mapped
 
-#: Words whose ids a worker keeps at most; beyond that the table starts anew.
+#: Words whose ids a worker keeps at most, half of them new and half from before.
 KEPT_WORDS = 100_000
 _END = 0xE000
 
@@ -155,23 +155,31 @@ def _coder(path: str) -> tuple[PrefixBpe, Segmenter]:
 
 
 class WordTable(dict):
-    """pre-token -> (ids joined by spaces, decoded string, number of ids), filled by the programme."""
+    """pre-token -> (ids joined by spaces, decoded string, number of ids), filled by the programme.
+
+    A full table becomes the former one, and a word found there moves over, so
+    frequent words stay when rare ones go.
+    """
 
     def __init__(self, path: str):
         super().__init__()
         self.coder, self.cutter = _coder(path)
+        self.former: dict[str, tuple[str, str, int]] = {}
 
     def __missing__(self, word: str) -> tuple[str, str, int]:
-        special = self.cutter.special.get(word)
-        ids = [special] if special is not None else self.coder.encode_word(mapped(word))
-        out = " ".join(map(str, ids)), self.coder.decode(ids), len(ids)
+        out = self.former.get(word)
+        if out is None:
+            special = self.cutter.special.get(word)
+            ids = [special] if special is not None else self.coder.encode_word(mapped(word))
+            out = " ".join(map(str, ids)), self.coder.decode(ids), len(ids)
+        if len(self) >= KEPT_WORDS // 2:
+            self.former = dict(self)
+            self.clear()
         self[word] = out
         return out
 
     def text(self, text: str) -> tuple[str, str, int]:
         """(decimal ids joined by spaces, decoded text, number of ids) of a whole text."""
-        if len(self) > KEPT_WORDS:
-            self.clear()
         found = [self[w] for w in self.cutter.words(text)]
         if not found:
             return "", "", 0
