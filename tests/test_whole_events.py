@@ -6,6 +6,7 @@ import duckdb
 import pytest
 
 from treelogic.index.chains import entry_lists, natural_chains, swept_lists
+from treelogic.plans import plan_text
 from treelogic.workloads import registry
 
 
@@ -97,6 +98,31 @@ def test_sweep_equals_doubling(spark, sf_dir):
     assert {tuple(r) for r in one.collect()} == {tuple(r) for r in two.collect()}
 
 
+def test_entries_to_some_chains(spark, sf_dir):
+    """A sweep that is asked for some chains gives their entries and no others."""
+    g = registry.event_slice(spark, sf_dir)
+    ev = g.nodes["event"]
+    chains, order = natural_chains(ev, "user_id", "ts", "event_id"), ev.select("node_id", "ts", "event_id")
+    ends = chains.filter("cid % 3 = 1").select("cid")
+    some, whole = swept_lists(chains, g.all_edges(), order, width=4, ends=ends), swept_lists(chains, g.all_edges(), order, width=4)
+    assert {tuple(r) for r in some.collect()} == {tuple(r) for r in whole.collect() if r["to_cid"] % 3 == 1} != set()
+
+
+@pytest.mark.parametrize("name", ["event_pattern_small_2"])
+def test_tuples_are_not_shuffled(spark, sf_dir, brute, name):
+    """Answers grow with the cube of the events: they and the pairs of an edge are made row by row, each once."""
+    import __spark_entry__
+
+    found = __spark_entry__.queries()[name](spark, sf_dir)
+    plan = plan_text(found)
+    assert not [w for w in ("Aggregate", "SortMergeJoin", "hashpartitioning(n1", "hashpartitioning(n2", "hashpartitioning(n3") if w in plan]
+    b, got = brute, [tuple(r) for r in found.collect()]
+    assert len(got) == len(set(got))
+    if name == "event_pattern_small_2":
+        assert set(got) == {(b.ids[n0], b.ids[n1], b.ids[n2], b.ids[n3]) for n0 in b.some("signup", lambda k: k == 4) for n1 in b.next[n0]
+                            for n2 in b.some("click", lambda k: k == 5) if b.reaches(n0, n2) for n3 in b.some("view", lambda k: k == 4) if b.reaches(n2, n3)}
+
+
 def test_slices_are_for_tests_only():
     import __spark_entry__
 
