@@ -108,7 +108,7 @@ def test_entries_to_some_chains(spark, sf_dir):
     assert {tuple(r) for r in some.collect()} == {tuple(r) for r in whole.collect() if r["to_cid"] % 3 == 1} != set()
 
 
-@pytest.mark.parametrize("name", ["event_pattern_small_2"])
+@pytest.mark.parametrize("name", ["event_pattern_small_1", "event_pattern_small_2"])
 def test_tuples_are_not_shuffled(spark, sf_dir, brute, name):
     """Answers grow with the cube of the events: they and the pairs of an edge are made row by row, each once."""
     import __spark_entry__
