@@ -140,3 +140,45 @@ def test_experiment_defaults(spark, sf_dir):
     assert inspect.signature(X.data_size_sweep).parameters["draws"].default == 10
     g, index = X.event_graph(spark, sf_dir)
     assert index.stats()["nodes"] == spark.read.parquet(f"{sf_dir}/events.parquet").count()
+
+
+def test_few_rows_are_kept_before_the_answers(spark, sf_dir, brute, monkeypatch):
+    """Events are written once with places and next events, the pass reads each once, and of an untested child of single edges
+    only those events are tested that follow a candidate of its parent."""
+    import __spark_entry__
+
+    from treelogic.index import chains
+
+    b, laid, tested = brute, [], []
+    swept, reaching = chains._swept, chains.ChainIndex.reaching
+    monkeypatch.setattr(chains, "_swept", lambda rows, *a: laid.append(rows) or swept(rows, *a))
+    monkeypatch.setattr(chains.ChainIndex, "reaching", lambda self, a, t: tested.append(a.count()) or reaching(self, a, t))
+    found = __spark_entry__.queries()["event_pattern_small_1"](spark, sf_dir)
+    assert laid[0].count() == len(b.ids) and len(laid) == 1
+    firsts = b.some("view", lambda k: k == 6)
+    assert max(tested) <= max(len(firsts), len({j for i in firsts for j in b.next[i]})) < len(b.ids) // 4
+    assert not [line for line in plan_text(found).splitlines() if "Window" in line]
+
+
+def test_timelines_with_missing_keys(spark, tmp_path):
+    """Events of no topic or of no user, and ties in time: places and next events as the SQL counterparts order them, and the
+    pass over them finds the same entries as the one over all edges."""
+    import random
+    from datetime import datetime, timedelta
+
+    r = random.Random(3)
+    data = [(i, datetime(2024, 1, 1) + timedelta(seconds=i // 3), r.choice([1, 2, 3, 4, None]), r.choice(["view", "error"]), 1.0, r.choice(['{"k": 1}', '{"k": 2}', '{"k": 5}', "{}"])) for i in range(90)]
+    spark.createDataFrame(data, "event_id long, ts timestamp, user_id long, event_type string, value double, props string").write.parquet(str(tmp_path / "events.parquet"))
+    rows_ = registry.timelines(spark, str(tmp_path))
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW events AS SELECT * FROM '{tmp_path}/events.parquet/*.parquet'")
+    want = con.execute(f"WITH {registry._WHOLE_EV} SELECT a, b FROM e").fetchall()
+    low = (1 << 56) - 1
+    got = {(x["node_id"] & low, y & low) for x in rows_.collect() for y in (x["dst"], x["next"]) if y is not None}
+    assert got == set(want)
+    edges = spark.createDataFrame([(x["node_id"], y) for x in rows_.collect() for y in {x["dst"], x["next"]} if y is not None], "src long, dst long")
+    places = rows_.select("node_id", "cid", "sid")
+    assert places.filter("cid is null").count() == 0
+    one = {tuple(x) for x in swept_lists(places, edges, rows_.select("node_id", "ts")).collect()}
+    index = registry.ChainIndex.swept(rows_, ["ts"], places)
+    assert {tuple(x) for x in index.entries.collect()} == one != set()
