@@ -182,3 +182,55 @@ def test_timelines_with_missing_keys(spark, tmp_path):
     one = {tuple(x) for x in swept_lists(places, edges, rows_.select("node_id", "ts")).collect()}
     index = registry.ChainIndex.swept(rows_, ["ts"], places)
     assert {tuple(x) for x in index.entries.collect()} == one != set()
+
+
+def events_of(spark, folder, data):
+    """An events table of (user, type, topic), in the order of time, two events a second."""
+    from datetime import datetime, timedelta
+
+    made = [(i, datetime(2024, 1, 1) + timedelta(seconds=i // 2), user, kind, 1.0, "{}" if k is None else json.dumps({"k": k})) for i, (user, kind, k) in enumerate(data)]
+    spark.createDataFrame(made, "event_id long, ts timestamp, user_id long, event_type string, value double, props string").write.parquet(f"{folder}/events.parquet")
+    return str(folder)
+
+
+@pytest.mark.parametrize("name", ["event_pattern_small_1"])
+def test_runs_of_targets(spark, tmp_path, monkeypatch, name):
+    """Targets are joined in runs: those that begin before a source's first place, ties in time, missing users and topics."""
+    import random
+
+    import __spark_entry__
+
+    from treelogic.index import chains
+
+    monkeypatch.setattr(chains, "RUN", 3)
+    r = random.Random(11)
+    folder = events_of(spark, tmp_path, [(r.choice([1, 2, 3, None]), r.choice(["view", "purchase", "error", "signup", "click"]), r.choice([4, 5, 6, 10, 12, None])) for _ in range(450)])
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW events AS SELECT * FROM '{folder}/events.parquet/*.parquet'")
+    want = sorted(con.execute(__spark_entry__.oracle_sql()[name]).fetchall())
+    got = sorted(tuple(x) for x in __spark_entry__.queries()[name](spark, folder).collect())
+    assert got == want and len(want) > 500
+
+
+@pytest.mark.parametrize("name, firsts, others", [("event_pattern_small_1", ("view", 6), [("purchase", 12), ("error", 10)])])
+def test_tasks_hold_few_tuples(spark, tmp_path, monkeypatch, name, firsts, others):
+    """A task that hands out a tuple has made few others, though a first node is in 40,000 of them."""
+    import __spark_entry__
+
+    from treelogic.index import chains
+
+    monkeypatch.setattr(chains, "RUN", 16, raising=False)
+    found = __spark_entry__.queries()[name](spark, events_of(spark, tmp_path, [(1, *firsts), (1, *firsts)] + [(1, *e) for _ in range(200) for e in others]))
+    one = found.limit(1)
+    assert len(one.collect()) == 1
+
+    inner = {"AdaptiveSparkPlanExec": "executedPlan", "ResultQueryStageExec": "plan"}
+
+    def made(plan):
+        kind = plan.getClass().getSimpleName()
+        kids = [getattr(plan, inner[kind])()] if kind in inner else [plan.children().apply(i) for i in range(plan.children().size())]
+        rows_made = plan.metrics().get("numOutputRows")
+        return ([rows_made.get().value()] if rows_made.isDefined() else []) + [n for kid in kids for n in made(kid)]
+
+    tuples = made(one._jdf.queryExecution().executedPlan())
+    assert 0 < max(tuples) <= 1_000
